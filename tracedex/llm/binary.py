@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tracedex.llm.common import U, mix64, table
-from tracedex.llm.tokens import ChunkIds, word_tokenizer
+from tracedex.llm.tokens import chunk_ids, word_tokenizer
 
 
 def permute(index: np.ndarray, n: int, key: int, rounds: int = 6) -> np.ndarray:
@@ -52,7 +52,7 @@ def sequences(docs: DataFrame, stride: int, path: str, end_id: int = 1, pad_id:
         from pyspark import TaskContext
 
         part, local = TaskContext.get().partitionId(), 0
-        chunks, end, width = ChunkIds(path, "<u2"), np.array([end_id], "<u2").tobytes(), 2 * stride
+        chunks, end, width = chunk_ids(path, "<u2"), np.array([end_id], "<u2").tobytes(), 2 * stride
         held, owners, schema = bytearray(), [], ["part", "local", "n_ids", "doc_ids", "ids"]  # owners: (doc, end position in held)
 
         def table_of(rows):
@@ -102,7 +102,7 @@ def materialise(docs: DataFrame, out: str, stride: int = 1024, per_shard: int =
     The ids are computed once and staged as a table, which lost executors can read again."""
     spark, path = docs.sparkSession, path or word_tokenizer()
     staged = f"{out}/staged"
-    sequences(docs, stride, path).write.mode("overwrite").parquet(staged)
+    sequences(docs, stride, path).write.mode("overwrite").option("compression", "zstd").parquet(staged)
     rows = spark.read.parquet(staged)
     sizes = [(r["part"], r["n"]) for r in rows.groupBy("part").agg(F.count("*").alias("n")).orderBy("part").collect()]  # a row a partition
     n, starts = sum(k for _, k in sizes), {}
@@ -139,7 +139,7 @@ def materialise(docs: DataFrame, out: str, stride: int = 1024, per_shard: int =
     # ranges of whole blocks, so a block is never cut between two tasks
     tasks = max(1, -(-n // per_shard))
     ordered = placed.withColumn("unit", F.expr(f"slot div {block}")).repartitionByRange(tasks, "unit").sortWithinPartitions("slot").drop("unit")
-    ordered.mapInArrow(blocks, "slot long, slots array<long>, crcs array<long>, n_ids array<int>, doc_ids array<array<long>>, payload binary").write.mode("overwrite").parquet(f"{out}/shards")
+    ordered.mapInArrow(blocks, "slot long, slots array<long>, crcs array<long>, n_ids array<int>, doc_ids array<array<long>>, payload binary").write.mode("overwrite").option("compression", "zstd").parquet(f"{out}/shards")
     made = spark.read.parquet(f"{out}/shards")
     each = made.select(F.explode(F.arrays_zip("slots", "crcs", "n_ids", "doc_ids")).alias("x"))
     return each.select(F.col("x.slots").alias("slot"), F.col("x.n_ids").alias("n_ids"), F.col("x.crcs").alias("ids_crc32"), F.col("x.doc_ids").alias("doc_ids")).select("slot", *where, "n_ids", "ids_crc32", "doc_ids")

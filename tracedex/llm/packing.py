@@ -25,7 +25,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from tracedex.llm.common import table
-from tracedex.llm.tokens import ChunkIds, word_tokenizer
+from tracedex.llm.tokens import chunk_ids, word_tokenizer
 
 Bin = tuple[int, ...]  # lengths, falling
 
@@ -162,7 +162,7 @@ def cut(docs: DataFrame, size: int = 4096, path: str | None = None, end_id: int
     path = path or word_tokenizer()
 
     def run(batches):
-        chunks = ChunkIds(path)
+        chunks = chunk_ids(path)
         end = np.array([end_id], "<u4").tobytes()
         for batch in batches:
             rows = []
