@@ -80,7 +80,7 @@ def with_statistics(docs: DataFrame, text: str = "text", keep: list[str] | None
     """`keep` columns of docs (all unless given) and one column for each statistic."""
     keep = docs.columns if keep is None else keep
     names = [prefix + s for s in STATS]
-    carried = docs.select(*[F.col(c) for c in keep], F.col(text).cast("string").alias("_text_")) if "_text_" not in keep else docs
+    carried = docs.select(*[F.col(c) for c in keep], F.col(text).cast("string").alias("_text_"))
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField(c, T.DoubleType()) for c in names])
 
     def run(batches):
@@ -152,7 +152,7 @@ def fit(stats: np.ndarray, label: np.ndarray, trees: int = 24, depth: int = 3, r
         rate_ = (y.sum() + 1) / (len(y) + 2)
         return RuleEnsemble(float(np.log(rate_ / (1 - rate_))))
     random = np.random.default_rng(seed)
-    cuts = [np.unique(np.round((a := np.unique(np.quantile(stats[:, s], np.linspace(0, 1, 33)[1:-1], method="lower"))), 6)) for s in range(stats.shape[1])]
+    cuts = [np.unique(np.quantile(stats[:, s], np.linspace(0, 1, 33)[1:-1], method="lower")) for s in range(stats.shape[1])]
     bins = np.column_stack([np.searchsorted(c, stats[:, s], "left") for s, c in enumerate(cuts)])
     z, rules = np.full(len(y), np.log(y.mean() / (1 - y.mean()))), {}
     for _ in range(trees):
@@ -163,8 +163,7 @@ def fit(stats: np.ndarray, label: np.ndarray, trees: int = 24, depth: int = 3, r
         if not paths:
             break
         hit = np.column_stack([_hits(stats, r) for r in paths])
-        leaf = hit @ np.diag(2.0 ** np.arange(len(paths)))  # rows in the same set of nodes share a leaf
-        _, place = np.unique(leaf.sum(1), return_inverse=True)
+        _, place = np.unique(hit @ 2.0 ** np.arange(len(paths)), return_inverse=True)  # rows in the same nodes share a leaf
         g, h = np.bincount(place, y - p), np.bincount(place, p * (1 - p))
         z = z + rate * (g / (h + 1))[place]
     kept = list(rules)
@@ -212,7 +211,10 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> RuleEnsem
 def score(docs: DataFrame, model: RuleEnsemble, keep: list[str] | None = None) -> DataFrame:
     """`keep` columns and the score, 0 to 1; higher: label 1 likelier."""
     keep = docs.columns if keep is None else keep
-    return with_statistics(docs, keep=keep).select(*keep, model.column().alias("score"))
+    prefix = "stat_"
+    while any(c.startswith(prefix) for c in keep):
+        prefix = "_" + prefix
+    return with_statistics(docs, keep=keep, prefix=prefix).select(*keep, model.column(prefix).alias("score"))
 
 
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
