@@ -3,8 +3,8 @@
 A window is `size` consecutive words of an item. A document that holds a window holds its rarest word, so the
 words of documents are joined with one necessary word a window, chosen by counts over the whole corpus.
 The word's place gives where the window would start, which must lie inside the document (positional and
-length bounds); the few candidates left are compared word by word. Candidates of a document travel as one
-row, and only documents' own rows meet them, so a passage that a third of all documents share is no hot key.
+length bounds). Each place travels with the words around it, so candidates are compared word by word at once and
+no text is ever shuffled; verified hits meet by document, so a passage that a third of all documents share is no hot key.
 
 Defined cases: null text has no words; documents without words are clean; null items and items without words
 match nothing; repeated rows get equal reports; equal items each count; other columns are ignored.
@@ -39,32 +39,63 @@ def windows(items: DataFrame, size: int) -> DataFrame:
     return each.select(F.xxhash64(body).alias("window"), "items", F.size("w").alias("length"), body.alias("body"), F.posexplode("w").alias("at", "word"))
 
 
-def report(docs: DataFrame, items: DataFrame, size: int = 13, share: int = 20, keep: list[str] | None = None) -> DataFrame:
-    """`keep` columns (doc_id unless given), n_words, n_hit, n_items, items_sha256, contaminated."""
-    keep = keep or ["doc_id"]
+NO_ID = -(1 << 63)
+
+
+def _keyed(docs: DataFrame) -> list[Column]:
+    """A row's key: repeated rows share it and have equal reports."""
+    return [F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("_id"), F.xxhash64(F.col("text").cast("string")).alias("_hash")]
+
+
+def _found(docs: DataFrame, items: DataFrame, size: int) -> DataFrame:
+    """_id, _hash, times (rows with this key), n_words, n_hit, items (sorted ids)."""
     token = windows(items, size)
     few = token.select("window").distinct().count() <= BROADCAST_WINDOWS
     small = F.broadcast if few else (lambda x: x)
-    docs = docs.select(*keep, F.col("text").cast("string").alias("_text"), F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("_id"), F.xxhash64(F.col("text").cast("string")).alias("_hash"))
-    occurring = docs.select("_id", "_hash", F.posexplode(words(F.col("_text"))).alias("pos", "word"))
+    spread = docs.select(*_keyed(docs), words(F.col("text").cast("string")).alias("w"))
     vocabulary = token.select("word").distinct()
-    counts = occurring.select("word").join(small(vocabulary), "word").groupBy("word").agg(F.count("*").alias("n"))
+    counts = spread.select(F.explode("w").alias("word")).join(small(vocabulary), "word").groupBy("word").agg(F.count("*").alias("n"))
     rarest = F.row_number().over(W.partitionBy("window").orderBy("n", "at"))
     # a window with a word that no document has cannot occur and needs no prefix
     whole = F.count("n").over(W.partitionBy("window")) == F.col("length")
-    prefix = token.join(small(counts), "word", "left").withColumn("whole", whole).filter("whole").withColumn("k", rarest).filter("k = 1").select("word", "at", "window", "length", "body", "items")
-    prefix = prefix.checkpoint() if few else prefix  # small, and used at once: the corpus is counted once
-    start = F.col("pos") - F.col("at")
-    candidates = occurring.join(small(prefix.select("word", "at", "window", "length")), "word").filter(start >= 0).select("_id", "_hash", "window", start.alias("start"), "length").distinct()
-    candidates = candidates.join(small(prefix.select("window", "body", "items")), "window")
-    per_doc = candidates.groupBy("_id", "_hash").agg(F.collect_list(F.struct("start", "length", "body", "items")).alias("c"))
-    joined = docs.join(per_doc, ["_id", "_hash"], "left").withColumn("w", words(F.col("_text")))
-    hits = F.filter(F.coalesce(F.col("c"), F.array()), lambda c: (c["start"] + c["length"] <= F.size("w")) & (F.array_join(F.slice("w", c["start"] + 1, c["length"]), " ") == c["body"]))
-    found = joined.select(*keep, F.size("w").cast("long").alias("n_words"), hits.alias("h"))
-    covered = F.size(F.array_distinct(F.flatten(F.transform("h", lambda h: F.sequence(h["start"], h["start"] + h["length"] - 1))))).cast("long")
+    prefix = token.join(small(counts), "word", "left").withColumn("whole", whole).filter("whole").withColumn("k", rarest).filter("k = 1").select("word", "at", "length", "body", "items")
+    prefix = prefix.checkpoint()  # no larger than the benchmark, and used twice: the corpus is counted once
+    at = F.sequence(F.lit(1), F.size("w"))
+    if few:
+        rare = [r["word"] for r in prefix.select("word").distinct().collect()]
+        at = F.filter(at, lambda i: F.element_at("w", i).isin(rare)) if rare else F.array().cast("array<int>")
+    at = F.when(F.size("w") > 0, at)
+    # each place of a prefix word with the words around it, as far as a window can reach
+    near = F.transform(at, lambda i: F.struct(i.alias("i"), F.element_at("w", i).alias("word"), F.slice("w", F.greatest(i - (size - 1), F.lit(1)), 2 * size - 1).alias("around")))
+    placed = spread.select("_id", "_hash", F.size("w").alias("n_words"), F.explode(near).alias("c")).select("_id", "_hash", "n_words", "c.i", "c.word", "c.around")
+    start = F.col("i") - F.col("at")  # from 1
+    fits = (start >= 1) & (start + F.col("length") - 1 <= F.col("n_words"))
+    same = F.array_join(F.slice("around", start - F.greatest(F.col("i") - (size - 1), F.lit(1)) + 1, F.col("length")), " ") == F.col("body")
+    hits = placed.join(small(prefix), "word").filter(fits).filter(same).select("_id", "_hash", start.cast("int").alias("start"), "length", "items")
+    covered = hits.groupBy("_id", "_hash").agg(F.collect_set(F.struct("start", "length", "items")).alias("h"))
+    n_hit = F.size(F.array_distinct(F.flatten(F.transform("h", lambda h: F.sequence(h["start"], h["start"] + h["length"] - 1)))))
     names = F.array_sort(F.array_distinct(F.flatten(F.transform("h", lambda h: h["items"]))))
-    out = found.select(*keep, "n_words", covered.alias("n_hit"), names.alias("i"))
-    return out.select(*keep, "n_words", "n_hit", F.size("i").cast("long").alias("n_items"), F.sha2(F.array_join("i", ","), 256).alias("items_sha256"), ((F.col("n_hit") > 0) & (F.lit(share) * F.col("n_hit") >= F.col("n_words"))).alias("contaminated"))
+    rows = spread.groupBy("_id", "_hash").agg(F.count("*").alias("times"), F.max(F.size("w")).cast("long").alias("n_words"))
+    both = rows.join(covered.select("_id", "_hash", n_hit.cast("long").alias("n_hit"), names.alias("items")), ["_id", "_hash"], "left")
+    return both.select("_id", "_hash", "times", "n_words", F.coalesce("n_hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce("items", F.array().cast("array<string>")).alias("items"))
+
+
+def _bad(share: int) -> Column:
+    return (F.col("n_hit") > 0) & (F.lit(share) * F.col("n_hit") >= F.col("n_words"))
+
+
+def report(docs: DataFrame, items: DataFrame, size: int = 13, share: int = 20) -> DataFrame:
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated of every row."""
+    found = _found(docs, items, size).withColumn("_", F.explode(F.sequence(F.lit(1).cast("long"), F.col("times"))))
+    doc_id = F.when(F.col("_id") != NO_ID, F.col("_id")).alias("doc_id")
+    return found.select(doc_id, "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), _bad(share).alias("contaminated"))
+
+
+def clean(docs: DataFrame, items: DataFrame, size: int = 13, share: int = 20) -> DataFrame:
+    """`docs` without the contaminated rows, columns as they were."""
+    bad = _found(docs, items, size).filter(_bad(share)).select("_id", "_hash")
+    row = docs.select(F.struct(*docs.columns).alias("row"), *_keyed(docs))
+    return row.join(bad, ["_id", "_hash"], "left_anti").select("row.*")
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
