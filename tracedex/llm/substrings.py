@@ -22,17 +22,20 @@ import tempfile
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tracedex.llm.common import byte_codes, flat_utf8, sliding_min, spans, table, window_hashes
+from tracedex.llm.common import byte_codes, flat_utf8, mix64, sliding_min, spans, table, window_hashes
 
 WIDTH, GRAM = 100, 16
 #: Symbols of a collection that are sorted in memory; a larger one keeps its columns in a file.
 IN_MEMORY = 1 << 26
 #: Contexts that are sorted together, unless one anchor has more.
 BATCH = 30_000
+#: An anchor with more runs than this in one task is first settled there; what is sent on is one run, or those that differ.
+HOT = 16
 
 
 def runs(data: np.ndarray, offsets: np.ndarray, width: int = WIDTH, gram: int = GRAM) -> tuple[np.ndarray, ...]:
@@ -125,6 +128,12 @@ def mark(contexts: list[bytes], group: np.ndarray, windows: np.ndarray, ahead: n
     return np.column_stack([i, start - begin[i], end - begin[i]])
 
 
+def _grouped(values: np.ndarray) -> tuple[np.ndarray, ...]:
+    """(distinct values, place of each value among them, how often each occurs, where it first occurs)."""
+    distinct, first, place, times = np.unique(values, return_index=True, return_inverse=True, return_counts=True)
+    return distinct, place, times, first
+
+
 RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
@@ -146,30 +155,34 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_t
             for i, j in spans(offsets):
                 doc, anchor, start, count, ahead = runs(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], width, gram)
                 pack = (start << 16) | (count << 8) | ahead
+                # a frequent anchor is known to occur again: one of its runs goes where the anchor goes and says so, the others go anywhere
+                _, place, times, first = _grouped(anchor)
+                known = times[place] > HOT
+                route = np.where(known & (first[place] != np.arange(len(anchor))), mix64(anchor.view(np.uint64) + np.arange(len(anchor), dtype=np.uint64)).view(np.int64), anchor)
                 for k in range(0, len(doc), 100_000):
                     s = slice(k, k + 100_000)
-                    yield pa.RecordBatch.from_arrays([pa.array(anchor[s]), pa.array(ids[i + doc[s]]), pa.array(rns[i + doc[s]].astype(np.int32)), pa.array(pack[s])], ["anchor", "doc_id", "rn", "pack"])
+                    yield pa.RecordBatch.from_arrays([pa.array(route[s]), pa.array(known[s]), pa.array(anchor[s]), pa.array(ids[i + doc[s]]), pa.array(rns[i + doc[s]].astype(np.int32)), pa.array(pack[s])], ["route", "known", "anchor", "doc_id", "rn", "pack"])
 
-    found = flagged.filter("first").select("doc_id", "rn", "text").mapInArrow(find, "anchor long, doc_id long, rn int, pack long")
+    found = flagged.filter("first").select("doc_id", "rn", "text").mapInArrow(find, "route long, known boolean, anchor long, doc_id long, rn int, pack long")
 
     def repeated(batches):
-        """Keeps runs whose anchor has another run; only one row is carried from batch to batch."""
+        """Keeps runs that are known to occur again or share a route; only one row is carried from batch to batch."""
         carry, carried_again = None, False
         for b in batches:
             b = b if carry is None else pa.Table.from_batches([carry, b]).combine_chunks().to_batches()[0]
-            anchor = b.column("anchor").to_numpy()
+            anchor = b.column("route").to_numpy()
             same = np.zeros(len(anchor) + 1, bool)
             same[1:-1] = anchor[1:] == anchor[:-1]
             again = same[:-1] | same[1:]
             if len(again):
                 again[0] |= carried_again
-                keep = again[:-1]
-                yield b.slice(0, len(anchor) - 1).filter(pa.array(keep))
+                again |= b.column("known").to_numpy(zero_copy_only=False)
+                yield b.slice(0, len(anchor) - 1).filter(pa.array(again[:-1]))
                 carry, carried_again = b.slice(len(anchor) - 1), bool(again[-1])
         if carry is not None and carried_again:
             yield carry
 
-    again = found.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(repeated, found.schema)
+    again = found.repartition("route").sortWithinPartitions("route").mapInArrow(repeated, found.schema)
     per_doc = again.groupBy("doc_id").agg(F.collect_list(F.struct("rn", "pack", "anchor")).alias("runs"))
 
     def cut(batches):
@@ -190,7 +203,22 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_t
                 yield contexts_of(out)
 
     def contexts_of(out):
-        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary()), strict=True)], ["anchor", "doc_id", "rn", "pack", "context"])
+        """Contexts to be dealt out by anchor. Those of a frequent anchor are settled here first: their repeats leave as marks (no
+        context, dealt out anywhere), and only contexts with a window that is new here are sent on."""
+        out.sort()
+        anchor = np.fromiter((r[0] for r in out), np.int64, len(out))
+        _, place, times, _ = _grouped(anchor)
+        hot = np.flatnonzero(times[place] > HOT)
+        rows = [r for r, t in zip(out, times[place].tolist(), strict=True) if t <= HOT]
+        if len(hot):
+            pack = np.fromiter((out[k][3] for k in hot), np.int64, len(hot))
+            marks = mark([out[k][4] for k in hot], np.cumsum(np.r_[0, np.diff(place[hot]) != 0]), pack >> 8 & 255, pack & 255, width, gram)
+            done = np.zeros(len(hot), np.int64)
+            np.add.at(done, marks[:, 0], marks[:, 2] - marks[:, 1])
+            rows += [out[hot[k]] for k in np.flatnonzero(done < (pack >> 8 & 255))]
+            rows += [(int(m[0]) * 1_000_003 + r[1] * 8_191 + int(m[1]), r[1], r[2], (((r[3] >> 16) + int(m[1])) << 16) | int(m[2] - m[1]), None) for m in marks for r in (out[hot[m[0]]],)]
+        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), kinds, strict=True)] if rows else [pa.array([], t) for t in kinds], ["anchor", "doc_id", "rn", "pack", "context"])
 
     contexts = base.join(per_doc, "doc_id").mapInArrow(cut, "anchor long, doc_id long, rn int, pack long, context binary")
 
@@ -213,6 +241,12 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_t
             yield from marks_of(pa.Table.from_batches(held).combine_chunks())
 
     def marks_of(rows):
+        settled = rows.filter(pc.is_null(rows.column("context")))
+        if len(settled):
+            pack = settled.column("pack").to_numpy()
+            low = pack >> 16
+            yield pa.RecordBatch.from_arrays([settled.column("doc_id").combine_chunks(), settled.column("rn").combine_chunks(), pa.array(low), pa.array(low + (pack & 0xFFFF) + width - 1)], ["doc_id", "rn", "low", "high"])
+        rows = rows.filter(pc.is_valid(rows.column("context")))
         if not len(rows):
             return
         anchor, pack = rows.column("anchor").to_numpy(), rows.column("pack").to_numpy()
