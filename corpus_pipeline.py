@@ -39,8 +39,7 @@ def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops contaminated documents."""
-    row = docs.select(F.struct(*docs.columns).alias("row"), "doc_id", "text")
-    return contamination.report(row, table(spark, sf_dir, "benchmark"), keep=["row"]).filter(~F.col("contaminated")).select("row.*")
+    return contamination.clean(docs, table(spark, sf_dir, "benchmark"))
 
 
 def without_private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
