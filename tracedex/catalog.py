@@ -1,4 +1,256 @@
-"""The engine's registered queries and the SQL that checks them."""
+"""The engine's registered queries and the SQL that checks them, which shares no code with the engine."""
 
-QUERIES = {}
-ORACLES = {}
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from tracedex.model import DAY, HOUR, IndexConfig, P, PatternQuery, seq
+from tracedex.operators import baselines, explore, measures, pairs, workloads
+from tracedex.operators.positions import latest_before, segment, sessionize
+from tracedex.plans.detect import count_matches, detect, matching_traces, survivors
+from tracedex.sources import logs
+from tracedex.store import LogIndex
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLES: dict[str, str] = {}
+
+V, C, E, B, S = P("view"), P("click"), P("error"), P("purchase"), P("signup")
+TEN = "view click error view click purchase signup view click purchase".split()
+JAN10, JAN12 = workloads.EPOCH + 9 * DAY, workloads.EPOCH + 12 * DAY - 1
+
+# --- logs in SQL: trace_id, pos, ts_us, activity
+LOGS = {
+    "events": "SELECT user_id AS trace_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS pos, epoch_us(ts) AS ts_us, event_type AS activity FROM events",
+    "type_k30": "SELECT user_id AS trace_id, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS pos, epoch_us(ts) AS ts_us, event_type || ':' || (CAST(json_extract(props, '$.k') AS INT) % 30) AS activity FROM events",
+    "orders": "SELECT o_custkey AS trace_id, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS pos, epoch_us(o_orderdate) AS ts_us, o_orderstatus || '/' || o_orderpriority AS activity FROM orders",
+    "lineitem": "SELECT l_orderkey AS trace_id, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_shipdate, l_linenumber, l_partkey, l_suppkey, p_brand) AS pos, epoch_us(l_shipdate) AS ts_us, p_brand AS activity FROM lineitem JOIN part ON l_partkey = p_partkey",
+    "pages": "SELECT page_id AS trace_id, i AS pos, i AS ts_us, tags[i] AS activity FROM (SELECT page_id, tags, unnest(range(1, len(tags) + 1)) AS i FROM (SELECT page_id, regexp_extract_all(html, '<([a-z][a-z0-9]*)', 1) AS tags FROM pages))",
+    "conv": "SELECT conv_id AS trace_id, row_number() OVER (PARTITION BY conv_id ORDER BY turn, role) AS pos, turn AS ts_us, role AS activity FROM conversations",
+}
+SOURCES: dict[str, Query] = {
+    "events": logs.events_log,
+    "type_k30": lambda s, d: logs.events_log(s, d, "type_k30"),
+    "orders": logs.orders_log,
+    "lineitem": logs.lineitem_log,
+    "pages": logs.pages_log,
+    "conv": logs.conversations_log,
+}
+
+
+def _log(name: str) -> str:
+    return f"WITH log AS ({LOGS[name]})"
+
+
+def _pairs(name: str, lookback: int | None = None) -> str:
+    """Closed form: every event with the interval since the previous event of its type."""
+    near = f" AND b.ts_us - a.ts_us <= {lookback}" if lookback else ""
+    return f"""{_log(name)}, s AS (SELECT *, coalesce(lag(pos) OVER (PARTITION BY trace_id, activity ORDER BY pos), 0) AS p FROM log),
+prs AS (SELECT a.activity AS a_first, b.activity AS a_second, b.trace_id, CAST(min(a.pos) AS BIGINT) AS pos_a, CAST(b.pos AS BIGINT) AS pos_b, min(a.ts_us) AS ts_a, b.ts_us AS ts_b
+        FROM s b JOIN log a ON a.trace_id = b.trace_id AND a.pos >= b.p AND a.pos < b.pos{near} GROUP BY b.trace_id, a.activity, b.activity, b.pos, b.ts_us)"""
+
+
+def _add(name: str, query: Query, sql: str | None = None) -> None:
+    QUERIES[name] = query
+    if sql:
+        ORACLES[name] = sql
+
+
+def _index(s: SparkSession, d: str, log: str = "events", lookback: int | None = None) -> LogIndex:
+    return LogIndex(SOURCES[log](s, d), IndexConfig(lookback_us=lookback))
+
+
+def _long(df: DataFrame) -> DataFrame:
+    """Integers as one type, so that results compare with SQL."""
+    return df.select(*[F.col(c).cast("long").alias(c) if t in ("int", "smallint", "tinyint") else F.col(c) for c, t in df.dtypes])
+
+
+# --- logs and index tables
+for _n in LOGS:
+    _add(
+        f"log_describe_{_n}",
+        lambda s, d, n=_n: _long(measures.describe(SOURCES[n](s, d)).select("events", "traces", "types", "min_length", "max_length")),
+        f"{_log(_n)} SELECT (SELECT CAST(count(*) AS BIGINT) FROM log) AS events, CAST(count(*) AS BIGINT) AS traces, (SELECT count(DISTINCT activity) FROM log) AS types, CAST(min(n) AS BIGINT) AS min_length, CAST(max(n) AS BIGINT) AS max_length FROM (SELECT trace_id, count(*) AS n FROM log GROUP BY trace_id)",
+    )
+    _add(
+        f"pairs_{_n}",
+        lambda s, d, n=_n: _long(_index(s, d, n).pairs().select("a_first", "a_second", "trace_id", "pos_a", "pos_b")),
+        f"{_pairs(_n)} SELECT a_first, a_second, trace_id, pos_a, pos_b FROM prs",
+    )
+_add("positions_events", lambda s, d: _long(logs.events_log(s, d)), f"{_log('events')} SELECT trace_id, CAST(pos AS BIGINT) AS pos, ts_us, activity FROM log")
+_add("type_index_events", lambda s, d: _long(pairs.dictionary(logs.events_log(s, d))), f"{_log('events')} SELECT activity, count(*) AS n_events, count(DISTINCT trace_id) AS n_traces FROM log GROUP BY activity")
+_add("trace_bounds_events", lambda s, d: _long(pairs.bounds(logs.events_log(s, d))), f"{_log('events')} SELECT trace_id, count(*) AS n_events, min(ts_us) AS first_ts, max(ts_us) AS last_ts, CAST(max(pos) AS BIGINT) AS last_pos FROM log GROUP BY trace_id")
+_add("pairs_lookback_3d", lambda s, d: _long(_index(s, d, lookback=3 * DAY).pairs().select("a_first", "a_second", "trace_id", "pos_a", "pos_b")), f"{_pairs('events', 3 * DAY)} SELECT a_first, a_second, trace_id, pos_a, pos_b FROM prs")
+_add("pairs_unused_second", lambda s, d: _long(pairs.extract_pairs(logs.events_log(s, d), policy="unused_second").groupBy("a_first", "a_second").agg(F.count("*").alias("n"))))
+_add("pair_stats_type", lambda s, d: _long(_index(s, d).stats()), f"{_pairs('events')} SELECT a_first, a_second, count(*) AS completions, CAST(sum(ts_b - ts_a) AS BIGINT) AS sum_dur, min(ts_b - ts_a) AS min_dur, max(ts_b - ts_a) AS max_dur, min(pos_b - pos_a) AS min_gap, max(pos_b - pos_a) AS max_gap FROM prs GROUP BY a_first, a_second")
+_add("frontier_type", lambda s, d: _long(pairs.frontier(_index(s, d).pairs())), f"{_pairs('events')} SELECT a_first, a_second, trace_id, max(ts_b) AS last_ts, max(pos_b) AS last_pos FROM prs GROUP BY a_first, a_second, trace_id")
+_add("segments_5d", lambda s, d: _long(_index(s, d).pairs().withColumn("segment", segment("ts_b", IndexConfig(split_every_days=5))).groupBy("segment").agg(F.count("*").alias("n"))), f"{_pairs('events')} SELECT CAST(floor(ts_b / {5 * DAY}) AS BIGINT) AS segment, count(*) AS n FROM prs GROUP BY 1")
+_add("rollup_stats", lambda s, d: _long(pairs.stats_rollup(_index(s, d).pairs()).select(F.coalesce("a_first", F.lit("*")).alias("a_first"), F.coalesce("a_second", F.lit("*")).alias("a_second"), "completions")), f"{_pairs('events')} SELECT coalesce(a_first, '*') AS a_first, coalesce(a_second, '*') AS a_second, count(*) AS completions FROM prs GROUP BY ROLLUP (a_first, a_second)")
+_add("topk_pairs", lambda s, d: _long(_index(s, d).stats().orderBy(F.desc("completions"), "a_first", "a_second").limit(10).select("a_first", "a_second", "completions")), f"{_pairs('events')} SELECT a_first, a_second, count(*) AS completions FROM prs GROUP BY a_first, a_second ORDER BY completions DESC, a_first, a_second LIMIT 10")
+
+
+def _incremental(s: SparkSession, d: str) -> DataFrame:
+    """Pairs of ten daily cuts, each made from the new events and what is stored, against one build."""
+    log = workloads.carry_over(logs.events_log(s, d))
+    whole = logs.with_positions(log.select("trace_id", "ts_us", "activity", "day")).select("trace_id", "pos", "ts_us", "activity", "day")
+    parts = None
+    for day in range(10):
+        first = whole.filter(F.col("day") == day).groupBy("trace_id").agg(F.min("pos").alias("new_pos"))
+        touched = whole.filter(F.col("day") <= day).join(first.select("trace_id"), "trace_id", "left_semi")
+        made = pairs.extract_pairs(touched, new_from=first)
+        parts = made if parts is None else parts.unionByName(made)
+    once = pairs.extract_pairs(whole)
+    return parts.exceptAll(once).agg(F.count("*").alias("extra")).crossJoin(once.exceptAll(parts).agg(F.count("*").alias("missing")))
+
+
+_add("incremental_equals_batch", _incremental, "SELECT CAST(0 AS BIGINT) AS extra, CAST(0 AS BIGINT) AS missing")
+
+
+# --- detection
+def _letters(types: list[str]) -> dict[str, str]:
+    return {t: "abcdefghijklmnopqrstuvwxyz"[i] for i, t in enumerate(sorted(set(types)))}
+
+
+def _regex_sql(pattern: str, types: list[str], log: str = "events", first: bool = False) -> str:
+    """Occurrences of each trace: letters for the types that matter, RE2 for the pattern."""
+    cases = " ".join(f"WHEN '{t}' THEN '{c}'" for t, c in _letters(types).items())
+    names = ", ".join(f"'{t}'" for t in _letters(types))
+    return f"{_log(log)}, t AS (SELECT trace_id, string_agg(CASE activity {cases} END, '' ORDER BY pos) AS s FROM log WHERE activity IN ({names}) GROUP BY trace_id) SELECT trace_id AS unit_id, CAST({'1' if first else 'n'} AS BIGINT) AS occurrences FROM (SELECT trace_id, len(regexp_extract_all(s, '{pattern}')) AS n FROM t) WHERE n > 0"
+
+
+def _chain(required: list[str], negated: dict[int, list[str]] | None = None, types: list[str] | None = None) -> str:
+    names = _letters(types or required)
+    group = lambda e: "".join(names[x] for x in e.split("|"))
+    out = f"[{group(required[0])}]"
+    for k, e in enumerate(required[1:], 1):
+        out += f"[^{group(e)}{''.join(names[x] for x in (negated or {}).get(k, []))}]*[{group(e)}]"
+    return out
+
+
+def _counted(q: PatternQuery, log: str = "events", **options) -> Query:
+    return lambda s, d: _long(count_matches(_index(s, d, log), q, **options))
+
+
+_K30 = ["view:1", "click:2"]
+_add("detect_simple_2", _counted(seq("view", "click")), _regex_sql(_chain(["view", "click"]), ["view", "click"]))
+_add("detect_simple_3", _counted(seq("view", "click", "purchase")), _regex_sql(_chain(["view", "click", "purchase"]), ["view", "click", "purchase"]))
+_add("detect_simple_5", _counted(seq("view", "click", "error", "signup", "purchase")), _regex_sql(_chain(["view", "click", "error", "signup", "purchase"]), ["view", "click", "error", "signup", "purchase"]))
+_add("detect_simple_10", _counted(seq(*TEN)), _regex_sql(_chain(TEN), TEN))
+_add("detect_type_k30_2", _counted(seq(*_K30), "type_k30"), _regex_sql(_chain(_K30), _K30, "type_k30"))
+_add("detect_brands_2", _counted(seq("Brand#11", "Brand#22"), "lineitem"), _regex_sql(_chain(["Brand#11", "Brand#22"]), ["Brand#11", "Brand#22"], "lineitem"))
+_add("detect_repeated", _counted(seq("view", "click", "view", "click")), _regex_sql(_chain(["view", "click", "view", "click"]), ["view", "click"]))
+_add("detect_plus", _counted(seq(S, V.plus(), B)), _regex_sql(_chain(["signup", "view", "purchase"]), ["signup", "view", "purchase"]))
+_add("detect_star", _counted(seq(S, E.star(), B)), _regex_sql(_chain(["signup", "purchase"]), ["signup", "purchase"]))
+_add("detect_neg", _counted(seq(V, E.neg(), B)), _regex_sql(_chain(["view", "purchase"], {1: ["error"]}, ["view", "error", "purchase"]), ["view", "error", "purchase"]))
+_add("detect_or", _counted(seq(V, C.or_("signup"), B)), _regex_sql(_chain(["view", "click|signup", "purchase"], types=["view", "click", "signup", "purchase"]), ["view", "click", "signup", "purchase"]))
+_add("detect_single_element", _counted(seq("purchase")), f"{_log('events')} SELECT trace_id AS unit_id, count(*) AS occurrences FROM log WHERE activity = 'purchase' GROUP BY trace_id")
+_MIX = ["view", "click", "purchase", "view|click", "view", "click", "purchase|signup"]
+_add("detect_mix10", _counted(workloads.large_pattern()), _regex_sql(_chain(_MIX, {2: ["error"]}, ["view", "click", "error", "purchase", "signup"]), ["view", "click", "error", "purchase", "signup"]))
+
+
+def _plain_join(types: list[str], where: str, window: str = "true") -> str:
+    n = range(1, len(types) + 1)
+    tables = ", ".join(f"(SELECT * FROM log WHERE activity = '{t}' AND {window}) e{i}" for i, t in zip(n, types, strict=True))
+    order = " AND ".join(f"e{i}.trace_id = e1.trace_id AND e{i}.pos > e{i - 1}.pos" for i in n if i > 1)
+    cols = ", ".join(f"CAST(e{i}.pos AS BIGINT) AS p{i}" for i in n)
+    names = ", ".join(f"p{i}" for i in n)
+    return f"SELECT unit_id, {names} FROM (SELECT *, row_number() OVER (PARTITION BY unit_id ORDER BY {names}) AS k FROM (SELECT e1.trace_id AS unit_id, {cols} FROM {tables} WHERE {order} AND {where})) WHERE k = 1"
+
+
+def _first(q: PatternQuery, **options) -> Query:
+    """The first occurrence's positions, a column an element."""
+
+    def run(s: SparkSession, d: str) -> DataFrame:
+        bound = detect(_index(s, d), q, **options)
+        return bound.groupBy("unit_id").agg(*[F.max(F.when(F.col("elem") == n, F.col("pos"))).cast("long").alias(f"p{n}") for n in range(1, len(q.elems) + 1)])
+
+    return run
+
+
+_VCB, _Q3 = ["view", "click", "purchase"], seq("view", "click", "purchase")
+for _name, _q, _where in (
+    ("detect_within_time", _Q3.within_time(1, 3, 24 * HOUR), f"e3.ts_us - e1.ts_us <= {24 * HOUR}"),
+    ("detect_atleast_time", _Q3.atleast_time(1, 2, 28 * DAY), f"e2.ts_us - e1.ts_us >= {28 * DAY}"),
+    ("detect_within_gap", _Q3.within_gap(1, 3, 2), "e3.pos - e1.pos <= 2"),
+    ("detect_atleast_gap", _Q3.atleast_gap(2, 3, 60), "e3.pos - e2.pos >= 60"),
+    ("detect_two_constraints", _Q3.within_time(1, 2, 12 * HOUR).atleast_gap(2, 3, 5), f"e2.ts_us - e1.ts_us <= {12 * HOUR} AND e3.pos - e2.pos >= 5"),
+):
+    _add(_name, _first(_q), f"{_log('events')} {_plain_join(_VCB, _where)}")
+_add("detect_constraints_automaton", _first(_Q3.within_time(1, 3, 24 * HOUR), how="nfa"), ORACLES["detect_within_time"])
+_add("detect_between", _first(_Q3.between(JAN10, JAN12)), f"{_log('events')} {_plain_join(_VCB, 'true', f'ts_us BETWEEN {JAN10} AND {JAN12}')}")
+_add("detect_strict", _counted(PatternQuery((V, C), policy="strict")), _regex_sql("vc".replace("v", _letters(["click", "error", "purchase", "signup", "view"])["view"]).replace("c", _letters(["click"])["click"], 1), ["click", "error", "purchase", "signup", "view"]))
+
+
+def _all_matches(s: SparkSession, d: str) -> DataFrame:
+    bound = detect(_index(s, d), _Q3.all_matches())
+    return bound.groupBy("unit_id").agg(F.max("occ_no").cast("long").alias("occurrences"))
+
+
+_add("detect_all_matches", _all_matches, ORACLES["detect_simple_3"])
+_GROUPED = f"WITH log0 AS ({LOGS['events']}), log AS (SELECT g AS trace_id, row_number() OVER (PARTITION BY g ORDER BY ts_us, trace_id, pos) AS pos, ts_us, activity FROM (SELECT *, CAST(CASE WHEN trace_id IN (1, 2, 3, 8) THEN 1 WHEN trace_id IN (5, 6, 7) THEN 2 END AS BIGINT) AS g FROM log0 WHERE activity IN ('view', 'click', 'purchase')) WHERE g IS NOT NULL)"
+_add("detect_groups", lambda s, d: _long(count_matches(_index(s, d), _Q3.groups("{1..3,8} {5..7}"))), ORACLES["detect_simple_3"].replace(_log("events"), _GROUPED))
+
+# --- pruning
+_HAS = "SELECT trace_id FROM prs WHERE (a_first, a_second) IN (('view', 'click'), ('click', 'purchase')) GROUP BY trace_id HAVING count(DISTINCT a_first) = 2"
+_KP = seq("view:1", "click:2", "purchase:3")
+_KHAS = "SELECT trace_id FROM prs WHERE (a_first, a_second) IN (('view:1', 'click:2'), ('click:2', 'purchase:3')) GROUP BY trace_id HAVING count(DISTINCT a_first) = 2"
+_add("prune_required", lambda s, d: survivors(_index(s, d), _Q3, "required"), f"{_pairs('events')} {_HAS}")
+for _how in ("required", "any_alternative", "semijoin"):
+    _add(f"prune_k30_{_how}", lambda s, d, h=_how: survivors(_index(s, d, "type_k30"), _KP, h), f"{_pairs('type_k30')} {_KHAS}")
+_add("prune_or", lambda s, d: survivors(_index(s, d, "type_k30"), seq(P("view:1").or_("view:2"), "click:2")), f"{_pairs('type_k30')} SELECT DISTINCT trace_id FROM prs WHERE a_first IN ('view:1', 'view:2') AND a_second = 'click:2'")
+_add("prune_containment", lambda s, d: baselines.ContainmentIndex(SOURCES["type_k30"](s, d)).prune(_KP), f"{_log('type_k30')} SELECT trace_id FROM log WHERE activity IN ('view:1', 'click:2', 'purchase:3') GROUP BY trace_id HAVING count(DISTINCT activity) = 3")
+_add("prune_signature", lambda s, d: baselines.SignatureIndex(SOURCES["type_k30"](s, d)).prune(_KP))
+_add("prune_quality", lambda s, d: _long(measures.pruning(_index(s, d, "type_k30"), _KP)))
+
+# --- exploration and explanation
+_add("stats_pattern", lambda s, d: _long(explore.statistics(_index(s, d), _Q3).drop("mean_dur")), f"{_pairs('events')} SELECT CASE a_first WHEN 'view' THEN 1 ELSE 2 END::BIGINT AS ordinal, a_first, a_second, count(*) AS completions, CAST(sum(ts_b - ts_a) AS BIGINT) AS sum_dur, min(ts_b - ts_a) AS min_dur, max(ts_b - ts_a) AS max_dur FROM prs WHERE (a_first, a_second) IN (('view', 'click'), ('click', 'purchase')) GROUP BY a_first, a_second")
+_add("continuation_bound", lambda s, d: _long(explore.continuation(_index(s, d), seq("view", "click"), "bound").drop("mean_dur")), f"{_pairs('events')}, st AS (SELECT a_first, a_second, count(*) AS n FROM prs GROUP BY a_first, a_second) SELECT a_second AS activity, least(n, (SELECT n FROM st WHERE a_first = 'view' AND a_second = 'click')) AS completions FROM st WHERE a_first = 'click'")
+_add("continuation_exact", lambda s, d: _long(explore.continuation(_index(s, d), seq("view", "click"), "exact").drop("mean_dur")))
+_add("continuation_hybrid", lambda s, d: _long(explore.continuation(_index(s, d), seq("view", "click"), "hybrid", 2).drop("mean_dur")))
+_add("diagnose_query", lambda s, d: _long(explore.diagnose(_index(s, d), seq("view", "click", "nothing").within_time(1, 2, HOUR))))
+_add("diagnose_exact", lambda s, d: _long(explore.diagnose(_index(s, d), seq("view", "click").within_time(1, 2, HOUR).atleast_gap(1, 2, 70), exact=True)))
+
+
+def _explained(k: int, u: int, how: str = "join", types: tuple[str, ...] = ("view", "click", "purchase")) -> Query:
+    q = seq(*types).within_time(1, len(types), 6 * HOUR).explain(k * HOUR, u * HOUR, 2 * HOUR)
+    return lambda s, d: explore.explain(_index(s, d), q, how).filter("elem = 1").select("trace_id", "cost")
+
+
+def _explain_sql(k: int, u: int) -> str:
+    """All altered bindings by joins, the least cost of each trace that has the types and no answer."""
+    return f"""{_log('events')}, ans AS ({_plain_join(_VCB, f'e3.ts_us - e1.ts_us <= {6 * HOUR}')}),
+cand AS (SELECT trace_id FROM log WHERE activity IN ('view', 'click', 'purchase') GROUP BY trace_id HAVING count(DISTINCT activity) = 3 AND trace_id NOT IN (SELECT unit_id FROM ans)),
+c AS (SELECT trace_id, pos, activity, ts_us + i * {2 * HOUR} AS t, abs(i) * {2 * HOUR} AS cost FROM log, range({-(u // 2)}, {u // 2 + 1}) r(i) WHERE trace_id IN (SELECT trace_id FROM cand))
+SELECT a.trace_id, CAST(min(a.cost + b.cost + c3.cost) AS BIGINT) AS cost FROM (SELECT * FROM c WHERE activity = 'view') a JOIN (SELECT * FROM c WHERE activity = 'click') b ON a.trace_id = b.trace_id AND b.t > a.t AND b.t <= a.t + {6 * HOUR}
+JOIN (SELECT * FROM c WHERE activity = 'purchase') c3 ON a.trace_id = c3.trace_id AND c3.t > b.t AND c3.t - a.t <= {6 * HOUR} WHERE a.cost + b.cost + c3.cost < {k * HOUR} GROUP BY a.trace_id"""
+
+
+_add("explain_q3", _explained(4, 2), _explain_sql(4, 2))
+_add("explain_q3_wide", _explained(8, 4), _explain_sql(8, 4))
+_add("explain_q3_branch_and_bound", _explained(4, 2, "nfa"), _explain_sql(4, 2))
+_add("explain_q5", _explained(4, 2, types=("view", "click", "error", "signup", "purchase")))
+
+# --- baselines: the same answers by scans
+_add("scan_cep", lambda s, d: _long(baselines.cep_scan(logs.events_log(s, d), _Q3.all_matches()).groupBy("unit_id").agg(F.max("occ_no").alias("occurrences"))), ORACLES["detect_simple_3"])
+_add("scan_row_pattern", lambda s, d: _long(baselines.row_pattern_scan(logs.events_log(s, d), _Q3.all_matches()).groupBy("unit_id").agg(F.max("occ_no").alias("occurrences"))), ORACLES["detect_simple_3"])
+_add("scan_windows", lambda s, d: _long(baselines.row_pattern_windows(logs.events_log(s, d), _Q3)), f"{_log('events')} {_plain_join(_VCB, 'true')}")
+_add("signature_detect", lambda s, d: _long(baselines.SignatureIndex(logs.events_log(s, d)).detect(_Q3.all_matches()).groupBy("unit_id").agg(F.max("occ_no").alias("occurrences"))), ORACLES["detect_simple_3"])
+_add("containment_detect", lambda s, d: _long(baselines.ContainmentIndex(logs.events_log(s, d)).detect(_Q3.all_matches()).groupBy("unit_id").agg(F.max("occ_no").alias("occurrences"))), ORACLES["detect_simple_3"])
+_add("step_search_until", lambda s, d: _long(baselines.step_search(logs.events_log(s, d), [("view", 1, 1), ("click", 1, 1), ("purchase", 1, 1)], until="error")))
+_add("step_search_runs", lambda s, d: _long(baselines.step_search(logs.events_log(s, d), [("view", 1, 100), ("purchase", 2, 100)], 10 * DAY)))
+
+# --- measures, workloads, operators around
+_add("workload_carry10", lambda s, d: _long(workloads.carry_over(logs.events_log(s, d)).groupBy("trace_id").agg(F.count("*").alias("n"), F.count_distinct("day").alias("days"))), f"""{_log('events')}, e AS (SELECT *, CAST(floor((ts_us - {workloads.EPOCH}) / {DAY}) AS BIGINT) AS day FROM log WHERE ts_us < {workloads.EPOCH + 10 * DAY}),
+a AS (SELECT DISTINCT trace_id, day FROM e), f AS (SELECT *, CASE WHEN row_number() OVER (PARTITION BY trace_id ORDER BY day) = 1 THEN 1 WHEN (trace_id * 7 + day * 13) % 10 = 0 THEN 0 ELSE 1 END AS f FROM a),
+r AS (SELECT trace_id, day, sum(f) OVER (PARTITION BY trace_id ORDER BY day) AS run FROM f)
+SELECT CAST(e.trace_id * 1000 + run AS BIGINT) AS trace_id, count(*) AS n, count(DISTINCT e.day) AS days FROM e JOIN r ON e.trace_id = r.trace_id AND e.day = r.day GROUP BY 1""")
+_add("cloud_cost", lambda s, d: measures.cloud_cost(s, "object", 4e9).unionByName(measures.cloud_cost(s, "request", 12e9, write_units=55.7e6, read_units=4.9e6)), "SELECT * FROM (VALUES ('object', 0.092::DOUBLE, 0.0::DOUBLE, 0.0::DOUBLE, 0.092::DOUBLE), ('request', 3.6, 0.0, 83.857, 87.457)) v(kind, storage, traffic, requests, total)")
+_add("request_units", lambda s, d: measures.request_units(_index(s, d).pairs()).withColumn("how", F.lit("rows")).unionByName(measures.request_units(_index(s, d).pairs(), ["a_first", "a_second"]).withColumn("how", F.lit("grouped"))))
+_add("asof_latest_before", lambda s, d: _long(latest_before(logs.events_log(s, d), "view", "purchase").select("trace_id", "pos_a", "pos_b")), f"{_log('events')} SELECT * FROM (SELECT b.trace_id, CAST((SELECT max(a.pos) FROM log a WHERE a.trace_id = b.trace_id AND a.activity = 'view' AND a.pos < b.pos) AS BIGINT) AS pos_a, CAST(b.pos AS BIGINT) AS pos_b FROM log b WHERE b.activity = 'purchase') WHERE pos_a IS NOT NULL")
+_add("sessionize", lambda s, d: _long(sessionize(logs.events_log(s, d), "trace_id", "ts_us", 12 * HOUR).groupBy("trace_id").agg(F.max("session").alias("sessions"))), f"{_log('events')} SELECT trace_id, CAST(sum(CASE WHEN g <= {12 * HOUR} THEN 0 ELSE 1 END) AS BIGINT) AS sessions FROM (SELECT trace_id, ts_us - lag(ts_us) OVER (PARTITION BY trace_id ORDER BY pos) AS g FROM log) GROUP BY trace_id")
+_add("daily_counts", lambda s, d: _long(logs.events_log(s, d).groupBy(F.floor(F.col("ts_us") / DAY).alias("day"), "activity").agg(F.count("*").alias("n"))), f"{_log('events')} SELECT CAST(floor(ts_us / {DAY}) AS BIGINT) AS day, activity, count(*) AS n FROM log GROUP BY 1, 2")
+_add("intersect_traces", lambda s, d: LogIndex(SOURCES["type_k30"](s, d)).pair_rows([("view:1", "click:2")]).select("trace_id").intersect(LogIndex(SOURCES["type_k30"](s, d)).pair_rows([("click:2", "purchase:3")]).select("trace_id")), f"{_pairs('type_k30')} {_KHAS}")
+_add("except_nonanswers", lambda s, d: survivors(_index(s, d, "type_k30"), _KP).exceptAll(matching_traces(_index(s, d, "type_k30"), _KP).withColumnRenamed("unit_id", "trace_id")))
