@@ -209,8 +209,8 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> RuleEnsem
 
 
 def score(docs: DataFrame, model: RuleEnsemble, keep: list[str] | None = None) -> DataFrame:
-    """`keep` columns and the score, 0 to 1; higher: label 1 likelier."""
-    keep = docs.columns if keep is None else keep
+    """`keep` columns (all unless given; one named `score` is replaced) and the score, 0 to 1; higher: label 1 likelier."""
+    keep = [c for c in (docs.columns if keep is None else keep) if c != "score"]
     prefix = "stat_"
     while any(c.startswith(prefix) for c in keep):
         prefix = "_" + prefix
