@@ -34,8 +34,8 @@ WIDTH, GRAM = 100, 16
 IN_MEMORY = 1 << 26
 #: Contexts that are sorted together, unless one anchor has more.
 BATCH = 30_000
-#: An anchor with more runs than this in one task is first settled there; what is sent on is one run, or those that differ.
-HOT = 16
+#: An anchor with more runs than this in one batch of a task is first settled there; what is sent on is one run, or those that differ.
+HOT = 200
 
 
 def runs(data: np.ndarray, offsets: np.ndarray, width: int = WIDTH, gram: int = GRAM) -> tuple[np.ndarray, ...]:
@@ -161,7 +161,7 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_t
                 route = np.where(known & (first[place] != np.arange(len(anchor))), mix64(anchor.view(np.uint64) + np.arange(len(anchor), dtype=np.uint64)).view(np.int64), anchor)
                 for k in range(0, len(doc), 100_000):
                     s = slice(k, k + 100_000)
-                    yield pa.RecordBatch.from_arrays([pa.array(route[s]), pa.array(known[s]), pa.array(anchor[s]), pa.array(ids[i + doc[s]]), pa.array(rns[i + doc[s]].astype(np.int32)), pa.array(pack[s])], ["route", "known", "anchor", "doc_id", "rn", "pack"])
+                    yield pa.RecordBatch.from_arrays([pa.array(route[s]), pa.array(known[s]), pa.array(anchor[s], mask=(route == anchor)[s]), pa.array(ids[i + doc[s]]), pa.array(rns[i + doc[s]].astype(np.int32)), pa.array(pack[s])], ["route", "known", "anchor", "doc_id", "rn", "pack"])
 
     found = flagged.filter("first").select("doc_id", "rn", "text").mapInArrow(find, "route long, known boolean, anchor long, doc_id long, rn int, pack long")
 
@@ -182,7 +182,7 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_t
         if carry is not None and carried_again:
             yield carry
 
-    again = found.repartition("route").sortWithinPartitions("route").mapInArrow(repeated, found.schema)
+    again = found.repartition("route").sortWithinPartitions("route").mapInArrow(repeated, found.schema).withColumn("anchor", F.coalesce("anchor", "route"))
     per_doc = again.groupBy("doc_id").agg(F.collect_list(F.struct("rn", "pack", "anchor")).alias("runs"))
 
     def cut(batches):
@@ -216,7 +216,7 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_t
             done = np.zeros(len(hot), np.int64)
             np.add.at(done, marks[:, 0], marks[:, 2] - marks[:, 1])
             rows += [out[hot[k]] for k in np.flatnonzero(done < (pack >> 8 & 255))]
-            rows += [(int(m[0]) * 1_000_003 + r[1] * 8_191 + int(m[1]), r[1], r[2], (((r[3] >> 16) + int(m[1])) << 16) | int(m[2] - m[1]), None) for m in marks for r in (out[hot[m[0]]],)]
+            rows += [(hash((int(m[0]), r[1], int(m[1]))), r[1], r[2], (((r[3] >> 16) + int(m[1])) << 16) | int(m[2] - m[1]), None) for m in marks for r in (out[hot[m[0]]],)]
         kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary())
         return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), kinds, strict=True)] if rows else [pa.array([], t) for t in kinds], ["anchor", "doc_id", "rn", "pack", "context"])
 
