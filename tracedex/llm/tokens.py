@@ -47,8 +47,9 @@ class WordIds:
             self.ids[rank] = vocab.get(token, 0)
         self.core = tiktoken.Encoding("words", pat_str=".", mergeable_ranks=ranks, special_tokens={})._core_bpe
 
-    def __call__(self, word: str) -> np.ndarray:
-        return self.ids[self.core.encode_single_piece(word.encode() + b"\xff")]
+    def __call__(self, word: str) -> list[int]:
+        """Ranks of the word's parts; `ids` has the id of each rank."""
+        return self.core.encode_single_piece(word.encode() + b"\xff")
 
 
 class ChunkIds(dict):
@@ -64,8 +65,11 @@ class ChunkIds(dict):
         import regex
         from tokenizers import Tokenizer
 
+        self.one: dict[str, bytes] = {}  # signs and digits
+
         self.older: dict[str, bytes] = {}
         self.tokenizer, self.kind, self.words = Tokenizer.from_file(path), kind, WordIds(path)
+        self.bytes = [np.array([i], kind).tobytes() for i in self.words.ids]
         with open(path) as f:
             self.split = regex.compile(json.load(f)["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]).findall
 
@@ -84,10 +88,19 @@ class ChunkIds(dict):
         if chunk and max(chunk) < PLAIN and "<|" not in chunk and "İ" not in chunk:
             low = (chunk if chunk.isascii() else unicodedata.normalize("NFC", chunk)).lower()
             if low.isalpha():
-                return self.words(low).astype(self.kind).tobytes()
-            return b"".join([self.words(w).astype(self.kind).tobytes() for w in self.split(low)])
+                return self.word(low)
+            return b"".join([self.get(w) or self.word(w) for w in self.split(low)])
         return np.array(self.tokenizer.encode(chunk, add_special_tokens=False).ids, self.kind).tobytes()
 
+    def word(self, low: str) -> bytes:
+        """Ids of one lower-cased word or sign; short ones are kept for good."""
+        ids = self.one.get(low)
+        if ids is None:
+            ids = b"".join([self.bytes[r] for r in self.words(low)])
+            if len(low) < 4 and len(self.one) < 50_000:
+                self.one[low] = ids
+        return ids
+
     def ids(self, text: str | None) -> bytes:
         return b"".join(map(self.__getitem__, text.replace("\n", " ").split(" "))) if text else b""
 
