@@ -136,9 +136,9 @@ def materialise(docs: DataFrame, out: str, stride: int = 1024, per_shard: int =
             "n_ids": pa.array([[h[2] for h in held]], pa.list_(pa.int32())), "doc_ids": pa.array([[h[3] for h in held]], pa.list_(pa.list_(pa.int64()))), "payload": pa.array([b"".join(h[4] for h in held)], pa.binary()),
         })
 
-    # ranges of whole blocks, so a block is never cut between two tasks
+    # a shard is a range of slots, known by its number; slots are dense, so shards are even and no sampling pass has to find ranges
     tasks = max(1, -(-n // per_shard))
-    ordered = placed.withColumn("unit", F.expr(f"slot div {block}")).repartitionByRange(tasks, "unit").sortWithinPartitions("slot").drop("unit")
+    ordered = placed.withColumn("shard", F.expr(f"slot div {per_shard}")).repartition(tasks, "shard").drop("shard").sortWithinPartitions("slot")
     ordered.mapInArrow(blocks, "slot long, slots array<long>, crcs array<long>, n_ids array<int>, doc_ids array<array<long>>, payload binary").write.mode("overwrite").option("compression", "zstd").parquet(f"{out}/shards")
     made = spark.read.parquet(f"{out}/shards")
     each = made.select(F.explode(F.arrays_zip("slots", "crcs", "n_ids", "doc_ids")).alias("x"))
