@@ -60,6 +60,8 @@ class IndexStore(LogIndex):
 
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
+        self._seen: tuple = (None, (0, []))  # files of the commit log, and what they say
+        self._bucket_of: dict[str, int] = {}
         self.config = IndexConfig.from_json("".join(r["value"] for r in spark.read.text(f"{self.path}/config").collect()))
 
     # --- commits
@@ -71,10 +73,11 @@ class IndexStore(LogIndex):
         return self.spark.read.schema("version long, batch_id string, live string, min_ts long, max_ts long, n_events long, n_pairs long, seconds double").parquet(self._log_path())
 
     def _live(self) -> tuple[int, list[str]]:
-        if not exists(self.spark, self._log_path()):
-            return 0, []
-        row = self.history().orderBy(F.desc("version")).limit(1).collect()
-        return (row[0]["version"], json.loads(row[0]["live"])) if row else (0, [])
+        files = tuple(sorted(children(self.spark, self._log_path())))  # a listing tells whether anything was committed since
+        if files and files != self._seen[0]:
+            row = self.history().orderBy(F.desc("version")).limit(1).collect()
+            self._seen = files, ((row[0]["version"], json.loads(row[0]["live"])) if row else (0, []))
+        return self._seen[1] if files else (0, [])
 
     def _commit(self, version: int, batch_id: str, live: list[str], figures: tuple) -> None:
         self.spark.createDataFrame([(version, batch_id, json.dumps(live), *figures)], self.history_schema()).coalesce(1).write.mode("append").parquet(self._log_path())
@@ -148,8 +151,11 @@ class IndexStore(LogIndex):
 
     def _buckets(self, names: list[str]) -> list[int]:
         """Bucket numbers of a query's activities, by the same expression that places rows; a few literals, no scan."""
-        one = self.spark.range(1).select(F.array(*[first_bucket(F.lit(n), self.config) for n in sorted(set(names))]).alias("b"))
-        return sorted(set(one.collect()[0]["b"]))
+        new = sorted(set(names) - set(self._bucket_of))
+        if new:
+            one = self.spark.range(1).select(F.array(*[first_bucket(F.lit(n), self.config) for n in new]).alias("b"))
+            self._bucket_of |= dict(zip(new, one.collect()[0]["b"], strict=True))
+        return sorted({self._bucket_of[n] for n in names})
 
     def _segments(self, window: tuple[int, int]) -> tuple[int, int]:
         size = self.config.split_every_days * 86_400_000_000
