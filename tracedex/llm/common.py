@@ -37,7 +37,7 @@ def flat_utf8(column) -> tuple[np.ndarray, np.ndarray]:
     return data[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def spans(offsets: np.ndarray, limit: int = 1 << 22):
+def spans(offsets: np.ndarray, limit: int = 1 << 20):
     """Runs [i, j) of whole documents of about `limit` bytes, so that scratch arrays stay small."""
     n, i = len(offsets) - 1, 0
     while i < n:
