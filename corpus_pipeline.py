@@ -18,8 +18,7 @@ KEEP_FROM = 0.3
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that the rule ensemble, trained on this stage's rows with labels, rejects."""
     model = quality.train(docs, table(spark, sf_dir, "labels"))
-    row = docs.select(F.struct(*docs.columns).alias("row"), "text")
-    return quality.score(row, model, ["row"]).filter(F.col("score") >= KEEP_FROM).select("row.*")
+    return quality.accepted(docs, model, KEEP_FROM)
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -80,12 +80,14 @@ def with_statistics(docs: DataFrame, text: str = "text", keep: list[str] | None
     """`keep` columns of docs (all unless given) and one column for each statistic."""
     keep = docs.columns if keep is None else keep
     names = [prefix + s for s in STATS]
-    carried = docs.select(*[F.col(c) for c in keep], F.col(text).cast("string").alias("_text_"))
+    once = text in keep and isinstance(docs.schema[text].dataType, T.StringType)  # a kept text travels once
+    at = keep.index(text) if once else len(keep)
+    carried = docs.select(*[F.col(c) for c in keep], *([] if once else [F.col(text).cast("string").alias("_text_")]))
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField(c, T.DoubleType()) for c in names])
 
     def run(batches):
         for b in batches:
-            stats = statistics(*flat_utf8(b.column(len(keep))))
+            stats = statistics(*flat_utf8(b.column(at)))
             yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(keep))), *(pa.array(stats[:, i]) for i in range(len(names)))], [*keep, *names])
 
     return carried.mapInArrow(run, schema)
@@ -208,12 +210,24 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> RuleEnsem
     return fit(rows[["stat_" + s for s in STATS]].to_numpy(float), rows["quality"].to_numpy())
 
 
+def _prefix(names: list[str]) -> str:
+    """A prefix of statistics' names that no column has."""
+    prefix = "stat_"
+    while any(c.lower().startswith(prefix) for c in names):
+        prefix = "_" + prefix
+    return prefix
+
+
+def accepted(docs: DataFrame, model: RuleEnsemble, least: float) -> DataFrame:
+    """The rows that score at least `least`, with the columns they came with."""
+    prefix = _prefix(docs.columns)
+    return with_statistics(docs, prefix=prefix).filter(model.column(prefix) >= least).select(*docs.columns)
+
+
 def score(docs: DataFrame, model: RuleEnsemble, keep: list[str] | None = None) -> DataFrame:
     """`keep` columns (all unless given; one named `score` is replaced) and the score, 0 to 1; higher: label 1 likelier."""
     keep = [c for c in (docs.columns if keep is None else keep) if c != "score"]
-    prefix = "stat_"
-    while any(c.startswith(prefix) for c in keep):
-        prefix = "_" + prefix
+    prefix = _prefix(keep)
     return with_statistics(docs, keep=keep, prefix=prefix).select(*keep, model.column(prefix).alias("score"))
 
 
