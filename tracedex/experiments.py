@@ -205,9 +205,10 @@ def main() -> None:
     arguments.add_argument("--sf", required=True)
     arguments.add_argument("--root", required=True, help="folder for stores, on a cluster one that executors share")
     arguments.add_argument("--queries", type=int, default=100)
+    arguments.add_argument("--days", type=int, default=10, help="daily batches of W2, W3 and W10")
     given = arguments.parse_args()
     spark = SparkSession.builder.appName("experiments").getOrCreate()
-    run(Setting(spark, given.sf, given.root, given.queries), given.names).show(10_000, truncate=False)
+    run(Setting(spark, given.sf, given.root, given.queries, days=given.days), given.names).show(10_000, truncate=False)
 
 
 if __name__ == "__main__":
