@@ -261,6 +261,19 @@ def test_licences(spark):
     assert licences.scan(files.limit(0)).count() == 0
 
 
+def test_short_notices(spark):
+    notices = {
+        "All rights reserved.": "Proprietary", "// Copyright (c) 2020-2024 Acme and Some Other Holders, Inc. All rights reserved.": "Proprietary", "Copyright 2020 Acme": None,
+        "SPDX-License-Identifier: MIT": "MIT", "# SPDX-License-Identifier: Apache-2.0": "Apache-2.0", "/* SPDX-License-Identifier: GPL-2.0-or-later */": "GPL-2.0", "SPDX-License-Identifier: BSD-2-Clause": "BSD-2-Clause",
+        "SPDX-License-Identifier: CC-BY-SA-3.0": "CC-BY-SA-3.0", "SPDX-License-Identifier: Ruby": None, "All rights reserved.\n# released under the mit license": "MIT", "the licence of a driver": None,
+        "Licensed under the Apache License, Version 2.0.": "Apache-2.0", "This work is licensed under the GNU General Public License, version 3.": "GPL-3.0", "Licensed under CC BY-NC 4.0.": "CC-BY-NC-4.0", "Released under the MIT License.": "MIT",
+    }
+    files = spark.createDataFrame([(f"f{k}.txt", t) for k, t in enumerate(notices)], "path string, text string")
+    assert {r.text: r.own_licence for r in licences.scan(files).collect()} == notices
+    named = spark.createDataFrame([(f"// SPDX-License-Identifier: {n}",) for n in licences.SPDX], "unit string")
+    assert {r.unit[28:]: r.licence for r in licences.classify(named).collect()} == {n: n for n in licences.SPDX}
+
+
 def test_pipeline_stages(spark, docs, items, none, tmp_path):
     import corpus_pipeline as cp
 

@@ -3,8 +3,9 @@
 Units are the lines of a file that carry a licence cue, and the whole text of a licence file. Each distinct unit is
 scored once (a line that a third of all files carry is one row), by sparse TF-IDF cosine against the
 templates, whose terms and weights are a small table of fixed size. A file's own licence is its best unit's best
-template above the threshold. A file without one inherits from the nearest ancestor directory that has a licence
-file; ancestors are found by joining the distinct directories' path prefixes.
+template above the threshold; a notice that only reserves all rights counts where no unit names a licence. A file without
+one inherits from the nearest ancestor directory that has a licence file; ancestors are found by joining the distinct
+directories' path prefixes. A bare copyright line states no terms, so its file inherits.
 
 Defined cases: null text has no unit; null paths have no directory and inherit nothing; ties go to the template that comes
 first by name, and to the first path of several licence files of a directory; repeated rows are kept; unmatched files have nulls.
@@ -40,7 +41,16 @@ TEMPLATES = [
     ("MIT", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files."),
     ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
     ("Proprietary", "Copyright. All rights reserved. No part may be reproduced without permission."),
+    ("Proprietary", "All rights reserved."),
 ]
+SENTENCES = 17  # the templates above the short notice: they alone set the weights of their words
+#: Licences that an SPDX line can name; all versions of a family stand beside each other, so that no line goes to the wrong one.
+SPDX = [f"CC-{kind}-{v}" for kind in ("BY", "BY-NC", "BY-NC-ND", "BY-NC-SA", "BY-ND", "BY-SA") for v in ("1.0", "2.0", "2.5", "3.0", "4.0")]
+SPDX += "0BSD AGPL-1.0 AGPL-3.0 Apache-1.0 Apache-1.1 Apache-2.0 BSD-1-Clause BSD-2-Clause BSD-3-Clause BSD-4-Clause BSL-1.0 CC0-1.0 EPL-1.0 EPL-2.0 EUPL-1.0 EUPL-1.1 EUPL-1.2 GPL-1.0 GPL-2.0 GPL-3.0 ISC LGPL-2.0 LGPL-2.1 LGPL-3.0 MIT MIT-0 MPL-1.0 MPL-1.1 MPL-2.0 Unlicense Zlib".split()
+TEMPLATES += [(name, f"SPDX-License-Identifier: {name}") for name in SPDX]
+TEMPLATES += [(name, f"SPDX-License-Identifier: {name}-{which}") for name in SPDX if "GPL" in name for which in ("only", "or-later")]
+#: A line that reserves all rights, with any holder and years before it, is one notice.
+RESERVED = r"(?i)^[^a-z0-9]*((copyright|\(c\)|©).*[^a-z0-9])?all rights reserved[^a-z0-9]*$"
 CUE = r"(?i)licen[cs]|copyright|spdx|public domain|rights reserved|creative commons|permission is hereby|permission to use|free software|redistribution and use"
 LICENCE_NAME = r"(?i)(^|/)(licen[cs]e|copying|notice|unlicense)[^/]*$"
 THRESHOLD = 0.6
@@ -53,9 +63,10 @@ def _terms(text: str) -> list[str]:
 def vectors() -> tuple[list[tuple[str, int, str, float]], dict[str, float], float]:
     """((licence, template, term, weight / norm), idf of terms, idf of unseen terms)."""
     bags = [Counter(_terms(t)) for _, t in TEMPLATES]
-    df = Counter(w for b in bags for w in b)
-    idf = {w: round(math.log((1 + len(bags)) / (1 + n)) + 1, 9) for w, n in df.items()}
-    unseen = round(math.log(1 + len(bags)) + 1, 9)
+    idf: dict[str, float] = {}
+    for some in (bags[SENTENCES:], bags[:SENTENCES]):
+        idf |= {w: round(math.log((1 + len(some)) / (1 + n)) + 1, 9) for w, n in Counter(w for b in some for w in b).items()}
+    unseen = round(math.log(1 + SENTENCES) + 1, 9)
     rows = []
     for k, ((name, _), bag) in enumerate(zip(TEMPLATES, bags, strict=True)):
         norm = math.sqrt(sum((n * idf[w]) ** 2 for w, n in bag.items()))
@@ -91,8 +102,9 @@ def scan(files: DataFrame) -> DataFrame:
     lines = F.filter(F.split("text", "\n"), lambda x: x.rlike(CUE))
     units = F.when(F.col("text").rlike(CUE) | is_file, F.array_distinct(F.concat(lines, F.when(is_file, F.array("text")).otherwise(F.array().cast("array<string>")))))
     with_units = base.select(F.col("path"), units.alias("units")).filter("size(units) > 0").select("path", F.explode("units").alias("unit"))
+    with_units = with_units.withColumn("unit", F.when(F.col("unit").rlike(RESERVED), F.lit("All rights reserved.")).otherwise(F.col("unit"))).distinct()
     matched = with_units.join(classify(with_units), "unit")
-    own = matched.groupBy("path").agg(F.min(F.struct((-F.col("score")).alias("s"), "licence")).alias("b")).select("path", F.col("b.licence").alias("own_licence"), (-F.col("b.s")).alias("own_score"))
+    own = matched.groupBy("path").agg(F.min(F.struct((F.col("licence") == "Proprietary").alias("last"), (-F.col("score")).alias("s"), "licence")).alias("b")).select("path", F.col("b.licence").alias("own_licence"), (-F.col("b.s")).alias("own_score"))
     folder = F.when(F.col("path").contains("/"), F.regexp_replace("path", "/[^/]*$", "")).otherwise(F.when(F.col("path").isNotNull(), F.lit("")))
     givers = own.filter(F.col("path").rlike(LICENCE_NAME)).select(folder.alias("folder"), F.struct("path", "own_licence").alias("g")).groupBy("folder").agg(F.min("g").alias("g"))
     folders = base.select(folder.alias("folder")).filter("folder is not null").distinct()
