@@ -249,6 +249,27 @@ def test_surrogates(spark, docs, none):
     assert plain[4] is None and plain[5] == "" and plain[0] == BASE
 
 
+def test_long_secrets_and_signs():
+    pick = random.Random(5)
+    for n in (201, 5000, 300_000):
+        value = "".join(pick.choice("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789") for _ in range(n))
+        for text in (f"token={value} end", f'token = "{value}" end', f"'secret': '{value}' end", f'password="{value} end'):
+            new, made = private.replace(text)
+            assert [(k, a) for k, a, _ in made] == [("secret", value)] and new == text.replace(value, made[0][2])
+            moved = [a != b for a, b in zip(value, made[0][2], strict=True)]
+            assert all(sum(moved[i : i + 50]) > 30 for i in range(0, n - 50, 50))  # no part of it stays
+    for text, value in (("password=Secret1!xyz9 x", "Secret1!xyz9"), ("password=P@s!word12", "P@s!word12"), ("pwd: ab#c$d%e&f*g|h;i,j.", "ab#c$d%e&f*g|h;i,j"), ("pass=it's4secret", "it's4secret"),
+                        ('password: "two words, one secret"', "two words, one secret"), (r'token: "with \"quotes\" inside"', r'with \"quotes\" inside'), ("(token=abcdef12)", "abcdef12")):
+        new, made = private.replace(text)
+        assert [(k, a) for k, a, _ in made] == [("secret", value)] and value not in new, text
+    assert private.replace('password: "" and token=abc, x')[1] == []
+    many = {private.surrogate("secret", "z" * 200 + f"{i:04d}") for i in range(500)}
+    assert len(many) == 500 and all(len(v) == 204 and v[200:].isdigit() for v in many)
+    sizes = [26] * 30 + [1] * 5 + [10] * 150
+    value = [pick.randrange(s) for s in sizes]
+    assert private._long(private._long(value, sizes, b"k", False), sizes, b"k", True) == value != private._mixed(value, sizes, b"k")
+
+
 def test_licences(spark):
     files = spark.createDataFrame([
         ("LICENSE", "Released under the MIT License."), ("a/b/x.py", "code"), ("a/LICENSE.txt", "Licensed under the Apache License, Version 2.0."), ("a/y.py", "no notice"), ("a/b/z.py", "# Licensed under CC BY-NC 4.0.\ncode"), ("c.py", None), (None, "text"), ("d/e/f.py", ""), ("a/b/x.py", "code"),

@@ -46,7 +46,12 @@ CARD = re.compile(r"(?<![\d-])\d(?:[ -]?\d){12,18}(?![\d-]*\d)")
 SOCIAL = re.compile(r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-]*\d)")
 ACCOUNT = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])")
 CLOUD_KEY = re.compile(r"(?<![A-Za-z0-9])(?:AKIA|ASIA)[A-Z0-9]{16}(?![A-Za-z0-9])")
-SECRET = re.compile(r"(?i:pass(?:word|wd)?|pwd|token|secret|api[_-]?key|access[_-]?key)[\"']?\s{0,3}[=:]\s{0,3}(?:\"([^\"\s]{6,200})\"|'([^'\s]{6,200})'|([^\s\"',;#$%&*!|]{6,200}))")
+#: A quoted secret ends at its closing quote on the line, any other at white space or at a quote that is not between word characters. No length is too long.
+SECRET = re.compile(
+    r"(?i:pass(?:word|wd)?|pwd|token|secret|api[_-]?key|access[_-]?key)[\"']?\s{0,3}[=:]\s{0,3}"
+    r"(?:\"([^\"\\\n]*+(?:(?:\\.|(?<=\w)\"(?=\w))[^\"\\\n]*+)*+)\"|'([^'\\\n]*+(?:(?:\\.|(?<=\w)'(?=\w))[^'\\\n]*+)*+)'|[\"']?([^\s\"']++(?:(?<=\w)[\"'](?=\w)[^\s\"']++)*+))"
+)
+SECRET_LEAST = 6
 NAMED = re.compile(r"(?<!\w)(" + "|".join(sorted(TITLES, key=len, reverse=True)) + r")(\.? )([A-ZÀ-ÞА-ЯЁ][\wÀ-ÿа-яё]+)(?:( )([A-ZÀ-ÞА-ЯЁ][\wÀ-ÿа-яё]+))?")
 SECRET_CUES = ("assw", "ASSW", "pwd", "oken", "OKEN", "ecret", "ECRET", "_key", "_KEY", "-key", "pikey")
 
@@ -80,7 +85,39 @@ def move(x: int, n: int, key: bytes) -> int:
     return _feistel((_feistel(x, n, key, False) + step) % n, n, key, True)
 
 
+def _stream(values: list[int], sizes: list[int], key: bytes, i: int) -> list[int]:
+    """A number below each of `sizes`, all of them depending on all `values`."""
+    own = hashlib.blake2b(b"%d:" % i + b"".join(v.to_bytes(2, "little") for v in values), key=key[:64], digest_size=64).digest()
+    wide = hashlib.shake_256(own).digest(4 * len(sizes))
+    return [int.from_bytes(wide[4 * k : 4 * k + 4], "little") % s for k, s in enumerate(sizes)]
+
+
+def _long(values: list[int], sizes: list[int], key: bytes, backwards: bool) -> list[int]:
+    """A keyed bijection of long formats, place by place, in time proportional to their length."""
+    half = len(values) // 2
+    left, right = values[:half], values[half:]
+    sign = -1 if backwards else 1
+    for i in range(7, -1, -1) if backwards else range(8):
+        if i % 2:
+            right = [(v + sign * k) % s for v, k, s in zip(right, _stream(left, sizes[half:], key, i), sizes[half:], strict=True)]
+        else:
+            left = [(v + sign * k) % s for v, k, s in zip(left, _stream(right, sizes[:half], key, i), sizes[:half], strict=True)]
+    return left + right
+
+
+#: Places beyond which numbers outgrow what `_round` can mix (halves of 384 bits).
+LONG = 120
+
+
 def _mixed(values: list[int], sizes: list[int], key: bytes) -> list[int]:
+    movable = [k for k, s in enumerate(sizes) if s > 1]
+    if len(movable) > LONG:
+        some, own = [sizes[k] for k in movable], list(values)
+        mid = _long([values[k] for k in movable], some, key, False)
+        mid[0] = (mid[0] + 1) % some[0]  # no fixed point: one place differs between the two passes
+        for k, v in zip(movable, _long(mid, some, key, True), strict=True):
+            own[k] = v
+        return own
     x, n = 0, 1
     for v, s in zip(values, sizes, strict=True):
         x, n = x * s + v, n * s
@@ -188,7 +225,9 @@ def find(text: str) -> list[tuple[int, int, str, str]]:
     if any(c in text for c in SECRET_CUES):
         for m in SECRET.finditer(text):
             g = m.lastindex or 3
-            found.append((m.start(g), m.end(g), "secret", m[g]))
+            value = m[g].rstrip(",;.:)]}>") if g == 3 else m[g]  # what closes a clause is not part of it
+            if len(value) >= SECRET_LEAST:
+                found.append((m.start(g), m.start(g) + len(value), "secret", value))
     if "AKIA" in text or "ASIA" in text:
         found += [(m.start(), m.end(), "cloud_key", m[0]) for m in CLOUD_KEY.finditer(text)]
     if any(d in text for d in DIGIT_):
