@@ -136,6 +136,14 @@ def test_near_classes(docs, none, monkeypatch):
     assert (1 - 0.8**width) ** bands <= near.MISS
 
 
+def test_verified_pairs_count_without_a_band(spark):
+    texts = [" ".join(f"w{i}" for i in range(100)), " ".join(f"w{i}" for i in range(3, 100)), " ".join(f"v{i}" for i in range(100))]
+    rows = [(1, 0, 1, k, 1, [k], t) for k, t in enumerate(texts)]  # no two share a key
+    members = spark.createDataFrame(rows, "group long, block int, blocks int, rep long, weight long, keys array<long>, text string")
+    got = near.verify_pairs(members, 0.8, 5, 2).collect()
+    assert {(r.rep, r.links) for r in got if r.links} == {(0, 1), (1, 1)}
+
+
 def test_components(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 101), (102, 101)], "a long, b long")
     got = {r.node: r.root for r in near.components(edges).collect()}

@@ -4,7 +4,7 @@ Documents with one set of word n-grams form a class with one representative. Rep
 MinHash signatures, with bands and rows chosen so that a pair at the threshold is missed with a stated
 probability. Buckets are reduced to star edges (member to least member), whose connected components bring
 together all pairs that share a band. Each component is dealt out as block pairs to tasks that hold two blocks
-of full n-gram sets, verify every pair that shares a band exactly, and emit one row a member (links counted,
+of full n-gram sets, verify every pair of them exactly (whether it shares a band or not), and emit one row a member (links counted,
 and one edge to a linked member each block), never one row a pair. Connected components of the verified
 edges are the near-duplicate classes.
 
@@ -131,10 +131,10 @@ def signed_docs(docs: DataFrame, threshold: float, words: int) -> DataFrame:
 
 
 def verify_pairs(members: DataFrame, threshold: float, words: int, parts: int) -> DataFrame:
-    """members: group, block, blocks, rep, weight, keys, text. Out: rep, links (weights of linked representatives), edge (one linked
+    """members: group, block, blocks, rep, weight, text. Out: rep, links (weights of linked representatives), edge (one linked
     representative or null), a row for each member and block pair that has links."""
     sides = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    pair = sides.select("group", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rep", "weight", "keys", "text")
+    pair = sides.select("group", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rep", "weight", "text")
     dealt = pair.repartition(parts, "group", "i", "j").sortWithinPartitions("group", "i", "j", "block", "rep")
 
     def batch_of(rows):
@@ -143,7 +143,7 @@ def verify_pairs(members: DataFrame, threshold: float, words: int, parts: int) -
     def run(batches):
         held, at, out = [], None, []
         for b in batches:
-            for g, i, j, block, rep, weight, keys, text in zip(*(b.column(c).to_pylist() for c in ("group", "i", "j", "block", "rep", "weight", "keys", "text")), strict=True):
+            for g, i, j, block, rep, weight, text in zip(*(b.column(c).to_pylist() for c in ("group", "i", "j", "block", "rep", "weight", "text")), strict=True):
                 if at != (g, i, j):
                     if held:
                         out += _block(held, at[1] != at[2], threshold, words)
@@ -151,7 +151,7 @@ def verify_pairs(members: DataFrame, threshold: float, words: int, parts: int) -
                     if len(out) > 20_000:
                         yield batch_of(out)
                         out = []
-                held.append((block, rep, weight, keys, text))
+                held.append((block, rep, weight, text))
         if held:
             out += _block(held, at[1] != at[2], threshold, words)
         if out:
@@ -161,13 +161,13 @@ def verify_pairs(members: DataFrame, threshold: float, words: int, parts: int) -
 
 
 def _block(rows: list[tuple], crossed: bool, threshold: float, words: int) -> list[tuple]:
-    """Exact Jaccard of all pairs of one block, or across two, that share a band."""
+    """Exact Jaccard of all pairs of one block, or across two."""
     n = len(rows)
     block = np.array([r[0] for r in rows])
     if n < 2 or crossed and (block == block[0]).all():
         return []
     rep, weight = np.array([r[1] for r in rows]), np.array([r[2] for r in rows])
-    own, value = shingles(*flat_utf8(pa.array([r[4].lower() for r in rows], pa.large_string())), words)
+    own, value = shingles(*flat_utf8(pa.array([r[3].lower() for r in rows], pa.large_string())), words)
     size = np.bincount(own, minlength=n)
     codes, place, count = np.unique(value, return_inverse=True, return_counts=True)
     shared = count[place] > 1
@@ -182,11 +182,6 @@ def _block(rows: list[tuple], crossed: bool, threshold: float, words: int) -> li
     np.fill_diagonal(linked, False)
     if crossed:
         linked &= block[:, None] != block[None, :]
-    keys = np.array([r[3] for r in rows])
-    a, b = np.nonzero(np.triu(linked))
-    if len(a):
-        same = (keys[a] == keys[b]).any(1)
-        linked[a[~same], b[~same]] = linked[b[~same], a[~same]] = False
     total = linked @ weight
     return [(int(rep[i]), int(total[i]), int(rep[int(np.argmax(linked[i]))])) for i in np.flatnonzero(linked.any(1))] + _joins(linked, rep)
 
@@ -219,14 +214,14 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WOR
     buckets = keyed.groupBy("band", "key").agg(F.min("rep").alias("least"), F.count("*").alias("n")).filter("n > 1")
     stars = keyed.join(buckets, ["band", "key"]).filter("rep != least").select(F.col("rep").alias("a"), F.col("least").alias("b")).distinct()
     groups = components(stars)
-    sized = groups.join(reps, groups["node"] == reps["rep"]).select(F.col("root").alias("group"), "rep", "weight", "keys", F.size("keys").alias("_"))
+    sized = groups.join(reps, groups["node"] == reps["rep"]).select(F.col("root").alias("group"), "rep", "weight")
     text = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("rep"), F.col("text").cast("string").alias("text")).filter("text is not null")
     # one text a representative: repeated ids hold it if they hold a text at all, so the longest text stands for them
     text = text.join(groups.select(F.col("node").alias("rep")), "rep", "left_semi").groupBy("rep").agg(F.max_by("text", F.length("text")).alias("text"))
     bulk = groups.join(text, groups["node"] == text["rep"]).groupBy("root").agg(F.count("*").alias("n"), F.sum(F.length("text") * 2).alias("bytes"))
     blocks = bulk.select(F.col("root").alias("group"), F.ceil(F.greatest(F.col("n") / BLOCK, F.col("bytes") / (8 * BLOCK_BYTES))).cast("int").alias("blocks"))
-    members = sized.drop("_").join(blocks, "group").join(text, "rep").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    verified = verify_pairs(members.select("group", "block", "blocks", "rep", "weight", "keys", "text"), threshold, words, parts).checkpoint()
+    members = sized.join(blocks, "group").join(text, "rep").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    verified = verify_pairs(members.select("group", "block", "blocks", "rep", "weight", "text"), threshold, words, parts).checkpoint()
     roots = components(verified.select(F.col("rep").alias("a"), F.col("edge").alias("b")))
     links = verified.groupBy("rep").agg(F.sum("links").alias("links"))
     of_rep = reps.select("rep", "weight", "set_hash").join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").join(links, "rep", "left")
