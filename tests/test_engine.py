@@ -159,6 +159,24 @@ def test_until_and_negation_differ(spark):
     assert [tuple(r) for r in baselines.step_search(frame, [("A", 1, 1), ("C", 1, 1)]).collect()] == [(1, 1, 1, 3), (1, 2, 4, 5)]
 
 
+def test_step_search_runs(spark):
+    pick = random.Random(3)
+    texts = ["".join(pick.choice("AAABBC") for _ in range(12)) for _ in range(20)] + ["A" * 120 + "B" * 3]
+    rows = [(t, i + 1, i, a) for t, text in enumerate(texts) for i, a in enumerate(text)]
+    frame = spark.createDataFrame(rows, "trace_id long, pos int, ts_us long, activity string")
+    for a, b in ((100, 100), (3, 2), (1, 100)):  # runs by brute force: an expression over the events of the two activities
+        want = []
+        for t, text in enumerate(texts):
+            at = [i + 1 for i, c in enumerate(text) if c in "AB"]
+            found = re.finditer(f"A{{1,{a}}}B{{1,{b}}}", text.replace("C", ""))
+            want += [(t, k, at[m.start()], at[m.end() - 1]) for k, m in enumerate(found, 1)]
+        assert sorted(map(tuple, baselines.step_search(frame, [("A", 1, a), ("B", 1, b)]).collect())) == want
+    frame = spark.createDataFrame([(1, i + 1, i, a) for i, a in enumerate("AABCBBAB")], "trace_id long, pos int, ts_us long, activity string")
+    one = lambda *steps, **more: [tuple(r)[2:] for r in baselines.step_search(frame, list(steps), **more).collect()]
+    assert one(("A", 1, 100), ("B", 2, 100)) == [(1, 6)] and one(("A", 1, 100), ("B", 1, 100), maxspan_us=4) == [(1, 5), (7, 8)] and one(("A", 3, 100), ("B", 1, 1)) == [(1, 8)]
+    assert one(("A", 1, 2), ("A", 1, 1)) == [(1, 7)]
+
+
 def test_explanation_example(spark):
     ix = LogIndex(log(spark, "A2 B3 C6"))
     q = seq("B", "A", "C").within_time(2, 3, 2)

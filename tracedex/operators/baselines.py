@@ -55,32 +55,54 @@ def row_pattern_windows(log: DataFrame, q: PatternQuery) -> DataFrame:
 def step_search(log: DataFrame, steps: list[tuple[str, int, int]], maxspan_us: int | None = None, until: str | None = None) -> DataFrame:
     """A state machine a trace that keeps one partial a stage, newer replacing older, so it does not find all matches.
 
-    steps: (activity, fewest, most) runs of 1 to 100; `until` ends the search of the trace where it occurs."""
+    steps: (activity, fewest, most) runs of 1 to 100; `until` ends the search of the trace where it occurs. A run takes events up to `most`
+    until the next stage starts, which takes the longest run at hand that the span allows (a stage of the same activity starts at `most` only). The last run ends at `most`, at the first
+    event of its activity out of the span, where the first stage starts anew, or with the search."""
     if any(not 1 <= lo <= hi <= 100 for _, lo, hi in steps):
         raise ValueError("runs are from 1 to 100")
-    flat = [(a, k) for a, lo, _ in steps for k in range(lo)]
+    last = len(steps) - 1
 
     def one(trace: pd.DataFrame) -> pd.DataFrame:
         trace = trace.sort_values("pos")
-        live: dict[int, list] = {}
+        live: dict[tuple[int, int], list] = {}  # (stage, events of its run) -> first and last event
         out, tid = [], int(trace["trace_id"].iloc[0])
+
+        def longest(stage: int, ts: int | None = None) -> tuple[int, int] | None:
+            """The longest run of a stage that may be followed, at `ts` within the span."""
+            for n in range(steps[stage][2], steps[stage][1] - 1, -1):
+                if (stage, n) in live and (ts is None or fits(live[stage, n], ts)):
+                    return stage, n
+            return None
+
+        def fits(partial: list, ts: int) -> bool:
+            return maxspan_us is None or ts - partial[0][1] <= maxspan_us
+
+        def emit(found: tuple[int, int]) -> None:
+            out.append((tid, len(out) + 1, live[found][0][0], live[found][1][0]))
+            live.clear()
+
         for pos, ts, a in zip(trace["pos"], trace["ts_us"], trace["activity"], strict=True):
             if until is not None and a == until:
                 break
-            for stage in range(len(flat) - 1, -1, -1):
-                if flat[stage][0] != a:
-                    continue
-                prior = [] if stage == 0 else live.get(stage)
-                if prior is None or (stage and maxspan_us is not None and ts - prior[0][1] > maxspan_us):
+            whole = longest(last)
+            if whole and (a == steps[last][0] and not fits(live[whole], ts) or a == steps[0][0] != steps[last][0]):
+                emit(whole)
+            for stage in range(last, -1, -1):
+                name, _, most = steps[stage]
+                if name != a:
                     continue
-                new = [*prior, (pos, ts)]
-                if stage:
-                    live.pop(stage)
-                if len(new) == len(flat):
-                    out.append((tid, len(out) + 1, new[0][0], new[-1][0]))
-                    live.clear()
+                for n in range(most - 1, 0, -1):
+                    if (stage, n) in live and fits(live[stage, n], ts):
+                        live[stage, n + 1] = [live.pop((stage, n))[0], (pos, ts)]
+                if stage == 0:
+                    live[0, 1] = [(pos, ts), (pos, ts)]
+                elif (prior := longest(stage - 1, ts)) and (steps[stage - 1][0] != a or prior[1] == steps[stage - 1][2]):
+                    live[stage, 1] = [live.pop(prior)[0], (pos, ts)]
+                if stage == last and (last, most) in live:
+                    emit((last, most))
                     break
-                live[stage + 1] = new
+        if whole := longest(last):
+            emit(whole)
         return pd.DataFrame(out, columns=["trace_id", "occ_no", "first_pos", "last_pos"])
 
     return log.select("trace_id", "pos", "ts_us", "activity").groupBy("trace_id").applyInPandas(one, "trace_id long, occ_no int, first_pos int, last_pos int")
