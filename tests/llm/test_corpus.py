@@ -1,6 +1,7 @@
 """Every corpus operator on a small table of awkward rows, against brute force or an exact round trip."""
 
 import hashlib
+import itertools
 import random
 import re
 import zlib
@@ -184,6 +185,27 @@ def test_packing_plans():
     assert Counter(x for b in mixed for x in b) == Counter([5, 2, 4, 3, 6]) and all(sum(b) <= 10 for b in mixed)
 
 
+def test_packing_search_is_whole():
+    pick = random.Random(4)
+    counts = Counter(pick.randint(25, 45) for _ in range(3000))  # best fit alone leaves 1180 bins
+    plan = packing.plan(dict(counts), 100)
+    assert sum((Counter({x: n * k for x, k in Counter(b).items()}) for b, n in plan), Counter()) == counts and sum(n for _, n in plan) < 1140
+    for seed in range(30):  # at the end no exchange of any two underfull bins gains
+        pick = random.Random(seed)
+        size = pick.choice([20, 50])
+        some = Counter(pick.randint(size // 5, size // 2 + 3) for _ in range(60))
+        bins = [b for b, n in packing.plan(dict(some), size) for _ in range(n)]
+        if len(bins) == -(-sum(x * n for x, n in some.items()) // size):
+            continue
+        under = [b for b in bins if sum(b) < size]
+        parts = [[(c, k) for k in (0, 1, 2) for c in {sum(v) for v in itertools.combinations(b, k)}] for b in under]
+        for i, j in itertools.permutations(range(len(under)), 2):
+            low, high = sum(under[i]), sum(under[j])
+            assert not any(0 < g - t <= size - high and high + g - t > low for g, a in parts[i] for t, c in parts[j] if a + c < 4)
+    many = packing.improve_patterns(Counter({(6,): 10**9, (4, 3): 10**9, (3,): 10**9}), 10)  # multiplicities, not bins
+    assert sum(many.values()) == 2 * 10**9 and all(sum(b) <= 10 for b in many)
+
+
 def test_special_chunks():
     tok = tokens.chunk_ids(tokens.word_tokenizer())
     for t in ("Straße'S don't I'LL œuvre ÉÀÇ ﬁne ½ ª1 Ωmega ΣΑΣ İstanbul <|endoftext|> áb ́x x y naïve__9 s's \x1cq\x85z\tT", "漢字 кирилл έ 😀"):

@@ -3,8 +3,8 @@
 Documents become token ids and an end id, and only those longer than a sequence are cut. How many pieces
 there are of each length is all that a packing needs: the driver gets at most `size` counts whatever the
 corpus, packs lengths best-fit in falling order (equal bins are kept as one pattern with a multiplicity),
-then improves the underfull bins by moving one item, exchanging one for one or two for one, as long as the
-sum of squared fills rises, and drops bins that become empty. Pieces are dealt to the places of their
+then improves all underfull bins by moving one or two items, exchanging one for one, two for one or one for two, until the sum
+of squared fills rises no more or the lower bound is met, and drops bins that become empty. Pieces are dealt to the places of their
 length by their rank within it; ranks are counted in salted groups, so one very common length is no hot key.
 
 Defined cases: null text counts as empty, and an empty document is its end id alone; repeated rows are
@@ -17,6 +17,7 @@ import bisect
 import heapq
 import zlib
 from collections import Counter
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -78,70 +79,144 @@ def best_fit(counts: dict[int, int], size: int) -> Counter:
     return done
 
 
-def improve(bins: list[list[int]], size: int, rounds: int = 50) -> list[list[int]]:
-    """Local search over single bins: each step takes weight from an emptier bin to a fuller one."""
-
-    def gain(source: list[int], target: list[int], room: int) -> tuple[int, list[int], list[int]]:
-        """(weight moved, out of source, out of target), as much as fits."""
-        best: tuple[int, list[int], list[int]] = (0, [], [])
-        mine = sorted(set(source))
-        theirs = sorted(set(target))
-        pairs = sorted({a + b: (a, b) for i, a in enumerate(source) for b in source[i + 1 :]}.items())[:400]
-        twos = sorted({a + b: (a, b) for i, a in enumerate(target) for b in target[i + 1 :]}.items())[:400]
-        gives: list[tuple[int, list[int]]] = [(a, [a]) for a in mine] + [(s, list(p)) for s, p in pairs]
-        takes: list[tuple[int, list[int]]] = [(0, [])] + [(b, [b]) for b in theirs]
-        for options_give, options_take in ((gives, takes), ([(a, [a]) for a in mine], [(s, list(p)) for s, p in twos])):
-            sums = [s for s, _ in options_take]
-            for s, out in options_give:
-                k = bisect.bisect_left(sums, s - room)
-                if k < len(sums) and sums[k] < s and s - sums[k] > best[0]:
-                    if len(out) == 2 and not options_take[k][1]:
-                        continue  # a move of two is two moves
-                    best = (s - sums[k], out, options_take[k][1])
-        return best
-
-    for _ in range(rounds):
-        bins = sorted((b for b in bins if b), key=sum)
-        least = -(-sum(map(sum, bins)) // size)
-        if len(bins) <= least:
-            break
+@lru_cache(1000)
+def _parts(pattern: Bin) -> tuple[list[int], list[int], dict[int, tuple[int, ...]]]:
+    """(sums of one item, sums of two, how each two-item sum is made), rising."""
+    counts = Counter(pattern)
+    singles = sorted(counts)
+    twos: dict[int, tuple[int, ...]] = {}
+    for i, a in enumerate(singles):
+        for b in singles[i + (counts[a] < 2) :]:
+            twos.setdefault(a + b, (a, b))
+    return singles, sorted(twos), twos
+
+
+def _exchange(source: Bin, target: Bin, room: int) -> tuple[int, Bin, Bin]:
+    """(weight moved, out of source, out of target) of the exchange that moves the most weight that fits: one or two items, one for
+    one, two for one or one for two."""
+    best: tuple[int, Bin, Bin] = (0, (), ())
+    mine, my_sums, my_twos = _parts(source)
+    theirs, their_sums, their_twos = _parts(target)
+    for gives, takes in ((mine, [0, *theirs]), (my_sums, [0, *theirs]), (mine, their_sums)):
+        for give in gives:
+            k = bisect.bisect_left(takes, give - room)
+            if k < len(takes) and best[0] < give - takes[k]:
+                take = takes[k]
+                best = (give - take, my_twos[give] if gives is my_sums else (give,), their_twos[take] if takes is their_sums else (take,) if take else ())
+    return best
+
+
+def _without(pattern: Bin, out: Bin, more: Bin) -> Bin:
+    left = list(pattern)
+    for x in out:
+        left.remove(x)
+    return tuple(sorted([*left, *more], reverse=True))
+
+
+class _Reach:
+    """For every item sum: the two targets that it would fill most, of one-item and of two-item sums that they would give back."""
+
+    def __init__(self, size: int):
+        self.size = size
+        self.best = np.full((2, 2, size + 1), -1, np.int64)  # (given back: one or none, two), rank, sum -> fill left in the target
+        self.who = np.full((2, 2, size + 1), -1, np.int64)
+        self.names: list[Bin] = []
+
+    def add(self, pattern: Bin) -> None:
+        fill = sum(pattern)
+        room = self.size - fill
+        if not room:
+            return
+        me = len(self.names)
+        self.names.append(pattern)
+        singles, sums, _ = _parts(pattern)
+        for kind, takes in enumerate(([0, *singles], sums)):
+            for take in takes:
+                span, left = slice(take + 1, min(take + room, self.size) + 1), fill - take
+                (first, second), (one, two) = self.best[kind, :, span], self.who[kind, :, span]
+                up, mine = left > first, one == me
+                push = up & ~mine
+                second[push], two[push] = first[push], one[push]
+                first[up], one[up] = left, me
+                next_ = ~up & ~mine & (left > second)
+                second[next_], two[next_] = left, me
+
+    def targets(self, source: Bin) -> list[Bin]:
+        """Targets that some exchange would fill above the source, fullest first; two for two is not tried."""
+        fill = sum(source)
+        singles, sums, _ = _parts(source)
+        found: dict[int, int] = {}
+        for gives, kinds in ((singles, (0, 1)), (sums, (0,))):
+            g = np.array(gives, np.int64)
+            for kind in kinds:
+                for rank in (0, 1):
+                    who, after = self.who[kind, rank, g], self.best[kind, rank, g] + g
+                    for w, f in zip(who.tolist(), after.tolist(), strict=True):
+                        if w >= 0 and f > fill and f > found.get(w, -1):
+                            found[w] = f
+        return [self.names[w] for w in sorted(found, key=lambda w: -found[w])]
+
+
+def improve_patterns(bins: Counter, size: int) -> Counter:
+    """Local search over patterns with multiplicities: each step takes weight from as many bins of a pattern as it can to as many fuller ones (or
+    ones that become fuller than the source was), so the sum of squared fills rises. The emptiest pattern that can move goes first; the search
+    ends at the lower bound or when no exchange between any two underfull bins gains."""
+    bins = Counter({p: n for p, n in bins.items() if p and n})
+    full = Counter({p: n for p, n in bins.items() if sum(p) == size})
+    bins -= full
+    total, least = sum(bins.values()), -(-sum(sum(p) * n for p, n in bins.items()) // size)
+    moved = True
+    while moved and total > least:
         moved = False
-        source = bins[0]  # the emptiest bin is emptied into the others
-        for target in sorted(bins[1:], key=sum, reverse=True):
-            while source and (room := size - sum(target)):
-                weight, out, back = gain(source, target, room)
-                if not weight:
+        reach = _Reach(size)
+        for p in sorted(bins, key=sum, reverse=True):
+            reach.add(p)
+        waiting = [(sum(p), p) for p in bins]
+        heapq.heapify(waiting)
+        while waiting and total > least:
+            _, source = heapq.heappop(waiting)
+            while bins[source] and total > least:
+                for target in reach.targets(source):
+                    times = min(bins[source], bins[target]) if target != source else bins[source] // 2
+                    weight, out, back = _exchange(source, target, size - sum(target)) if times else (0, (), ())
+                    if weight and sum(target) + weight > sum(source):
+                        break
+                else:
                     break
-                for x in out:
-                    source.remove(x)
-                    target.append(x)
-                for x in back:
-                    target.remove(x)
-                    source.append(x)
                 moved = True
-            if not source:
-                break
-        if not moved:
-            break
-    return [b for b in bins if b]
-
-
-def plan(counts: dict[int, int], size: int, search: int = 600) -> list[tuple[Bin, int]]:
-    """Patterns with multiplicities. `search`: how many of the emptiest bins the local search works on at once."""
-    bins = best_fit(counts, size)
-    least = -(-sum(k * n for k, n in counts.items()) // size)
-    if sum(bins.values()) > least:
-        emptiest = heapq.nsmallest(search, (p for p in bins if sum(p) < size), key=sum)
-        single: list[list[int]] = []
-        for p in emptiest:
-            take = min(bins[p], search - len(single))
-            single += [list(p) for _ in range(take)]
-            bins[p] -= take
-            if len(single) >= search:
-                break
-        for b in improve(single, size):
-            bins[tuple(sorted(b, reverse=True))] += 1
-    return sorted((p, n) for p, n in bins.items() if n)
+                bins[source] -= times
+                bins[target] -= times
+                rest, filled = _without(source, out, back), _without(target, back, out)
+                if sum(filled) == size:
+                    full[filled] += times
+                    total, least = total - times, least - times
+                else:
+                    new = not bins[filled]
+                    bins[filled] += times
+                    if new:
+                        reach.add(filled)
+                        heapq.heappush(waiting, (sum(filled), filled))
+                if rest:
+                    new = not bins[rest]
+                    bins[rest] += times
+                    if new:
+                        reach.add(rest)
+                        heapq.heappush(waiting, (sum(rest), rest))
+                else:
+                    total -= times
+        bins = +bins
+    return bins + full
+
+
+def improve(bins: list[list[int]], size: int) -> list[list[int]]:
+    """`improve_patterns` on single bins."""
+    better = improve_patterns(Counter(tuple(sorted(b, reverse=True)) for b in bins), size)
+    return [list(p) for p in better.elements()]
+
+
+def plan(counts: dict[int, int], size: int) -> list[tuple[Bin, int]]:
+    """Patterns with multiplicities."""
+    return sorted((p, n) for p, n in improve_patterns(best_fit(counts, size), size).items() if n)
 
 
 def places(patterns: list[tuple[Bin, int]]) -> list[tuple[int, int, int, int, int, int]]:
@@ -176,12 +251,12 @@ def cut(docs: DataFrame, size: int = 4096, path: str | None = None, end_id: int
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
-def pack(docs: DataFrame, size: int = 4096, path: str | None = None, salts: int = 64, search: int = 600) -> DataFrame:
+def pack(docs: DataFrame, size: int = 4096, path: str | None = None, salts: int = 64) -> DataFrame:
     """Pieces with their sequence_id and offset. Tokenised once: the pieces (a few numbers each) are checkpointed."""
     pieces = cut(docs, size, path).withColumn("salt", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(salts)).cast("int")).checkpoint()
     groups = pieces.groupBy("length", "salt").agg(F.count("*").alias("n"))
     counts = {r["length"]: r["n"] for r in groups.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most `size` rows
-    spots = places(plan(counts, size, search))
+    spots = places(plan(counts, size))
     spark = docs.sparkSession
     spots = spark.createDataFrame(spots or [], "length long, low long, high long, bin long, each long, at long")
     before = F.coalesce(F.sum("n").over(W.partitionBy("length").orderBy("salt").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
