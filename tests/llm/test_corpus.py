@@ -185,25 +185,37 @@ def test_packing_plans():
     assert Counter(x for b in mixed for x in b) == Counter([5, 2, 4, 3, 6]) and all(sum(b) <= 10 for b in mixed)
 
 
-def test_packing_search_is_whole():
+def fit_bins(lengths, size):
+    """Best fit over falling lengths, bin by bin."""
+    rooms = []
+    for x in sorted(lengths, reverse=True):
+        fits = [r for r in rooms if r >= x]
+        if fits:
+            rooms.remove(min(fits))
+        rooms.append((min(fits) if fits else size) - x)
+    return len(rooms)
+
+
+def test_packing_is_made_by_the_search(spark):
     pick = random.Random(4)
-    counts = Counter(pick.randint(25, 45) for _ in range(3000))  # best fit alone leaves 1180 bins
-    plan = packing.plan(dict(counts), 100)
-    assert sum((Counter({x: n * k for x, k in Counter(b).items()}) for b, n in plan), Counter()) == counts and sum(n for _, n in plan) < 1140
-    for seed in range(30):  # at the end no exchange of any two underfull bins gains
-        pick = random.Random(seed)
-        size = pick.choice([20, 50])
-        some = Counter(pick.randint(size // 5, size // 2 + 3) for _ in range(60))
-        bins = [b for b, n in packing.plan(dict(some), size) for _ in range(n)]
-        if len(bins) == -(-sum(x * n for x, n in some.items()) // size):
-            continue
-        under = [b for b in bins if sum(b) < size]
-        parts = [[(c, k) for k in (0, 1, 2) for c in {sum(v) for v in itertools.combinations(b, k)}] for b in under]
-        for i, j in itertools.permutations(range(len(under)), 2):
-            low, high = sum(under[i]), sum(under[j])
-            assert not any(0 < g - t <= size - high and high + g - t > low for g, a in parts[i] for t, c in parts[j] if a + c < 4)
+    for lengths, size in (([pick.randint(25, 45) for _ in range(3000)], 100), ([pick.randint(900, 1900) for _ in range(1500)], 4096), ([min(4096, max(2, int(pick.lognormvariate(6.2, 1)))) for _ in range(3000)], 4096)):
+        counts, squares = Counter(lengths), []
+        first = packing.moved(counts, size, squares)
+        bins = packing.improve_patterns(first, size, squares)
+        assert sum((Counter({x: n * k for x, k in Counter(b).items()}) for b, n in bins.items()), Counter()) == counts
+        assert len(squares) > 30 and squares == sorted(squares) and squares[0] > sum(x * x for x in lengths)
+        assert squares[-1] == sum(sum(b) ** 2 * n for b, n in bins.items()) and max(map(sum, bins)) <= size
+        assert sum(bins.values()) <= fit_bins(lengths, size)
+    assert sum(packing.improve_patterns(packing.moved(counts, 4096), 4096).values()) == -(-sum(lengths) // 4096)
     many = packing.improve_patterns(Counter({(6,): 10**9, (4, 3): 10**9, (3,): 10**9}), 10)  # multiplicities, not bins
     assert sum(many.values()) == 2 * 10**9 and all(sum(b) <= 10 for b in many)
+    three = packing.improve_patterns(Counter({(7, 2): 1, (3, 3): 1, (4, 1): 1}), 10)
+    assert sum(three.values()) == 2 and sum((Counter(b) for b, n in three.items() for _ in range(n)), Counter()) == Counter([7, 2, 3, 3, 4, 1])
+    words = " ".join(f"w{i}" for i in range(40))
+    docs = spark.createDataFrame([(i, " ".join(words.split()[: 1 + i * 7 % 40])) for i in range(200)], "doc_id long, text string")
+    got = packing.pack(docs, size=256).collect()
+    used = len({r.sequence_id for r in got})
+    assert used <= fit_bins([r.length for r in got], 256) and len(got) == 200
 
 
 def test_special_chunks():

@@ -2,9 +2,10 @@
 
 Documents become token ids and an end id, and only those longer than a sequence are cut. How many pieces
 there are of each length is all that a packing needs: the driver gets at most `size` counts whatever the
-corpus, packs lengths best-fit in falling order (equal bins are kept as one pattern with a multiplicity),
-then improves all underfull bins by moving one or two items, exchanging one for one, two for one or one for two, until the sum
-of squared fills rises no more or the lower bound is met, and drops bins that become empty. Pieces are dealt to the places of their
+corpus. The search begins with every piece in a bin of its own. Whole bins move first, in falling order of length, to the fullest bin with
+room; then underfull bins exchange one or two items for none or one, and one for two. Every step makes a bin fuller than its
+partner was, so the sum of squared fills rises throughout, until bins are empty. Equal bins are one pattern with a multiplicity and
+move together, so the work follows the number of lengths and not of documents. Pieces are dealt to the places of their
 length by their rank within it; ranks are counted in salted groups, so one very common length is no hot key.
 
 Defined cases: null text counts as empty, and an empty document is its end id alone; repeated rows are
@@ -29,13 +30,18 @@ from tracedex.llm.common import table
 from tracedex.llm.tokens import chunk_ids, word_tokenizer
 
 Bin = tuple[int, ...]  # lengths, falling
+#: The search has settled when a round empties and fills fewer than one in so many of the underfull bins.
+SETTLED = 10_000
 
 
-def best_fit(counts: dict[int, int], size: int) -> Counter:
-    """Pattern -> how many bins have it, by best fit over falling lengths; whole runs of equal items at once."""
-    open_bins: dict[int, list[list]] = {}  # room left -> [pattern, multiplicity]
+def moved(counts: dict[int, int], size: int, squares: list[int] | None = None) -> Counter:
+    """The search's moves of whole bins: every piece begins in a bin of its own, and in falling order of length each bin's piece moves to the
+    fullest bin with room for it, which empties its own. Pattern -> how many bins have it; bins that are alike move at once, as many as the
+    receivers take. A bin never moves to an emptier one, so every move raises the sum of squared fills; `squares` collects it."""
+    open_bins: dict[int, list[list]] = {}  # room left -> [pattern, multiplicity] of receivers
     rooms: list[int] = []
     done: Counter = Counter()
+    square = sum(length**2 * n for length, n in counts.items())
 
     def put(room: int, pattern: Bin, times: int) -> None:
         if not times:
@@ -48,15 +54,23 @@ def best_fit(counts: dict[int, int], size: int) -> Counter:
             bisect.insort(rooms, room)
         open_bins[room].append([pattern, times])
 
+    def rise(fill: int, length: int, each: int, times: int) -> None:
+        nonlocal square
+        square += times * ((fill + each * length) ** 2 - fill**2 - each * length**2)
+        if squares is not None and each * times:
+            squares.append(square)
+
     for length in sorted(counts, reverse=True):
         left = counts[length]
         while left > 0:
             k = bisect.bisect_left(rooms, length)
-            if k == len(rooms):
+            if k == len(rooms):  # no room elsewhere: bins of this length receive others of it
                 each = size // length
                 put(size - each * length, (length,) * each, left // each)
+                rise(length, length, each - 1, left // each)
                 if rest := left % each:
                     put(size - rest * length, (length,) * rest, 1)
+                    rise(length, length, rest - 1, 1)
                 break
             room = rooms[k]
             group = open_bins[room]
@@ -67,10 +81,12 @@ def best_fit(counts: dict[int, int], size: int) -> Counter:
             each = room // length
             full = min(times, left // each)
             put(room - each * length, pattern + (length,) * each, full)
+            rise(size - room, length, each, full)
             left -= full * each
             if times > full:
                 rest = min(left, each)  # fewer than fill one more bin
                 put(room - rest * length, pattern + (length,) * rest, 1)
+                rise(size - room, length, rest, 1)
                 put(room, pattern, times - full - 1)
                 left -= rest
     for room, group in open_bins.items():
@@ -79,31 +95,97 @@ def best_fit(counts: dict[int, int], size: int) -> Counter:
     return done
 
 
-@lru_cache(1000)
-def _parts(pattern: Bin) -> tuple[list[int], list[int], dict[int, tuple[int, ...]]]:
-    """(sums of one item, sums of two, how each two-item sum is made), rising."""
+@lru_cache(5000)
+def _sums(pattern: Bin) -> tuple[int, int]:
+    """Bit masks of the weights of one item and of two items of a bin."""
+    counts = Counter(pattern)
+    ones = sum(1 << a for a in counts)
+    twos = 0
+    for a, n in counts.items():
+        twos |= (ones if n > 1 else ones ^ (1 << a)) << a
+    return ones, twos
+
+
+def _items(pattern: Bin, weight: int) -> Bin:
+    """One or two items of a bin with this weight."""
     counts = Counter(pattern)
-    singles = sorted(counts)
-    twos: dict[int, tuple[int, ...]] = {}
-    for i, a in enumerate(singles):
-        for b in singles[i + (counts[a] < 2) :]:
-            twos.setdefault(a + b, (a, b))
-    return singles, sorted(twos), twos
-
-
-def _exchange(source: Bin, target: Bin, room: int) -> tuple[int, Bin, Bin]:
-    """(weight moved, out of source, out of target) of the exchange that moves the most weight that fits: one or two items, one for
-    one, two for one or one for two."""
-    best: tuple[int, Bin, Bin] = (0, (), ())
-    mine, my_sums, my_twos = _parts(source)
-    theirs, their_sums, their_twos = _parts(target)
-    for gives, takes in ((mine, [0, *theirs]), (my_sums, [0, *theirs]), (mine, their_sums)):
-        for give in gives:
-            k = bisect.bisect_left(takes, give - room)
-            if k < len(takes) and best[0] < give - takes[k]:
-                take = takes[k]
-                best = (give - take, my_twos[give] if gives is my_sums else (give,), their_twos[take] if takes is their_sums else (take,) if take else ())
-    return best
+    if counts[weight]:
+        return (weight,)
+    return next((a, weight - a) for a in counts if counts[weight - a] > (a == weight - a))
+
+
+class _Offers:
+    """What underfull bins would take and what they have.
+
+    capacity -> room -> (pattern, item it would give back): the capacity is the room plus the item given back, so the least capacity that
+    holds a weight leaves the fullest bin, and the largest room in it takes the most. `mask` has a bit for each capacity on offer, and `has` one
+    for each length that some underfull bin holds."""
+
+    def __init__(self, size: int):
+        self.size, self.mask, self.has = size, 0, 0
+        self.of: dict[int, dict[int, dict[tuple[Bin, Bin], None]]] = {}
+        self.holders: dict[int, dict[Bin, None]] = {}
+
+    def add(self, pattern: Bin) -> None:
+        room = self.size - sum(pattern)
+        for t in (0, *set(pattern)):
+            self.mask |= 1 << (room + t)
+            self.of.setdefault(room + t, {}).setdefault(room, {})[pattern, (t,) if t else ()] = None
+            if t:
+                self.has |= 1 << t
+                self.holders.setdefault(t, {})[pattern] = None
+
+    def drop(self, pattern: Bin) -> None:
+        room = self.size - sum(pattern)
+        for t in (0, *set(pattern)):
+            rooms = self.of[room + t]
+            del rooms[room][pattern, (t,) if t else ()]
+            if not rooms[room]:
+                del rooms[room]
+            if not rooms:
+                del self.of[room + t]
+                self.mask ^= 1 << (room + t)
+            if t:
+                del self.holders[t][pattern]
+                if not self.holders[t]:
+                    self.has ^= 1 << t
+
+    def give(self, source: Bin, alone: bool) -> tuple[Bin, Bin, Bin, Bin] | None:
+        """(giver, receiver, items over, items back) of the exchange that moves one or two items of `source` against none or one and leaves the
+        fullest receiver; it ends fuller than the giver began."""
+        ones, twos = _sums(source)
+        weights = ones | twos
+        for left in range(self.size - sum(source)):
+            hit = (weights << left) & self.mask
+            while hit:
+                capacity = hit.bit_length() - 1
+                for room in sorted(self.of[capacity], reverse=True):
+                    if room <= left:
+                        break
+                    for target, back in self.of[capacity][room]:
+                        if target != source or not alone:
+                            return source, target, _items(source, capacity - left), back
+                hit ^= 1 << capacity
+        return None
+
+    def take(self, target: Bin, alone: bool) -> tuple[Bin, Bin, Bin, Bin] | None:
+        """The same, of the exchange that brings one item to `target` against two and fills it most."""
+        _, twos = _sums(target)
+        fill = sum(target)
+        for gain in range(self.size - fill, 0, -1):
+            hit = (twos << gain) & self.has
+            while hit:
+                item = hit.bit_length() - 1
+                for source in self.holders[item]:
+                    if sum(source) < fill + gain and (source != target or not alone):
+                        return source, target, (item,), _items_of_two(target, item - gain)
+                hit ^= 1 << item
+        return None
+
+
+def _items_of_two(pattern: Bin, weight: int) -> Bin:
+    counts = Counter(pattern)
+    return next((a, weight - a) for a in counts if counts[weight - a] > (a == weight - a))
 
 
 def _without(pattern: Bin, out: Bin, more: Bin) -> Bin:
@@ -113,99 +195,61 @@ def _without(pattern: Bin, out: Bin, more: Bin) -> Bin:
     return tuple(sorted([*left, *more], reverse=True))
 
 
-class _Reach:
-    """For every item sum: the two targets that it would fill most, of one-item and of two-item sums that they would give back."""
+def improve_patterns(bins: Counter, size: int, squares: list[int] | None = None) -> Counter:
+    """Local search over all underfull bins, kept as patterns with multiplicities.
 
-    def __init__(self, size: int):
-        self.size = size
-        self.best = np.full((2, 2, size + 1), -1, np.int64)  # (given back: one or none, two), rank, sum -> fill left in the target
-        self.who = np.full((2, 2, size + 1), -1, np.int64)
-        self.names: list[Bin] = []
-
-    def add(self, pattern: Bin) -> None:
-        fill = sum(pattern)
-        room = self.size - fill
-        if not room:
-            return
-        me = len(self.names)
-        self.names.append(pattern)
-        singles, sums, _ = _parts(pattern)
-        for kind, takes in enumerate(([0, *singles], sums)):
-            for take in takes:
-                span, left = slice(take + 1, min(take + room, self.size) + 1), fill - take
-                (first, second), (one, two) = self.best[kind, :, span], self.who[kind, :, span]
-                up, mine = left > first, one == me
-                push = up & ~mine
-                second[push], two[push] = first[push], one[push]
-                first[up], one[up] = left, me
-                next_ = ~up & ~mine & (left > second)
-                second[next_], two[next_] = left, me
-
-    def targets(self, source: Bin) -> list[Bin]:
-        """Targets that some exchange would fill above the source, fullest first; two for two is not tried."""
-        fill = sum(source)
-        singles, sums, _ = _parts(source)
-        found: dict[int, int] = {}
-        for gives, kinds in ((singles, (0, 1)), (sums, (0,))):
-            g = np.array(gives, np.int64)
-            for kind in kinds:
-                for rank in (0, 1):
-                    who, after = self.who[kind, rank, g], self.best[kind, rank, g] + g
-                    for w, f in zip(who.tolist(), after.tolist(), strict=True):
-                        if w >= 0 and f > fill and f > found.get(w, -1):
-                            found[w] = f
-        return [self.names[w] for w in sorted(found, key=lambda w: -found[w])]
-
-
-def improve_patterns(bins: Counter, size: int) -> Counter:
-    """Local search over patterns with multiplicities: each step takes weight from as many bins of a pattern as it can to as many fuller ones (or
-    ones that become fuller than the source was), so the sum of squared fills rises. The emptiest pattern that can move goes first; the search
-    ends at the lower bound or when no exchange between any two underfull bins gains."""
+    A step takes the emptiest bin that can give and moves one or two of its items to the bin that they fill most, against none or one
+    item of that bin, as often as both patterns have bins; where no bin can give, the fullest bins take one item against two. The receiver ends
+    fuller than the giver began, so the sum of squared fills rises with every step; `squares` collects it. The search ends at the lower bound
+    of bins, or when a whole round over all underfull bins empties and fills fewer than one bin in `SETTLED`."""
     bins = Counter({p: n for p, n in bins.items() if p and n})
     full = Counter({p: n for p, n in bins.items() if sum(p) == size})
     bins -= full
     total, least = sum(bins.values()), -(-sum(sum(p) * n for p, n in bins.items()) // size)
-    moved = True
-    while moved and total > least:
-        moved = False
-        reach = _Reach(size)
-        for p in sorted(bins, key=sum, reverse=True):
-            reach.add(p)
-        waiting = [(sum(p), p) for p in bins]
+    square, offers = sum(sum(p) ** 2 * n for p, n in (bins + full).items()), _Offers(size)
+    for p in bins:
+        offers.add(p)
+    taking, stale = False, 0
+    while total > least and stale < 2:  # rounds of giving and of taking, until one of each is in vain
+        before = total, sum(full.values())
+        bins = +bins
+        waiting = [(-sum(p) if taking else sum(p), p) for p in bins]
         heapq.heapify(waiting)
         while waiting and total > least:
-            _, source = heapq.heappop(waiting)
-            while bins[source] and total > least:
-                for target in reach.targets(source):
-                    times = min(bins[source], bins[target]) if target != source else bins[source] // 2
-                    weight, out, back = _exchange(source, target, size - sum(target)) if times else (0, (), ())
-                    if weight and sum(target) + weight > sum(source):
-                        break
-                else:
-                    break
-                moved = True
-                bins[source] -= times
-                bins[target] -= times
-                rest, filled = _without(source, out, back), _without(target, back, out)
-                if sum(filled) == size:
-                    full[filled] += times
+            order, p = heapq.heappop(waiting)
+            if not bins[p]:
+                continue
+            step = (offers.take if taking else offers.give)(p, bins[p] == 1)
+            if step is None:
+                continue
+            source, target, out, back = step
+            times = min(bins[source], bins[target]) if target != source else bins[source] // 2
+            rest, filled = _without(source, out, back), _without(target, back, out)
+            square += times * (sum(rest) ** 2 + sum(filled) ** 2 - sum(source) ** 2 - sum(target) ** 2)
+            if squares is not None:
+                squares.append(square)
+            bins[source] -= times
+            bins[target] -= times
+            for q in {source, target}:
+                if not bins[q]:
+                    offers.drop(q)
+            total -= times * (not rest)
+            for q in (rest, filled):
+                if sum(q) == size:
+                    full[q] += times
                     total, least = total - times, least - times
-                else:
-                    new = not bins[filled]
-                    bins[filled] += times
-                    if new:
-                        reach.add(filled)
-                        heapq.heappush(waiting, (sum(filled), filled))
-                if rest:
-                    new = not bins[rest]
-                    bins[rest] += times
-                    if new:
-                        reach.add(rest)
-                        heapq.heappush(waiting, (sum(rest), rest))
-                else:
-                    total -= times
-        bins = +bins
-    return bins + full
+                elif q:
+                    if not bins[q]:  # it has its turn in the next round
+                        offers.add(q)
+                    bins[q] += times
+            if bins[p]:
+                heapq.heappush(waiting, (order, p))
+        gain = before[0] - total + 2 * (sum(full.values()) - before[1])  # a filled bin leaves the total as well
+        if gain * SETTLED > before[0]:
+            stale = 0
+        else:
+            taking, stale = not taking, stale + 1
+    return +bins + full
 
 
 def improve(bins: list[list[int]], size: int) -> list[list[int]]:
@@ -216,7 +260,7 @@ def improve(bins: list[list[int]], size: int) -> list[list[int]]:
 
 def plan(counts: dict[int, int], size: int) -> list[tuple[Bin, int]]:
     """Patterns with multiplicities."""
-    return sorted((p, n) for p, n in improve_patterns(best_fit(counts, size), size).items() if n)
+    return sorted((p, n) for p, n in improve_patterns(moved(counts, size), size).items() if n)
 
 
 def places(patterns: list[tuple[Bin, int]]) -> list[tuple[int, int, int, int, int, int]]:
