@@ -1,15 +1,16 @@
 """N-gram Jaccard join by MinHash banding (operator 4).
 
-Documents with one set of word n-grams form a class with one representative. Representatives get banded
+Documents with one set of word n-grams form a class with one representative, whatever their ids. Representatives get banded
 MinHash signatures, with bands and rows chosen so that a pair at the threshold is missed with a stated
-probability. Buckets are reduced to star edges (member to least member), whose connected components bring
-together all pairs that share a band. Each component is dealt out as block pairs to tasks that hold two blocks
-of full n-gram sets, verify every pair of them exactly (whether it shares a band or not), and emit one row a member (links counted,
+probability. Each representative has its home in the fullest of its shared buckets, and homes are cut into small blocks of like sizes. Two blocks are
+compared if some bucket has members of both, so work follows the buckets and not the components that weak hits would chain together. A task
+holds the full n-gram sets of two blocks, verifies every pair of them exactly, and emits one row a member (links counted,
 and one edge to a linked member each block), never one row a pair. Connected components of the verified
 edges are the near-duplicate classes.
 
 Defined cases: null and empty texts link to nothing; a text of fewer words than an n-gram is one n-gram; a text
-without words has itself as its only n-gram; repeated rows are copies of each other; other columns are ignored.
+without words has itself as its only n-gram; repeated rows are copies of each other, and rows that share an id or have none but differ in text are
+rows of their own; a class without any id has none; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -19,6 +20,7 @@ import math
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from tracedex.llm.common import U, flat_utf8, mix64, slots, spans, table, words_of
@@ -26,8 +28,8 @@ from tracedex.llm.common import U, flat_utf8, mix64, slots, spans, table, words_
 WORDS, THRESHOLD = 5, 0.8
 #: Chance that a pair exactly at the threshold shares no band.
 MISS = 1e-4
-BLOCK = 512  # representatives of a block
-BLOCK_BYTES = 4 << 20  # of n-gram hashes of a block
+BLOCK = 64  # representatives of a block
+BLOCK_GRAMS = 1 << 19  # n-grams of a block
 
 
 def bands_for(threshold: float, miss: float = MISS, rows: int = 4) -> tuple[int, int]:
@@ -70,12 +72,12 @@ def shingles(data: np.ndarray, offsets: np.ndarray, n: int = WORDS) -> tuple[np.
 
 
 def signatures(own: np.ndarray, value: np.ndarray, bands: int, rows: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(documents with n-grams, 64-bit set hash, band hashes) — one multiply and one shift a permutation and n-gram."""
+    """(documents with n-grams, 128-bit set hashes, band hashes) — one multiply and one shift a permutation and n-gram."""
     first = np.flatnonzero(np.r_[True, own[1:] != own[:-1]]) if len(own) else np.zeros(0, np.int64)
     with np.errstate(over="ignore"):
         if not len(first):
-            return first, np.zeros(0, U), np.zeros((0, bands), U)
-        whole = mix64(np.add.reduceat(mix64(value + U(77)), first) ^ np.add.reduceat(mix64(value ^ U(0xABCDEF123)), first) * U(0x9E3779B97F4A7C15))
+            return first, np.zeros((0, 2), U), np.zeros((0, bands), U)
+        whole = np.column_stack([mix64(np.add.reduceat(mix64(value + U(77 * k)), first) ^ np.add.reduceat(mix64(value ^ U(0xABCDEF123 * k)), first) * U(0x9E3779B97F4A7C15)) for k in (1, 2)])
         seeds = mix64(np.arange(1, bands * rows + 1, dtype=U)) | U(1)
         keys = np.empty((len(first), bands), U)
         for b in range(bands):
@@ -91,12 +93,12 @@ def _signed(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64) if x.dtype == U else x
 
 
-def components(edges: DataFrame, limit: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """(node, root) of the connected components of `edges` (a, b): each round every node and its label learn the least label among
     neighbours, then labels jump to their own label, until nothing changes. Only counts reach the driver."""
     both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().checkpoint()
     labels = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("root")).select(F.col("a").alias("node"), "root").checkpoint()
-    for _ in range(limit):
+    while True:
         near = both.join(labels, both["b"] == labels["node"]).groupBy("a").agg(F.min("root").alias("least"))
         hooked = labels.join(near, labels["node"] == near["a"]).select("node", "root", F.least("root", "least").alias("least"))
         # the least label that any node of a component has seen is offered to the component's label
@@ -108,34 +110,39 @@ def components(edges: DataFrame, limit: int = 60) -> DataFrame:
         labels = step.select("node", F.col("new_root").alias("root"))
         if not changed:
             return labels
-    raise RuntimeError("components did not settle")
+
+
+def _marked(docs: DataFrame) -> DataFrame:
+    """bare (no id), id and mark (hash of the text) of each row, which stand for a row and its copies, and the text."""
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    return docs.select(F.col("doc_id").isNull().alias("bare"), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)).alias("id"), F.sha2(text, 256).alias("mark"), text.alias("text")).filter("text != ''")
 
 
 def signed_docs(docs: DataFrame, threshold: float, words: int) -> DataFrame:
-    """doc_id, set_hash, n_grams, keys (band hashes) of documents with n-grams."""
+    """bare, id, mark, set_a and set_b (hash of the n-gram set), n_grams, keys (band hashes) of the rows with a text."""
     bands, rows = bands_for(threshold)
 
     def run(batches):
         for b in batches:
-            ids = b.column(0)
-            texts = pa.array([t.lower() if t else "" for t in b.column(1).to_pylist()], pa.large_string())
+            texts = pa.array([t.lower() for t in b.column("text").to_pylist()], pa.large_string())
             data, offsets = flat_utf8(texts)
             for i, j in spans(offsets):
                 own, value = shingles(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], words)
                 at, whole, keys = signatures(own, value, bands, rows)
                 n = np.bincount(own, minlength=j - i)[at] if len(at) else at
-                flat = pa.array(_signed(keys.reshape(-1)))
-                yield pa.RecordBatch.from_arrays([ids.take(pa.array(at + i)), pa.array(_signed(whole)), pa.array(n.astype(np.int64)), pa.ListArray.from_arrays(pa.array(np.arange(len(at) + 1, dtype=np.int32) * bands), flat)], ["doc_id", "set_hash", "n_grams", "keys"])
+                flat, take = pa.array(_signed(keys.reshape(-1))), pa.array(at + i)
+                yield pa.RecordBatch.from_arrays([
+                    *(b.column(c).take(take) for c in ("bare", "id", "mark")), *(pa.array(_signed(np.ascontiguousarray(whole[:, k]))) for k in (0, 1)), pa.array(n.astype(np.int64)),
+                    pa.ListArray.from_arrays(pa.array(np.arange(len(at) + 1, dtype=np.int32) * bands), flat),
+                ], ["bare", "id", "mark", "set_a", "set_b", "n_grams", "keys"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, set_hash long, n_grams long, keys array<long>")
+    return _marked(docs).mapInArrow(run, "bare boolean, id long, mark string, set_a long, set_b long, n_grams long, keys array<long>")
 
 
 def verify_pairs(members: DataFrame, threshold: float, words: int, parts: int) -> DataFrame:
-    """members: group, block, blocks, rep, weight, text. Out: rep, links (weights of linked representatives), edge (one linked
-    representative or null), a row for each member and block pair that has links."""
-    sides = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    pair = sides.select("group", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rep", "weight", "text")
-    dealt = pair.repartition(parts, "group", "i", "j").sortWithinPartitions("group", "i", "j", "block", "rep")
+    """members: i, j (blocks compared, i = j for one with itself), block (the member's own), rep, weight, text. Out: rep, links (weights of
+    linked representatives), edge (one linked representative), a row for each member and pair of blocks that has links."""
+    dealt = members.repartition(parts, "i", "j").sortWithinPartitions("i", "j", "block", "rep")
 
     def batch_of(rows):
         return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(3)], ["rep", "links", "edge"])
@@ -143,17 +150,17 @@ def verify_pairs(members: DataFrame, threshold: float, words: int, parts: int) -
     def run(batches):
         held, at, out = [], None, []
         for b in batches:
-            for g, i, j, block, rep, weight, text in zip(*(b.column(c).to_pylist() for c in ("group", "i", "j", "block", "rep", "weight", "text")), strict=True):
-                if at != (g, i, j):
+            for i, j, block, rep, weight, text in zip(*(b.column(c).to_pylist() for c in ("i", "j", "block", "rep", "weight", "text")), strict=True):
+                if at != (i, j):
                     if held:
-                        out += _block(held, at[1] != at[2], threshold, words)
-                    held, at = [], (g, i, j)
+                        out += _block(held, at[0] != at[1], threshold, words)
+                    held, at = [], (i, j)
                     if len(out) > 20_000:
                         yield batch_of(out)
                         out = []
                 held.append((block, rep, weight, text))
         if held:
-            out += _block(held, at[1] != at[2], threshold, words)
+            out += _block(held, at[0] != at[1], threshold, words)
         if out:
             yield batch_of(out)
 
@@ -202,35 +209,64 @@ def _joins(linked: np.ndarray, rep: np.ndarray) -> list[tuple]:
     return out
 
 
+def blocked_pairs(sets: DataFrame) -> DataFrame:
+    """sets: rep, n_grams, keys. Out: i, j, block, rep: every member of the blocks i and j, for all blocks that share a bucket."""
+    keyed = sets.select("rep", "n_grams", F.posexplode("keys").alias("band", "key"))
+    buckets = keyed.groupBy("band", "key").agg(F.count("*").alias("n")).filter("n > 1")
+    shared = keyed.join(buckets, ["band", "key"])
+    home = shared.groupBy("rep").agg(F.max(F.struct("n", "band", "key")).alias("h"), F.first("n_grams").alias("n_grams"))
+    size_class = F.ceil(F.log2(F.col("n_grams").cast("double"))).cast("int")
+    room = F.greatest(F.lit(1.0), F.least(F.lit(float(BLOCK)), F.lit(float(BLOCK_GRAMS)) / F.pow(F.lit(2.0), size_class)))
+    salt = F.pmod(F.xxhash64("rep"), F.ceil(F.col("h.n") / room))
+    blocks = home.select("rep", F.xxhash64("h.band", "h.key", size_class, salt).alias("block")).checkpoint()
+    met = shared.select("rep", "band", "key").join(blocks, "rep").select("band", "key", "block").distinct()
+    other = met.withColumnRenamed("block", "j")
+    across = met.withColumnRenamed("block", "i").join(other, ["band", "key"]).filter("i < j").select("i", "j").distinct()
+    within = blocks.groupBy("block").agg(F.count("*").alias("n")).filter("n > 1").select(F.col("block").alias("i"), F.col("block").alias("j"))
+    sides = across.select("i", "j", F.explode(F.array("i", "j")).alias("block")).unionByName(within.withColumn("block", F.col("i")))
+    return sides.join(blocks, "block")
+
+
+def _classes(signed: DataFrame, docs: DataFrame, threshold: float, words: int) -> DataFrame:
+    """rep, set_a, set_b, weight (rows), head (first row), least (least id), root (its near-duplicate class), links of every n-gram set."""
+    head = F.min(F.struct("bare", "id", "mark")).alias("head")
+    sets = signed.groupBy("set_a", "set_b").agg(head, F.count("*").alias("weight"), F.min(F.when(~F.col("bare"), F.col("id"))).alias("least"), F.first("n_grams").alias("n_grams"), F.first("keys").alias("keys"))
+    sets = sets.withColumn("rep", F.monotonically_increasing_id()).checkpoint()  # numbered once and for all
+    dealt = blocked_pairs(sets.select("rep", "n_grams", "keys"))
+    wanted = dealt.select("rep").distinct().join(sets.select("rep", "head.*"), "rep")
+    text = _marked(docs).join(wanted, ["bare", "id", "mark"]).groupBy("rep").agg(F.any_value("text").alias("text"))  # repeated rows hold the same
+    members = dealt.join(sets.select("rep", "weight"), "rep").join(text, "rep").select("i", "j", "block", "rep", "weight", "text")
+    verified = verify_pairs(members, threshold, words, slots(docs.sparkSession)).checkpoint()
+    roots = components(verified.select(F.col("rep").alias("a"), F.col("edge").alias("b")))
+    links = verified.groupBy("rep").agg(F.sum("links").alias("links"))
+    linked = sets.drop("keys", "n_grams").join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").join(links, "rep", "left")
+    return linked.withColumn("root", F.coalesce("root", "rep")).withColumn("links", F.coalesce("links", F.lit(0)))
+
+
 def near_classes(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS) -> DataFrame:
     """doc_id, class_id (least doc_id of its near-duplicate class), copy_of (least doc_id with the same n-grams), n_links (other documents whose
     n-gram Jaccard similarity is at least the threshold). A row for each document."""
-    spark = docs.sparkSession
-    parts = slots(spark)
-    signed = signed_docs(docs, threshold, words).withColumn("doc_id", F.coalesce("doc_id", F.lit(-(1 << 63)))).checkpoint()
-    classes = signed.groupBy("set_hash", "n_grams").agg(F.min("doc_id").alias("rep"), F.count("*").alias("weight"))
-    reps = classes.join(signed.groupBy("set_hash", "n_grams").agg(F.first("keys").alias("keys")), ["set_hash", "n_grams"]).select("rep", "weight", "set_hash", "keys")
-    keyed = reps.select("rep", F.posexplode("keys").alias("band", "key"))
-    buckets = keyed.groupBy("band", "key").agg(F.min("rep").alias("least"), F.count("*").alias("n")).filter("n > 1")
-    stars = keyed.join(buckets, ["band", "key"]).filter("rep != least").select(F.col("rep").alias("a"), F.col("least").alias("b")).distinct()
-    groups = components(stars)
-    sized = groups.join(reps, groups["node"] == reps["rep"]).select(F.col("root").alias("group"), "rep", "weight")
-    text = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("rep"), F.col("text").cast("string").alias("text")).filter("text is not null")
-    # one text a representative: repeated ids hold it if they hold a text at all, so the longest text stands for them
-    text = text.join(groups.select(F.col("node").alias("rep")), "rep", "left_semi").groupBy("rep").agg(F.max_by("text", F.length("text")).alias("text"))
-    bulk = groups.join(text, groups["node"] == text["rep"]).groupBy("root").agg(F.count("*").alias("n"), F.sum(F.length("text") * 2).alias("bytes"))
-    blocks = bulk.select(F.col("root").alias("group"), F.ceil(F.greatest(F.col("n") / BLOCK, F.col("bytes") / (8 * BLOCK_BYTES))).cast("int").alias("blocks"))
-    members = sized.join(blocks, "group").join(text, "rep").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    verified = verify_pairs(members.select("group", "block", "blocks", "rep", "weight", "text"), threshold, words, parts).checkpoint()
-    roots = components(verified.select(F.col("rep").alias("a"), F.col("edge").alias("b")))
-    links = verified.groupBy("rep").agg(F.sum("links").alias("links"))
-    of_rep = reps.select("rep", "weight", "set_hash").join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").join(links, "rep", "left")
-    by_set = classes.select("set_hash", "n_grams", "rep").join(of_rep.drop("set_hash"), "rep").select("set_hash", "n_grams", "rep", F.coalesce("root", "rep").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("n_links"))
-    found = signed.select("doc_id", "set_hash", "n_grams").join(by_set, ["set_hash", "n_grams"]).select("doc_id", "class_id", F.col("rep").alias("copy_of"), "n_links")
-    bare = docs.select(F.col("doc_id").cast("long").alias("doc_id")).filter(F.coalesce(F.col("text").cast("string"), F.lit("")) == "")
-    found = found.unionByName(bare.select("doc_id", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("copy_of"), F.lit(0).cast("long").alias("n_links")))
-    none = lambda c: F.when(F.col(c) == -(1 << 63), F.lit(None)).otherwise(F.col(c)).alias(c)
-    return found.select(none("doc_id"), none("class_id"), none("copy_of"), F.col("n_links").cast("long").alias("n_links"))
+    signed = signed_docs(docs, threshold, words).checkpoint()
+    classes = _classes(signed, docs, threshold, words)
+    ids = classes.groupBy("root").agg(F.min("least").alias("class_id"))
+    by_set = classes.join(ids, "root").select("set_a", "set_b", "class_id", F.col("least").alias("copy_of"), (F.col("links") + F.col("weight") - 1).alias("n_links"))
+    found = signed.select("bare", "id", "set_a", "set_b").join(by_set, ["set_a", "set_b"])
+    found = found.select(F.when(~F.col("bare"), F.col("id")).alias("doc_id"), "class_id", "copy_of", "n_links")
+    empty = docs.filter(F.coalesce(F.col("text").cast("string"), F.lit("")) == "").select(F.col("doc_id").cast("long").alias("doc_id"))
+    return found.unionByName(empty.select("doc_id", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("copy_of"), F.lit(0).cast("long").alias("n_links")))
+
+
+def keep_one(docs: DataFrame, threshold: float = THRESHOLD, words: int = WORDS) -> DataFrame:
+    """`docs` with one row of each near-duplicate class, the one of least id (rows without an id last; of rows equal in id and text, one), and all rows
+    without text."""
+    classes = _classes(signed_docs(docs, threshold, words).checkpoint(), docs, threshold, words)
+    kept = classes.groupBy("root").agg(F.min("head").alias("head")).select(F.col("head.bare").alias("_bare"), F.col("head.id").alias("_id"), F.col("head.mark").alias("_mark"))
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    plain = [F.col(f.name) for f in docs.schema.fields if "map" not in f.dataType.simpleString()]
+    keyed = docs.select(F.struct(*docs.columns).alias("_row"), F.xxhash64(*plain).alias("_tie"), F.col("doc_id").isNull().alias("_bare"), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)).alias("_id"), F.sha2(text, 256).alias("_mark"), (text == "").alias("_empty"))
+    key = ["_bare", "_id", "_mark"]
+    one = keyed.filter("not _empty").join(kept, key).withColumn("_n", F.row_number().over(W.partitionBy(*key).orderBy("_tie"))).filter("_n = 1")
+    return one.select("_row.*").unionByName(docs.filter(text == ""))
 
 
 def op4_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
