@@ -4,8 +4,9 @@ Detected entities are replaced by keyed, type-consistent surrogates of the same
 number in the mixed-radix domain of its format (digits stay digits, hex stays hex, octets stay octets, a name
 becomes a name of the same gender and script) and moved by a keyed permutation of that domain that has no fixed
 point. A permutation keeps distinct entities distinct, and equal entities (in any spelling of one
-canonical form) get equal surrogates in every document, without a shuffle or a table of entities.
-`collisions` checks just that on a result.
+canonical form) get equal surrogates in every document, without a shuffle or a table of entities. A person found by a title is
+replaced at every later or earlier mention of the bare name in the same document as well. `collisions` checks a result of any size for
+surrogates that stand for two originals, names among them, and for originals with two surrogates; the query runs it.
 
 Defined cases: null text stays null with no entity; empty text stays empty; repeated rows are treated alike;
 other columns pass untouched, also such as are named like ours (`n_entities` and `entities` are replaced).
@@ -53,7 +54,8 @@ SECRET = re.compile(
 )
 SECRET_LEAST = 6
 NAMED = re.compile(r"(?<!\w)(" + "|".join(sorted(TITLES, key=len, reverse=True)) + r")(\.? )([A-ZÀ-ÞА-ЯЁ][\wÀ-ÿа-яё]+)(?:( )([A-ZÀ-ÞА-ЯЁ][\wÀ-ÿа-яё]+))?")
-SECRET_CUES = ("assw", "ASSW", "pwd", "oken", "OKEN", "ecret", "ECRET", "_key", "_KEY", "-key", "pikey")
+#: In lower case; every name of SECRET holds one.
+SECRET_CUES = ("pass", "pwd", "token", "secret", "key")
 
 
 def _round(key: bytes, i: int, value: int, size: int) -> int:
@@ -129,11 +131,13 @@ def _mixed(values: list[int], sizes: list[int], key: bytes) -> list[int]:
 
 
 LOWER_, UPPER_, DIGIT_, HEX_, BASE32_ = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789", "0123456789abcdef", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
+#: Letters with marks and Cyrillic ones, small and large.
+OTHERS_ = ["".join(chr(c) for c in range(a, z + 1) if chr(c).isalpha()) + more for a, z, more in ((0xDF, 0xFF, ""), (0xC0, 0xDE, ""), (0x430, 0x44F, "ё"), (0x410, 0x42F, "Ё"))]
 
 
 def reshape(text: str, key: bytes, kind: str, sets: str | None = None) -> str:
     """Characters move within their class (or within `sets`); the format is the classes' sequence and stays."""
-    classes = [sets if sets and c in sets else next((s for s in (DIGIT_, LOWER_, UPPER_) if c in s), c) for c in text]
+    classes = [sets if sets and c in sets else next((s for s in (DIGIT_, LOWER_, UPPER_, *OTHERS_) if c in s), c) for c in text]
     if all(len(s) == 1 for s in classes):  # nothing to move: fall back to letters that depend on the text
         return "".join(LOWER_[b % 26] for b in hashlib.blake2b(text.encode(), key=key[:64], digest_size=min(64, max(8, len(text)))).digest())
     own = hashlib.blake2b(f"{kind}|{[s if len(s) > 1 else '' for s in classes]}".encode(), key=key[:64], digest_size=32).digest()
@@ -192,18 +196,14 @@ def surrogate(kind: str, value: str, key: bytes = KEY) -> str:
 
 @lru_cache(20_000)
 def _listed(word: str, names: tuple[str, ...], key: bytes, label: str) -> str:
-    """A name of the list for a listed name (one to one), an altered spelling of the same shape for any other."""
+    """A name of the list for a listed name, and for any other a spelling of the same shape outside the list: both one to one."""
     own = hashlib.blake2b(label.encode(), key=key[:64], digest_size=32).digest()
     if word in names:
         return names[move(names.index(word), len(names), own)]
-    if all(c in LOWER_ or c in UPPER_ for c in word):
-        for _ in range(8):  # an altered spelling must not meet the listed names
-            word = reshape(word, own, label)
-            if word not in names:
-                return word
-    sign = {True: "АБВГДЕЖЗИКЛМНОПРСТУФХ", False: UPPER_}[any("а" <= c <= "я" or "А" <= c <= "Я" for c in word)]
-    n = int.from_bytes(hashlib.blake2b(word.encode(), key=own, digest_size=8).digest(), "little")
-    return sign[n % len(sign)] + "".join(sign[(n >> 5 * i) % len(sign)].lower() for i in range(1, 12))
+    new = reshape(word, own, label)
+    while new in names:  # walking on along the permutation's cycle keeps it one to one
+        new = reshape(new, own, label)
+    return new
 
 
 def person(title: str, first: str, last: str | None, key: bytes = KEY) -> tuple[str, str | None]:
@@ -222,7 +222,8 @@ def find(text: str) -> list[tuple[int, int, str, str]]:
     found: list[tuple[int, int, str, str]] = []
     if "@" in text:
         found += [(m.start(), m.end(), "email", m[0]) for m in EMAIL.finditer(text)]
-    if any(c in text for c in SECRET_CUES):
+    low = text.lower()
+    if any(c in low for c in SECRET_CUES):
         for m in SECRET.finditer(text):
             g = m.lastindex or 3
             value = m[g].rstrip(",;.:)]}>") if g == 3 else m[g]  # what closes a clause is not part of it
@@ -237,7 +238,11 @@ def find(text: str) -> list[tuple[int, int, str, str]]:
                     continue
                 found.append((m.start(), m.end(), kind, m[0]))
     if any(t in text for t in TITLES):
-        found += [(m.start(), m.end(), "name", m[0]) for m in NAMED.finditer(text)]
+        named = list(NAMED.finditer(text))
+        found += [(m.start(), m.end(), "name", m[0]) for m in named]
+        if named:
+            bare = sorted({m[k] for m in named for k in (3, 5) if m[k] and len(m[k]) > 1}, key=lambda n: (-len(n), n))
+            found += [(m.start(), m.end(), "bare_name", m[0]) for m in re.finditer(r"(?<!\w)(?:" + "|".join(map(re.escape, bare)) + r")(?!\w)", text)]
     found.sort(key=lambda x: (x[0], -x[1]))
     out, end = [], 0
     for x in found:
@@ -250,16 +255,25 @@ def find(text: str) -> list[tuple[int, int, str, str]]:
 def replace(text: str, key: bytes = KEY) -> tuple[str, list[tuple[str, str, str]]]:
     """(text with surrogates, [(kind, original, surrogate)])."""
     parts, at, made = [], 0, []
-    for start, end, kind, value in find(text):
+    entities = find(text)
+    known: dict[str, str] = {}  # bare name -> its surrogate in this document; a family name goes before a given one
+    for _, _, kind, value in entities:
+        if kind == "name":
+            m = NAMED.fullmatch(value)
+            first, last = person(m[1], m[3], m[5], key)
+            if last:
+                known.setdefault(m[3], first)
+            known[m[5] or m[3]] = last or first
+    for start, end, kind, value in entities:
         if kind == "name":
             m = NAMED.fullmatch(value)
             first, last = person(m[1], m[3], m[5], key)
             new = m[1] + m[2] + first + (m[4] + last if last else "")
         else:
-            new = surrogate(kind, value, key)
+            new = known[value] if kind == "bare_name" else surrogate(kind, value, key)
         parts += [text[at:start], new]
         at = end
-        made.append((kind, value, new))
+        made.append(("name" if kind == "bare_name" else kind, value, new))
     return "".join([*parts, text[at:]]) if parts else text, made
 
 
@@ -284,13 +298,18 @@ def pseudonymise(docs: DataFrame, key: bytes = KEY, text: str = "text", entities
 
 
 def collisions(found: DataFrame) -> DataFrame:
-    """Surrogates that stand for more than one original of a kind; none is expected. Takes a result of `pseudonymise`."""
-    each = found.select(F.explode("entities").alias("e")).select("e.kind", F.lower("e.original").alias("original"), "e.surrogate").filter("kind != 'name'").distinct()
-    return each.groupBy("kind", "surrogate").agg(F.count("*").alias("n")).filter("n > 1")
+    """kind, value, n: surrogates that stand for more than one original of a kind, and originals with more than one surrogate. None is
+    expected; titled names are compared with their titles. Takes a result of `pseudonymise`."""
+    original = F.when(F.col("e.kind") == "email", F.lower("e.original")).otherwise(F.col("e.original"))
+    each = found.select(F.explode("entities").alias("e")).select("e.kind", original.alias("original"), "e.surrogate").distinct()
+    each = each.filter("kind != 'name' or original rlike '[. ]'")  # one bare word may be the given name of one person and the family name of another
+    met = each.groupBy("kind", F.col("surrogate").alias("value")).agg(F.count("*").alias("n")).filter("n > 1")
+    return met.unionByName(each.groupBy("kind", F.col("original").alias("value")).agg(F.count("*").alias("n")).filter("n > 1"))
 
 
 def op10_private_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every document with surrogates for its personal data, and the kinds that were found."""
+    """Every document with surrogates for its personal data, the kinds that were found, and how many collisions the corpus has."""
     found = pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"))
     kinds = F.array_join(F.array_sort(F.transform("entities", lambda e: e["kind"])), ",")
-    return found.select("doc_id", "n_entities", kinds.alias("kinds"), "text")
+    checked = collisions(found).agg(F.count("*").alias("n_collisions"))  # one row
+    return found.crossJoin(F.broadcast(checked)).select("doc_id", "n_entities", kinds.alias("kinds"), "text", "n_collisions")
