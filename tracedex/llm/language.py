@@ -5,7 +5,7 @@ language. A document is a mixture: expectation-maximisation estimates the propor
 its words, and nested sets of the likeliest languages are compared by penalised likelihood.
 
 Defined cases: null text or text without a letter is `und` with score 0; rows without a language teach nothing; without
-any taught language every text is `und`; repeated rows are predicted alike; other columns are ignored.
+any taught language every text is `und`; more than `MOST_LANGUAGES` taught languages raise an error; repeated rows are predicted alike; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -20,6 +20,8 @@ from pyspark.sql import functions as F
 from tracedex.llm.common import IS_WORD, LOWER, flat_utf8, spans, table
 
 BUCKETS = 1 << 16
+#: Languages that a model may have: its tables then take 64 MB at most where they are broadcast.
+MOST_LANGUAGES = 256
 
 
 def _letters(data: np.ndarray) -> np.ndarray:
@@ -54,7 +56,7 @@ def _marked(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarr
 @dataclass
 class Languages:
     names: list[str]
-    logs: np.ndarray  # (languages, BUCKETS)
+    logs: np.ndarray  # (languages, BUCKETS), 32-bit
 
 
 def train(docs: DataFrame) -> Languages:
@@ -79,14 +81,17 @@ def train(docs: DataFrame) -> Languages:
             yield pa.RecordBatch.from_arrays([pa.array([name] * len(at), pa.string()), pa.array(at, pa.int32()), pa.array(c[at], pa.int64())], ["lang", "bucket", "n"])
 
     counted = docs.select(F.col("text").cast("string"), F.col("lang").cast("string")).filter("text is not null and lang is not null").mapInArrow(run, "lang string, bucket int, n long")
-    rows = counted.groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
-    names = sorted(rows["lang"].unique())
-    counts = np.zeros((len(names), BUCKETS))
-    for i, name in enumerate(names):
-        own = rows[rows["lang"] == name]
-        counts[i, own["bucket"]] = own["n"]
-    counts += 0.05
-    return Languages(names, np.log(counts / counts.sum(1, keepdims=True)) if names else counts)
+    # a list of counts a language is all that reaches the driver, and one language more than may be shows that there are too many
+    each = counted.groupBy("lang", "bucket").agg(F.sum("n").alias("n")).groupBy("lang").agg(F.collect_list(F.struct("bucket", "n")).alias("counts"))
+    rows = sorted(each.limit(MOST_LANGUAGES + 1).collect(), key=lambda r: r["lang"])
+    if len(rows) > MOST_LANGUAGES:
+        raise ValueError(f"more than {MOST_LANGUAGES} languages: raise MOST_LANGUAGES if 256 KB each may be broadcast")
+    logs = np.zeros((len(rows), BUCKETS), np.float32)
+    for i, r in enumerate(rows):
+        own = np.full(BUCKETS, 0.05)
+        own[[c["bucket"] for c in r["counts"]]] += [c["n"] for c in r["counts"]]
+        logs[i] = np.log(own / own.sum())
+    return Languages([r["lang"] for r in rows], logs)
 
 
 def _mixture(like: np.ndarray, first: np.ndarray, doc: np.ndarray, share: np.ndarray, steps: int) -> tuple[np.ndarray, np.ndarray]:
@@ -109,7 +114,7 @@ def proportions(data: np.ndarray, offsets: np.ndarray, model: Languages, steps:
             continue
         like = np.empty((len(start), k))
         for g in range(k):
-            sums = np.concatenate([[0.0], np.cumsum(model.logs[g][tri])])
+            sums = np.concatenate([[0.0], np.cumsum(model.logs[g][tri], dtype=np.float64)])
             like[:, g] = sums[end] - sums[start]
         like -= like.max(1, keepdims=True)
         like = np.maximum(np.exp(np.maximum(like, -30)), 1e-12)

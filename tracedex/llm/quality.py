@@ -205,9 +205,12 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> RuleEnsem
     """Fits on at most `sample` labelled rows that are not held out, taken in the order of a hash of their id."""
     some = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).filter("doc_id is not null and quality is not null").filter(~held_out())
     some = some.orderBy(F.xxhash64("doc_id"), "quality").limit(sample)  # a bounded side: two numbers a row
-    rows = with_statistics(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(some), "doc_id"), keep=["doc_id", "quality"]).toPandas()
-    rows = rows.sort_values(["doc_id", "stat_log_bytes", "quality"], kind="stable")
-    return fit(rows[["stat_" + s for s in STATS]].to_numpy(float), rows["quality"].to_numpy())
+    names = ["stat_" + s for s in STATS]
+    rows = with_statistics(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(some), "doc_id"), keep=["doc_id", "quality"])
+    # a row for each labelled id and label, however often the id occurs among the documents: at most `sample` reach the driver
+    rows = rows.groupBy("doc_id", "quality").agg(F.min(F.struct(*names)).alias("s")).select("doc_id", "quality", "s.*").toPandas()
+    rows = rows.sort_values(["doc_id", "quality"], kind="stable")
+    return fit(rows[names].to_numpy(float), rows["quality"].to_numpy())
 
 
 def _prefix(names: list[str]) -> str:
