@@ -123,24 +123,79 @@ def grams(t):
     return frozenset(tuple(w[i : i + 5]) for i in range(len(w) - 4)) or frozenset([tuple(w) or t])
 
 
+def brute_links(data):
+    """(id, text) rows -> (n_links of each row, pairs of rows that are linked)."""
+    sets = [grams(t) if t else None for _, t in data]
+    pairs = [(i, j) for i, j in itertools.combinations(range(len(data)), 2) if sets[i] and sets[j] and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])]
+    return Counter(k for p in pairs for k in p), pairs
+
+
+def groups_of(n, pairs):
+    root = list(range(n))
+    for i, j in pairs:
+        a, b = root[i], root[j]
+        root = [min(a, b) if r in (a, b) else r for r in root]
+    return root
+
+
 def test_near_classes(docs, none, monkeypatch):
     monkeypatch.setattr(near, "BLOCK", 2)  # blocks and block pairs at this size
-    data = [(d, t) for d, t, *_ in rows() if d is not None]
+    data = [(d, t) for d, t, *_ in rows()]
     got = near.near_classes(docs).collect()
     assert len(got) == len(rows()) and near.near_classes(none).count() == 0
-    sets = [(d, grams(t)) for d, t in data if t]
-    links = {(d, n): sum(len(s & o) >= 0.8 * len(s | o) for m, (_, o) in enumerate(sets) if m != n) for n, (d, s) in enumerate(sets)}
-    assert Counter((r.doc_id, r.n_links) for r in got if r.doc_id is not None) == Counter([(d, k) for (d, _), k in links.items()] + [(d, 0) for d, t in data if not t])
+    links, pairs = brute_links(data)
+    assert Counter((r.doc_id, r.n_links) for r in got) == Counter((d, links[k]) for k, (d, _) in enumerate(data))
     group = {r.doc_id: r.class_id for r in got}
     assert group[0] == group[1] == group[2] == group[90] == 0 and group[13] == group[14] and group[4] == 4 and group[3] == 3
     bands, width = near.bands_for(0.8)
     assert (1 - 0.8**width) ** bands <= near.MISS
 
 
+def test_near_classes_of_repeated_ids(spark, monkeypatch):
+    monkeypatch.setattr(near, "BLOCK", 3)
+    close = BASE.replace(BASE.split()[40], "changed", 1)
+    data = [(1, BASE), (1, prose(50, 80)), (2, close), (2, close), (2, None), (2, None), (None, prose(50, 80)), (None, prose(51, 70)), (None, close), (7, prose(51, 70) + " end"), (8, prose(52, 30)), (8, prose(52, 30))]
+    frame = spark.createDataFrame([(*r, k % 2) for k, r in enumerate(data)], "doc_id long, text string, mark int").repartition(4)
+    links, pairs = brute_links(data)
+    got = near.near_classes(frame).collect()
+    assert Counter((r.doc_id, r.n_links) for r in got) == Counter((d, links[k]) for k, (d, _) in enumerate(data))
+    root = groups_of(len(data), pairs)
+    least = {r: min((data[k][0] for k in range(len(data)) if root[k] == r and data[k][0] is not None), default=None) for r in root}
+    assert Counter((r.doc_id, r.class_id) for r in got) == Counter((d, least[root[k]]) for k, (d, _) in enumerate(data))
+    kept = near.keep_one(frame).collect()
+    assert kept[0].__fields__ == frame.columns
+    first = {r: min((data[k][0] is None, data[k][0] or 0) for k in range(len(data)) if root[k] == r) for r in root}
+    texts = [(d, t) for d, t in data if t is None] + [(None if bare else d) for r, (bare, d) in first.items() if data[r][1] is not None]
+    assert len(kept) == len(texts) and Counter(r.doc_id for r in kept if r.text is not None) == Counter(x for x in texts if not isinstance(x, tuple))
+
+
+def test_near_recall(spark):
+    """Measured: nearly all true pairs of random edits around the threshold are found, and none that is not one."""
+    pick, data = random.Random(8), []
+    for b in range(60):
+        words = prose(1000 + b, pick.randint(30, 200)).split()
+        data.append((len(data), " ".join(words)))
+        for _ in range(6):
+            edited = list(words)
+            for _ in range(pick.randint(1, max(1, len(words) // 40))):
+                edited[pick.randrange(len(edited))] = pick.choice("abcdefgh") * 9
+            data.append((len(data), " ".join(edited)))
+    links, pairs = brute_links(data)
+    got = {r.doc_id: r.n_links for r in near.near_classes(spark.createDataFrame(data, "doc_id long, text string")).collect()}
+    assert len(pairs) > 300 and all(got[k] <= links[k] for k in got) and sum(got.values()) >= 0.99 * 2 * len(pairs)
+
+
+def test_chains_do_not_multiply_work(spark):
+    """A long chain of weak hits stays linear in pairs of blocks: only neighbours share a bucket."""
+    sets = spark.createDataFrame([(k, 100, [k // 2 * 10, (k + 1) // 2 * 10 + 1]) for k in range(4000)], "rep long, n_grams long, keys array<long>")
+    pairs = near.blocked_pairs(sets)
+    assert pairs.select("i", "j").distinct().count() <= 3 * 4000 and pairs.count() <= 6 * 4000
+
+
 def test_verified_pairs_count_without_a_band(spark):
     texts = [" ".join(f"w{i}" for i in range(100)), " ".join(f"w{i}" for i in range(3, 100)), " ".join(f"v{i}" for i in range(100))]
-    rows = [(1, 0, 1, k, 1, [k], t) for k, t in enumerate(texts)]  # no two share a key
-    members = spark.createDataFrame(rows, "group long, block int, blocks int, rep long, weight long, keys array<long>, text string")
+    rows = [(1, 1, 1, k, 1, t) for k, t in enumerate(texts)]  # all that meet in a block are compared
+    members = spark.createDataFrame(rows, "i long, j long, block long, rep long, weight long, text string")
     got = near.verify_pairs(members, 0.8, 5, 2).collect()
     assert {(r.rep, r.links) for r in got if r.links} == {(0, 1), (1, 1)}
 
@@ -245,14 +300,37 @@ def test_contamination(docs, items, none, monkeypatch, broadcast):
     assert contamination.report(docs, items.limit(0)).filter("contaminated").count() == 0
 
 
-def test_training_order(spark, docs, none, tmp_path):
-    out = f"file://{tmp_path}/shards"
-    got = binary.materialise(docs, out, stride=32, per_shard=16, block=4).orderBy("slot").collect()
-    assert [r.slot for r in got] == list(range(len(got)))
-    read = binary.read_slots(spark, out, 3, 11, stride=32, block=4).collect()
-    assert [r.slot for r in read] == list(range(3, 11)) and all(zlib.crc32(bytes(r.ids)[: 2 * got[r.slot].n_ids]) == got[r.slot].ids_crc32 for r in read)
-    tok = tokens.chunk_ids(tokens.word_tokenizer(), "<u2")
-    assert sum(r.n_ids for r in got) == sum(len(tok.ids(t)) // 2 + 1 for _, t, *_ in rows())
+def test_training_order(spark, docs, none, tmp_path, monkeypatch):
+    monkeypatch.setattr(binary, "BUCKET_ROWS", 5)
+    out = f"{tmp_path}/shards"
+    got = binary.materialise(docs, f"file://{out}", stride=32, per_shard=16).orderBy("slot").collect()
+    assert [r.slot for r in got] == list(range(len(got))) and all(r.shard == r.slot // 16 and r.byte_offset == r.slot % 16 * 65 for r in got)
+    # by brute force: buckets laid end to end, numbered, permuted
+    buckets = -(-len(rows()) // 5)
+    order = docs.select("doc_id", "text", (F.expr(f"pmod(xxhash64(doc_id, text), {buckets})")).alias("bucket")).collect()
+    tok, want = tokens.chunk_ids(tokens.word_tokenizer(), "<u2"), []
+    for b in range(buckets):
+        parts = sorted(((r.doc_id if r.doc_id is not None else -1, tok.ids(r.text) + b"\1\0") for r in order if r.bucket == b), key=lambda r: (r[0], len(r[1])))
+        stream = b"".join(x for _, x in parts)
+        owner = [d for d, x in parts for _ in range(len(x) // 2)]
+        for p in range(0, len(stream), 64):
+            owners = [d for k, d in enumerate(owner[p // 2 : p // 2 + 32]) if not k or d != owner[p // 2 + k - 1]]
+            want.append((stream[p : p + 64], [d if d >= 0 else None for d in owners]))
+    slots = binary.permute(np.arange(len(want)), len(want), 20240101)
+    by_slot = {int(s): w for s, w in zip(slots, want)}
+    assert len(by_slot) == len(got) and all(r.ids_crc32 == zlib.crc32(by_slot[r.slot][0]) and r.n_ids == len(by_slot[r.slot][0]) // 2 for r in got)
+    assert all(list(dict.fromkeys(r.doc_ids)) == list(dict.fromkeys(by_slot[r.slot][1])) for r in got)
+    import glob
+
+    for r in got:  # the files themselves: one a shard, records of one stride at the stated places
+        [name] = glob.glob(f"{out}/kind=ids/shard={r.shard}/part-*")
+        with open(name, "rb") as f:
+            f.seek(r.byte_offset)
+            assert f.read(2 * r.n_ids) == by_slot[r.slot][0]
+    read = binary.read_slots(spark, f"file://{out}", 3, 21, stride=32, per_shard=16).collect()
+    assert [r.slot for r in read] == list(range(3, 21)) and all(bytes(r.ids)[: len(by_slot[r.slot][0])] == by_slot[r.slot][0] for r in read)
+    other = binary.materialise(docs.repartition(7, "text"), f"file://{tmp_path}/other", stride=32, per_shard=16).orderBy("slot").collect()
+    assert [(r.slot, r.ids_crc32) for r in other] == [(r.slot, r.ids_crc32) for r in got]  # other partitions, same order
     assert binary.materialise(none, f"file://{tmp_path}/none").count() == 0
     for n in (1, 2, 5, 64, 1000):
         assert sorted(binary.permute(np.arange(n), n, 7).tolist()) == list(range(n))
