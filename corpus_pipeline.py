@@ -5,7 +5,6 @@ Every stage works on all rows that its predecessor kept. All but the last return
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from tracedex.llm import contamination, near, packing, private, quality
 from tracedex.llm.binary import shared_folder
@@ -24,16 +23,9 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps of each near-duplicate class the document of least id.
 
-    Documents without text link to nothing and stay. Where ids repeat, rows get an id of their own first, and of rows
-    equal in id and text one stays."""
-    repeated = docs.groupBy("doc_id").count().filter("count > 1 or doc_id is null").limit(1).count()
-    if not repeated:
-        kept = near.near_classes(docs.select("doc_id", "text")).filter("class_id = doc_id").select("doc_id")
-        return docs.join(kept, "doc_id", "left_semi").select(*docs.columns)
-    own = F.xxhash64("doc_id", "text")
-    rows = docs.select(F.struct(*docs.columns).alias("row"), own.alias("doc_id"), "text")
-    kept = near.near_classes(rows.select("doc_id", "text").dropDuplicates(["doc_id"])).filter("class_id = doc_id").select("doc_id")
-    return rows.drop("text").dropDuplicates(["doc_id"]).join(kept, "doc_id", "left_semi").select("row.*")
+    Documents without text link to nothing and stay. Rows that share an id but not their text are documents of their own; rows without an
+    id come last in their class; of rows equal in id and text one stays."""
+    return near.keep_one(docs)
 
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
