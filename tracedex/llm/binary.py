@@ -158,12 +158,12 @@ def materialise(docs: DataFrame, out: str, stride: int = 1024, per_shard: int =
     buckets = min(BUCKETS, max(1, -(-size["n"] // BUCKET_ROWS)))  # by the rows of the table alone, so that files and partitions change no sequence
     rows = rows.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(buckets)).cast("int").alias("bucket"), "doc_id", "text")
     dealt = tokenised(rows, path).repartitionById(buckets, "bucket")
-    # every column is used here, so that this exchange is the one that the sequences are cut from
-    counts = dealt.groupBy("bucket").agg(F.sum(F.when(F.length("ids") > 0, F.col("n"))).alias("n"), F.count("doc_id").alias("known"))
+    # every column is used here and the join filters none of its left rows, so that this exchange is the one that the sequences are cut from
+    counts = dealt.groupBy("bucket").agg(F.when(F.count("doc_id") >= 0, F.sum(F.when(F.length("ids") > 0, F.col("n")))).alias("n"))
     counts = counts.select("bucket", F.expr(f"(n + {stride - 1}) div {stride}").alias("n"))
     everywhere = W.orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)  # a row a bucket
     starts = counts.select("bucket", F.coalesce(F.sum("n").over(everywhere), F.lit(0)).alias("first"), F.sum("n").over(W.partitionBy(F.lit(0))).alias("n_sequences"))
-    stream = dealt.join(F.broadcast(starts), "bucket").sortWithinPartitions("bucket", "doc_id", "n", "ids")
+    stream = dealt.join(F.broadcast(starts), "bucket", "left").sortWithinPartitions("bucket", "doc_id", "n", "ids")
     placed = stream.select("bucket", "doc_id", "ids", "first", "n_sequences").mapInArrow(_cut(stride, pad_id, key), "slot long, n_ids int, ids_crc32 long, doc_ids array<long>, ids binary, total long")
     placed = placed.withColumn("shard", F.expr(f"cast(slot div {per_shard} as int)"))
     # slots are dense, so ranges of shards are known by arithmetic: a task takes neighbouring shards, whole; how many tasks there are changes nothing
