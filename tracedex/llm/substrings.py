@@ -6,8 +6,11 @@ whose anchor occurs again can hold repeats; the others never leave their documen
 and laid under one another with anchors in one column. Within a task the documents of that collection are
 then sorted column by column from the right: each round inserts one symbol of every document in front of the
 suffixes sorted so far, which keeps their order (the collection's Burrows-Wheeler order) and the common prefixes of
-neighbours up to date with sequential passes; the symbols lie in a column-major file once a collection outgrows
-memory. Suffixes that share `width` symbols are one window; all but its first occurrence are marked.
+neighbours up to date with sequential passes. Every column of symbols is a file of its own, written and read from front to end, and so are
+order and prefixes between two rounds; a round holds one column, not the collection. The files are scratch of one task that nobody else reads; a
+task that is run again makes them anew. Suffixes that share `width` symbols are one window; all but its first occurrence are marked. An
+anchor with more contexts than a collection takes is sorted in turns: each turn sorts the next contexts together with those earlier ones that
+brought a new window, so copies, however many, are never held.
 
 Whole copies of a text need none of this: one of them is read, the others are removed as a whole.
 
@@ -18,7 +21,9 @@ order is by their text; a null doc_id comes first; an empty table gives no rows;
 from __future__ import annotations
 
 import hashlib
+import os
 import tempfile
+from contextlib import ExitStack
 
 import numpy as np
 import pyarrow as pa
@@ -30,9 +35,7 @@ from pyspark.sql import functions as F
 from tracedex.llm.common import byte_codes, flat_utf8, mix64, sliding_min, spans, table, window_hashes
 
 WIDTH, GRAM = 100, 16
-#: Symbols of a collection that are sorted in memory; a larger one keeps its columns in a file.
-IN_MEMORY = 1 << 26
-#: Contexts that are sorted together, unless one anchor has more.
+#: Contexts of a collection.
 BATCH = 30_000
 #: An anchor with more runs than this in one batch of a task is first settled there; what is sent on is one run, or those that differ.
 HOT = 200
@@ -59,18 +62,53 @@ def runs(data: np.ndarray, offsets: np.ndarray, width: int = WIDTH, gram: int =
     return doc[first], hashes[at[first]].view(np.int64), first - offsets[doc[first]], last - first, at[first] - first
 
 
-def sort_columns(symbols, present_from: np.ndarray, present_to: np.ndarray, group: np.ndarray, columns: int, width: int):
-    """Yields (column, order, common prefixes) from the last column to the first.
+class Columns:
+    """The symbols of a collection by column, and its order and common prefixes, in sequential files."""
 
-    symbols(j): the column's symbol of every document. Documents of different groups never share a prefix."""
+    def __init__(self, contexts: list[bytes], begin: np.ndarray, columns: int):
+        self.folder = tempfile.TemporaryDirectory()
+        sizes = np.fromiter(map(len, contexts), np.int64, len(contexts))
+        step = max(1, (1 << 22) // columns)
+        with ExitStack() as stack:
+            files = [stack.enter_context(open(self._at(f"column-{j}"), "wb")) for j in range(columns)]
+            for a in range(0, len(contexts), step):  # blocks of documents, appended to every column
+                b = min(len(contexts), a + step)
+                flat = np.frombuffer(b"".join(contexts[a:b]), np.uint8)
+                row = np.repeat(np.arange(b - a), sizes[a:b])
+                column = np.arange(len(flat)) - np.repeat(np.cumsum(sizes[a:b]) - sizes[a:b], sizes[a:b]) + np.repeat(begin[a:b], sizes[a:b])
+                part = np.zeros((columns, b - a), np.uint8)
+                part[column, row] = flat
+                for f, symbols in zip(files, part, strict=True):
+                    f.write(symbols)
+
+    def _at(self, name: str) -> str:
+        return os.path.join(self.folder.name, name)
+
+    def symbols(self, j: int) -> np.ndarray:
+        return np.fromfile(self._at(f"column-{j}"), np.uint8)
+
+    def put(self, order: np.ndarray, prefix: np.ndarray) -> None:
+        order.astype(np.int32).tofile(self._at("order"))
+        prefix.astype(np.int32).tofile(self._at("prefix"))
+
+    def get(self) -> tuple[np.ndarray, np.ndarray]:
+        return np.fromfile(self._at("order"), np.int32).astype(np.int64), np.fromfile(self._at("prefix"), np.int32)
+
+    def close(self) -> None:
+        self.folder.cleanup()
+
+
+def sort_columns(columns: Columns, present_from: np.ndarray, present_to: np.ndarray, group: np.ndarray, n_columns: int):
+    """Yields (column, order, common prefixes) from the last column to the first. Documents of different groups never share a prefix."""
     n = len(group)
-    order, prefix = np.arange(n), np.zeros(n + 1, np.int32)
-    for j in range(columns - 1, -1, -1):
+    columns.put(np.arange(n), np.zeros(n + 1))
+    for j in range(n_columns - 1, -1, -1):
+        order, prefix = columns.get()
         here = (present_from <= j) & (j < present_to)
         if not here.any():
-            prefix[:] = 0
+            columns.put(order, np.zeros(n + 1))
             continue
-        symbol = np.where(here, symbols(j).astype(np.int64) + 1, 0)
+        symbol = np.where(here, columns.symbols(j).astype(np.int64) + 1, 0)
         key = (group * 512 + symbol)[order]
         moved = np.argsort(key, kind="stable")
         key = key[moved]
@@ -83,6 +121,7 @@ def sort_columns(symbols, present_from: np.ndarray, present_to: np.ndarray, grou
             cuts = np.column_stack([p[far] + 1, q[far] + 1]).ravel()
             least[far] = np.minimum.reduceat(prefix, cuts)[::2]
         prefix = np.concatenate([[0], np.where(alike, least + 1, 0), [0]]).astype(np.int32)
+        columns.put(order, prefix)
         yield j, order, prefix[:n]
 
 
@@ -91,37 +130,22 @@ def mark(contexts: list[bytes], group: np.ndarray, windows: np.ndarray, ahead: n
 
     contexts[i] holds `windows[i]` windows, the anchor `ahead[i]` bytes after its start; equal groups are neighbours."""
     n, left = len(contexts), width - gram
-    columns = left + width
     sizes = np.fromiter(map(len, contexts), np.int64, n)
     begin = left - ahead
-    scratch = None
-    if n * columns > IN_MEMORY:
-        scratch = tempfile.TemporaryFile()  # gone with the task
-        grid = np.memmap(scratch, np.uint8, "w+", shape=(columns, n))
-    else:
-        grid = np.zeros((columns, n), np.uint8)
-    step = max(1, (1 << 24) // columns)
-    for a in range(0, n, step):
-        b = min(n, a + step)
-        flat = np.frombuffer(b"".join(contexts[a:b]), np.uint8)
-        row = np.repeat(np.arange(b - a), sizes[a:b])
-        column = np.arange(len(flat)) - np.repeat(np.cumsum(sizes[a:b]) - sizes[a:b], sizes[a:b]) + np.repeat(begin[a:b], sizes[a:b])
-        part = np.zeros((columns, b - a), np.uint8)
-        part[column, row] = flat
-        grid[:, a:b] = part
     marked = np.zeros((n, left + 2), np.int8)  # by column, with an empty one at the end
-    for j, order, prefix in sort_columns(lambda j: grid[j], begin, begin + sizes, group, columns, width):
-        if j > left:
-            continue
-        classes = np.flatnonzero(prefix < width)
-        if len(classes) == n:
-            continue
-        firsts = np.minimum.reduceat(order, classes)
-        members = np.repeat(firsts, np.diff(np.r_[classes, n])) != order
-        marked[order[members], j] = 1
-    del grid
-    if scratch:
-        scratch.close()
+    columns = Columns(contexts, begin, left + width)
+    try:
+        for j, order, prefix in sort_columns(columns, begin, begin + sizes, group, left + width):
+            if j > left:
+                continue
+            classes = np.flatnonzero(prefix < width)
+            if len(classes) == n:
+                continue
+            firsts = np.minimum.reduceat(order, classes)
+            members = np.repeat(firsts, np.diff(np.r_[classes, n])) != order
+            marked[order[members], j] = 1
+    finally:
+        columns.close()
     edges = np.diff(np.concatenate([np.zeros((n, 1), np.int8), marked], axis=1), axis=1)
     i, start = np.nonzero(edges == 1)
     _, end = np.nonzero(edges == -1)
@@ -223,7 +247,7 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_t
     contexts = base.join(per_doc, "doc_id").mapInArrow(cut, "anchor long, doc_id long, rn int, pack long, context binary")
 
     def order(batches):
-        held, n = [], 0
+        held, n, old = [], 0, None  # rows to be sorted, how many, and contexts of the first one's anchor that brought a new window before
         for b in batches:
             held.append(b)
             n += len(b)
@@ -233,28 +257,43 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_t
             anchor = whole.column("anchor").to_numpy()
             end = int(np.searchsorted(anchor, anchor[-1], "left"))  # the last anchor may go on
             if end:
-                yield from marks_of(whole.slice(0, end))
-                held, n = whole.slice(end).combine_chunks().to_batches(), len(whole) - end
+                yield from marks_of(whole.slice(0, end), old)[0]
+                held, n, old = whole.slice(end).combine_chunks().to_batches(), len(whole) - end, None
             else:
-                held = whole.to_batches()
+                out, old = marks_of(whole, old)
+                yield from out
+                held, n = [], 0
         if n:
-            yield from marks_of(pa.Table.from_batches(held).combine_chunks())
+            yield from marks_of(pa.Table.from_batches(held).combine_chunks(), old)[0]
 
-    def marks_of(rows):
+    def marks_of(rows, old):
+        """(marks of the rows, contexts of the last anchor that bring a new window, the old ones among them); `old` goes before the first anchor's rows."""
+        out = []
         settled = rows.filter(pc.is_null(rows.column("context")))
         if len(settled):
             pack = settled.column("pack").to_numpy()
             low = pack >> 16
-            yield pa.RecordBatch.from_arrays([settled.column("doc_id").combine_chunks(), settled.column("rn").combine_chunks(), pa.array(low), pa.array(low + (pack & 0xFFFF) + width - 1)], ["doc_id", "rn", "low", "high"])
+            out.append(pa.RecordBatch.from_arrays([settled.column("doc_id").combine_chunks(), settled.column("rn").combine_chunks(), pa.array(low), pa.array(low + (pack & 0xFFFF) + width - 1)], ["doc_id", "rn", "low", "high"]))
+        last = rows.column("anchor")[len(rows) - 1].as_py()
         rows = rows.filter(pc.is_valid(rows.column("context")))
+        if old is not None and len(rows) and old.column("anchor")[0] != rows.column("anchor")[0]:
+            old = None
+        before = len(old) if old is not None else 0
         if not len(rows):
-            return
+            return out, old
+        if before:
+            rows = pa.concat_tables([old, rows]).combine_chunks()
         anchor, pack = rows.column("anchor").to_numpy(), rows.column("pack").to_numpy()
         group = np.cumsum(np.r_[0, anchor[1:] != anchor[:-1]])
         marks = mark(rows.column("context").to_pylist(), group, pack >> 8 & 255, pack & 255, width, gram)
+        done = np.zeros(len(rows), np.int64)
+        np.add.at(done, marks[:, 0], marks[:, 2] - marks[:, 1])
+        done[:before] = 0  # they brought a new window in their turn
+        marks = marks[marks[:, 0] >= before]
         if len(marks):
             start = pack[marks[:, 0]] >> 16
-            yield pa.RecordBatch.from_arrays([pa.array(rows.column("doc_id").to_numpy()[marks[:, 0]]), pa.array(rows.column("rn").to_numpy()[marks[:, 0]]), pa.array(start + marks[:, 1]), pa.array(start + marks[:, 2] + width - 1)], ["doc_id", "rn", "low", "high"])
+            out.append(pa.RecordBatch.from_arrays([pa.array(rows.column("doc_id").to_numpy()[marks[:, 0]]), pa.array(rows.column("rn").to_numpy()[marks[:, 0]]), pa.array(start + marks[:, 1]), pa.array(start + marks[:, 2] + width - 1)], ["doc_id", "rn", "low", "high"]))
+        return out, rows.filter(pa.array((done < (pack >> 8 & 255)) & (anchor == last)))
 
     marks = contexts.repartition("anchor").sortWithinPartitions("anchor", "doc_id", "rn", "pack").mapInArrow(order, "doc_id long, rn int, low long, high long")
     marks = marks.groupBy("doc_id").agg(F.collect_list(F.struct("rn", "low", "high")).alias("marks"))
