@@ -12,6 +12,8 @@ match nothing; repeated rows get equal reports; equal items each count; other co
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -20,8 +22,11 @@ from tracedex.llm.common import table
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 BREAKS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-#: A benchmark of more windows than this is joined by a shuffle instead of a broadcast.
+#: A benchmark of more windows than this is joined by a shuffle instead of a broadcast; a hashed set of its prefix words, of fixed size, goes before.
 BROADCAST_WINDOWS = 200_000
+FILTER_BITS = 1 << 23
+#: Parts that the places of one word are dealt to in that join.
+SALTS = 16
 
 
 def words(text: Column) -> Column:
@@ -39,6 +44,23 @@ def windows(items: DataFrame, size: int) -> DataFrame:
     return each.select(F.xxhash64(body).alias("window"), "items", F.size("w").alias("length"), body.alias("body"), F.posexplode("w").alias("at", "word"))
 
 
+def _hashed_set(words_: DataFrame) -> Callable[[Column], Column]:
+    """A test that every given word passes and hardly another: bits of word hashes, at most `FILTER_BITS` of them, in a literal."""
+    bit = F.pmod(F.xxhash64("word"), F.lit(FILTER_BITS))
+    rows = words_.select(bit.alias("h")).groupBy(F.expr("h div 32768").alias("at")).agg(F.bitmap_construct_agg(F.expr("h % 32768")).alias("bits")).collect()  # 4 KB for each 32,768 bits
+    held = bytearray(FILTER_BITS // 8)
+    for r in rows:
+        held[r["at"] * 4096 : (r["at"] + 1) * 4096] = r["bits"]
+    literal = F.lit(bytes(held))
+
+    def test(word: Column) -> Column:
+        h = F.pmod(F.xxhash64(word), F.lit(FILTER_BITS))
+        byte = F.conv(F.hex(F.substring(literal, F.floor(h / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+        return F.getbit(byte, (h % 8).cast("int")) == 1
+
+    return test
+
+
 NO_ID = -(1 << 63)
 
 
@@ -64,6 +86,9 @@ def _found(docs: DataFrame, items: DataFrame, size: int) -> DataFrame:
     if few:
         rare = [r["word"] for r in prefix.select("word").distinct().collect()]
         at = F.filter(at, lambda i: F.element_at("w", i).isin(rare)) if rare else F.array().cast("array<int>")
+    else:
+        known = _hashed_set(prefix)
+        at = F.filter(at, lambda i: known(F.element_at("w", i)))
     at = F.when(F.size("w") > 0, at)
     # each place of a prefix word with the words around it, as far as a window can reach
     near = F.transform(at, lambda i: F.struct(i.alias("i"), F.element_at("w", i).alias("word"), F.slice("w", F.greatest(i - (size - 1), F.lit(1)), 2 * size - 1).alias("around")))
@@ -71,7 +96,12 @@ def _found(docs: DataFrame, items: DataFrame, size: int) -> DataFrame:
     start = F.col("i") - F.col("at")  # from 1
     fits = (start >= 1) & (start + F.col("length") - 1 <= F.col("n_words"))
     same = F.array_join(F.slice("around", start - F.greatest(F.col("i") - (size - 1), F.lit(1)) + 1, F.col("length")), " ") == F.col("body")
-    hits = placed.join(small(prefix), "word").filter(fits).filter(same).select("_id", "_hash", start.cast("int").alias("start"), "length", "items")
+    if few:
+        met = placed.join(F.broadcast(prefix), "word")
+    else:  # a word that very many documents hold meets its windows in several tasks
+        salted = prefix.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        met = placed.withColumn("salt", F.pmod(F.xxhash64("_id", "_hash", "i"), F.lit(SALTS)).cast("int")).join(salted, ["word", "salt"])
+    hits = met.filter(fits).filter(same).select("_id", "_hash", start.cast("int").alias("start"), "length", "items")
     covered = hits.groupBy("_id", "_hash").agg(F.collect_set(F.struct("start", "length", "items")).alias("h"))
     n_hit = F.size(F.array_distinct(F.flatten(F.transform("h", lambda h: F.sequence(h["start"], h["start"] + h["length"] - 1)))))
     names = F.array_sort(F.array_distinct(F.flatten(F.transform("h", lambda h: h["items"]))))
