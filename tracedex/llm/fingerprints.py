@@ -36,6 +36,10 @@ class DigestSpec:
     chance: float = 0.3  # share of the possible overlap above chance that still counts as none
 
 
+#: Bytes of text that a part is meant to hold, and the most parts.
+PART_BYTES, PARTS = 32 << 20, 20_000
+
+
 def _entropies(data: np.ndarray, width: int) -> np.ndarray:
     """Entropy in 1/1024 bits of each window, kept up to date as it slides by integer steps."""
     n = len(data)
@@ -163,9 +167,12 @@ def with_next(docs: DataFrame, parts: int | None = None) -> DataFrame:
     """(part, ghost, doc_id, text) sorted within partitions by part, ghost, doc_id: each part is a range of ids and ends
     with a ghost of the row that follows it, so that neighbours meet without a global sort in one task.
 
-    Cut points come from approximate quantiles of the ids; what reaches the driver is one id a part."""
+    Parts follow the size of the texts; cut points come from approximate quantiles of the ids, and each part is a task of its own. What
+    reaches the driver is one id a part, at most `PARTS` of them."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    parts = parts or slots(docs.sparkSession)
+    if parts is None:
+        size = docs.agg(F.sum(F.octet_length("text")).alias("n")).collect()[0]["n"] or 0
+        parts = min(PARTS, max(slots(docs.sparkSession), -(-size // PART_BYTES)))
     cuts = sorted(set(docs.approxQuantile("doc_id", [i / parts for i in range(1, parts)], 0.2 / parts))) if parts > 1 else []
     part = F.lit(0)
     if cuts:
@@ -181,7 +188,7 @@ def with_next(docs: DataFrame, parts: int | None = None) -> DataFrame:
     to = F.create_map(*[F.lit(v) for p, q in before.items() for v in (p, q)])
     firsts = docs.filter(F.coalesce("doc_id", F.lit(-(1 << 63))) == heads[F.col("part")]).groupBy("part").agg(F.min(lead).alias("x"))
     ghosts = firsts.select(to[F.col("part")].alias("part"), F.lit(1).alias("ghost"), "x.doc_id", "x.text")
-    return docs.select("part", F.lit(0).alias("ghost"), "doc_id", "text").unionByName(ghosts).repartition(parts, "part").sortWithinPartitions("part", "ghost", "doc_id", "text")
+    return docs.select("part", F.lit(0).alias("ghost"), "doc_id", "text").unionByName(ghosts).repartitionById(parts, "part").sortWithinPartitions("part", "ghost", "doc_id", "text")
 
 
 RESULT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
