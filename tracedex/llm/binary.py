@@ -5,7 +5,7 @@ sequences of `stride` ids (the last of a bucket is padded), so neither files nor
 numbers, a keyed Feistel network with cycle-walking permutes the numbers, and each sequence's image is its global slot. Slots are dense,
 so the range of slots of every shard is known by arithmetic: a shard file holds `per_shard` consecutive slots, uncompressed, as records of
 one stride: the ids, 16 bits each, and a line feed. Slot s lies in shard s div per_shard at byte (s mod per_shard) * (2 * stride + 1);
-any range can be read in order, and reading can resume at any slot. An index of JSON lines beside the shards names each slot's documents.
+any range can be read in order, and reading can resume at any slot. An index of JSON lines beside the shards has each slot (s), its number of ids (n), their checksum (c) and its documents (d).
 
 Defined cases: null text counts as empty and gives its end id alone; an empty table writes no shard;
 repeated rows each appear; other columns are ignored.
@@ -53,7 +53,7 @@ def tokenised(docs: DataFrame, path: str, end_id: int = 1) -> DataFrame:
     def run(batches):
         import zstandard
 
-        chunks, end, pack = chunk_ids(path, "<u2"), np.array([end_id], "<u2").tobytes(), zstandard.ZstdCompressor(level=1, write_content_size=True).compress
+        chunks, end, pack = chunk_ids(path, "<u2"), np.array([end_id], "<u2").tobytes(), zstandard.ZstdCompressor(level=6, write_content_size=True).compress
         for batch in batches:
             sizes, bodies = [], []
             for text in batch.column(2):
@@ -71,7 +71,7 @@ def _cut(stride: int, pad_id: int, key: int):
     def run(batches):
         import zstandard
 
-        pack, unpack = zstandard.ZstdCompressor(level=1, write_content_size=True).compress, zstandard.ZstdDecompressor().decompress
+        pack, unpack = zstandard.ZstdCompressor(level=6, write_content_size=True).compress, zstandard.ZstdDecompressor().decompress
         width, pad = 2 * stride, np.full(stride, pad_id, "<u2").tobytes()
         at, held, owners, local = None, bytearray(), [], 0  # (bucket, first number, sequences in all); ids not cut yet; (doc, where it ends in them)
         rows: list[tuple] = []
@@ -128,7 +128,7 @@ def _records(batches):
         for i in range(0, len(b), 1000):
             part = b.slice(i, 1000)
             slots, owners = part.column("slot").to_pylist(), part.column("doc_ids").to_pylist()
-            index = [json.dumps({"slot": s, "n_ids": n, "ids_crc32": c, "doc_ids": d}).encode() for s, n, c, d in zip(slots, part.column("n_ids").to_pylist(), part.column("ids_crc32").to_pylist(), owners, strict=True)]
+            index = [json.dumps({"s": s, "n": n, "c": c, "d": d}, separators=(",", ":")).encode() for s, n, c, d in zip(slots, part.column("n_ids").to_pylist(), part.column("ids_crc32").to_pylist(), owners, strict=True)]
             bodies = [unpack(x.as_buffer()) for x in part.column("ids")]
             for kind, values in (("ids", bodies), ("index", index)):
                 yield pa.RecordBatch.from_arrays([pa.array([kind] * len(slots)), part.column("shard"), part.column("slot"), pa.array(values, pa.binary())], ["kind", "shard", "slot", "value"])
@@ -171,8 +171,9 @@ def materialise(docs: DataFrame, out: str, stride: int = 1024, per_shard: int =
     ordered = placed.repartitionById(tasks, F.expr(f"cast(shard * {tasks}L div ((total + {per_shard - 1}) div {per_shard}) as int)"))
     lines = ordered.mapInArrow(_records, "kind string, shard int, slot long, value binary").sortWithinPartitions("kind", "shard", "slot")
     lines.select(F.col("value").cast("string").alias("value"), "kind", "shard").write.mode("overwrite").partitionBy("kind", "shard").text(out)
-    schema = "slot long, n_ids int, ids_crc32 long, doc_ids array<long>"
+    schema = "s long, n int, c long, d array<long>"
     made = spark.read.schema(schema).json(f"{out}/kind=index") if size["n"] else spark.createDataFrame([], schema)
+    made = made.select(F.col("s").alias("slot"), F.col("n").alias("n_ids"), F.col("c").alias("ids_crc32"), F.col("d").alias("doc_ids"))
     return made.select("slot", F.expr(f"slot div {per_shard}").alias("shard"), (F.col("slot") % per_shard * (2 * stride + 1)).alias("byte_offset"), "n_ids", "ids_crc32", "doc_ids")
 
 
