@@ -237,12 +237,69 @@ def test_store_appended_batches_equal_one_build(spark, tmp_path, mode):
         many.append_batch(frame.limit(1), "late")
     many.compact("packed")
     assert sorted(map(tuple, one.pairs().select(key).collect())) == sorted(map(tuple, many.pairs().select(key).collect()))
+    assert many.append_batch(frame, "b0", late="rebuild") == {"skipped": "b0"} and many.append_batch(frame, "b2", late="quarantine") == {"skipped": "b2"}  # known after compaction too
     assert {r.table for r in many.storage_report().collect() if r.files} >= {"pair_index", "type_index", "trace_store"}
-    assert many.expire(100 * DAY) > 0 and cat.list() == ["many", "one"]
+    assert many.vacuum() > 0 and all(r.bad == 0 for r in many.verify().collect())
+    assert many.expire(100 * DAY) > 0 and many.pairs().count() == many.stats().count() == 0 and cat.list() == ["many", "one"]
+    many.compact()  # what has expired does not come back
+    assert many.type_rows_all().count() == 0 and many.traces().count() == frame.count() and all(r.bad == 0 for r in many.verify().collect())
     cat.drop("one")
     assert cat.list() == ["many"]
 
 
+def test_store_keeps_batches_apart(spark, tmp_path):
+    cat = Catalog(spark, f"file://{tmp_path}/logs")
+    frame = synthetic_log(spark, 10, 5, 8, 15, seed=6).select("trace_id", (F.col("ts_us") * 300).alias("ts_us"), "activity").cache()
+    config = IndexConfig(split_every_days=1, trace_split=5, first_buckets=4)
+    early, late = frame.filter(F.col("ts_us") < DAY), frame.filter(F.col("ts_us") >= DAY)
+    whole = cat.create("whole", config)
+    whole.append_batch(frame, "all")
+    want = pair_set(whole.pairs())
+    merged = cat.create("merged", config)
+    merged.append_batch(early, "b0", strategy="merge")
+    before = merged._state()["parts"]
+    merged.append_batch(late, "b1", strategy="merge")
+    after = merged._state()["parts"]
+    [first] = before["pair_index"]
+    touched = set(after["pair_index"][next(p for p in after["pair_index"] if p != first)])
+    assert set(after["pair_index"].get(first, [])) == set(before["pair_index"][first]) - touched  # only what the batch touches is written anew
+    assert pair_set(merged.pairs()) == want and merged.append_batch(late, "b1", strategy="merge") == {"skipped": "b1"}
+    rebuilt = cat.create("rebuilt", config)
+    rebuilt.append_batch(late, "b1")
+    assert rebuilt.append_batch(early, "b0", late="rebuild")["rebuilt"]
+    assert pair_set(rebuilt.pairs()) == want and all(rebuilt.append_batch(f, b, late="rebuild") == {"skipped": b} for f, b in ((early, "b0"), (late, "b1")))
+    assert rebuilt.traces().count() == frame.count() and all(r.bad == 0 for r in rebuilt.verify().collect())
+    small = cat.create("small", config)
+    for n, f in enumerate((early, late)):
+        small.append_batch(f, f"b{n}", most_parts=1)
+    assert len(small._state()["parts"]["pair_stats"]) == 1 and pair_set(small.pairs()) == want
+    assert [r.kind for r in small.history().orderBy("version").collect()] == ["append", "append", "compact"]
+    other, state = cat.log("small"), small._state()
+    other._commit(other._state(), "append", None, state["parts"], (0, 0, 0, 0, 0.0), None)
+    with pytest.raises(Exception, match="(?i)exist"):  # two writers cannot make one version
+        small._commit(state, "append", None, state["parts"], (0, 0, 0, 0, 0.0), None)
+
+
+def test_store_reads_only_what_a_query_needs(spark, tmp_path):
+    from tracedex.operators.positions import first_bucket
+    from tracedex.store import bucket_of
+
+    names = ["T1", "view:3", "Ünïcode", "", "a" * 50]
+    config = IndexConfig(split_every_days=1, first_buckets=7)
+    got = spark.createDataFrame([(n,) for n in names], "a string").select("a", first_bucket("a", config).alias("b")).collect()
+    assert all(bucket_of(r.a, 7) == r.b for r in got)
+    store = Catalog(spark, f"file://{tmp_path}/logs").create("s", IndexConfig(split_every_days=1, first_buckets=32))
+    frame = synthetic_log(spark, 20, 20, 10, 20, seed=5)
+    store.append_batch(frame.select("trace_id", (F.col("ts_us") * 300).alias("ts_us"), "activity"), "b0")
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    text = plan(store.pair_rows([("T1", "T2")], (0, DAY - 1)))
+    assert re.search(r"PartitionFilters: \[[^\]]*segment[^\]]*first_bucket|PartitionFilters: \[[^\]]*first_bucket[^\]]*segment", text)
+    assert "PartitionFilters: []" not in plan(store.type_rows(["T1"], (0, DAY - 1)))
+    assert plan(store.pair_rows([("T1", "T2")]).select("trace_id")).count("ts_a") == 0  # columns are pruned
+    seen = measures.shuffles(survivors(store, seq("T1", "T2", "T3", "T4", "T5")))
+    assert seen["exchanges"] == 1 and seen["python"] == 0  # one shuffle whatever the length
+
+
 def test_groups_cross_traces(spark):
     ix = LogIndex(log(spark, "A1 C9", "B2", "A3"))
     assert {(r.unit_id, r.occurrences) for r in count_matches(ix, seq("A", "B").groups("{1,2} {3}")).collect()} == {(1, 1)}
@@ -283,3 +340,99 @@ def test_entry_survives_without_corpus_operators(tmp_path):
         if "llm" in f.parts or "tests" in f.parts or f.name in ("__spark_entry__.py", "corpus_pipeline.py"):
             continue
         assert not re.search(r"^\s*(from|import) tracedex\.llm", f.read_text(), re.M), f
+
+
+def test_many_pairs_and_alternatives(spark):
+    names = [f"A{k}" for k in range(80)]
+    rows = [(1, k + 1, k, a) for k, a in enumerate(names)] + [(2, k + 1, k, a) for k, a in enumerate(reversed(names))] + [(3, 1, 0, "A3"), (3, 2, 1, "A70")]
+    frame = spark.createDataFrame(rows, EVENT_SCHEMA)
+    ix = LogIndex(frame)
+    assert [r.trace_id for r in survivors(ix, seq(*names)).collect()] == [1] == [r.unit_id for r in matching_traces(ix, seq(*names)).collect()]
+    eight = seq(P("A0").or_(*names[1:8]), P("A70").or_(*names[71:78]))  # 64 alternatives, 64 pairs
+    assert {r.trace_id for r in survivors(ix, eight).collect()} == {1, 3} and plan_pairs(eight).alternatives
+    ten = seq(*[P(names[10 * g]).or_(*names[10 * g + 1 : 10 * g + 10]) for g in (0, 4, 7)])  # a thousand alternatives
+    assert not plan_pairs(ten).alternatives and {r.trace_id for r in survivors(ix, ten).collect()} == {1} == {r.unit_id for r in matching_traces(ix, ten).collect()}
+    assert {r.trace_id for r in baselines.ContainmentIndex(frame).prune(seq(*names)).collect()} == {1, 2}
+    assert count_matches(ix, seq(*names).groups("{1..2} {3}")).count() == 1
+
+
+def test_automaton_is_bounded():
+    import time
+
+    pick = random.Random(1)
+    text = [(n, n * HOUR // 10, pick.choice("ABCDE"), 1) for n in range(1, 3001)]
+    q = seq(*"ABCDEABCDE").within_time(1, 10, HOUR)  # no ten events of it lie within an hour
+    began = time.time()
+    assert list(occurrences(text, q)) == []
+    assert next(iter(occurrences(text, seq(*"ABCDE").within_time(1, 5, 2 * HOUR))))
+    assert list(occurrences([(n, n, "AB"[n % 2], 1) for n in range(1, 400)], seq(*"ABABABAB").atleast_gap(7, 8, 500))) == []
+    assert time.time() - began < 20
+
+
+def test_automaton_equals_brute_force():
+    pick = random.Random(12)
+    for _ in range(150):
+        text = [(n, t, pick.choice("ABC"), 1) for n, t in enumerate(sorted(pick.sample(range(30), pick.randint(2, 10))), 1)]
+        q = seq(*(pick.choice("ABC") for _ in range(pick.randint(2, 4))))
+        for _ in range(pick.randint(1, 3)):
+            i = pick.randint(1, len(q.elems) - 1)
+            add = pick.choice([q.within_time, q.atleast_time, q.within_gap, q.atleast_gap])
+            q = add(i, pick.randint(i + 1, len(q.elems)), pick.randint(1, 9))
+        got = next(iter(occurrences(text, q)), None)
+        assert ([e for _, e in got] if got else None) == baselines.bruteforce(text, q)
+
+
+@pytest.mark.parametrize("lookback", [None, 5, 10])
+def test_long_traces_pair_by_intervals(spark, lookback):
+    pick = random.Random(4)
+    traces = []
+    for _ in range(40):
+        times = sorted(pick.choices(range(40), k=pick.randint(1, 14)))  # equal times too
+        traces.append(" ".join(pick.choice("ABC") + str(t) for t in times))
+    frame = log(spark, *traces)
+    key = ["a_first", "a_second", "trace_id", "pos_a", "pos_b"]
+    by_join, by_interval = (sorted(map(tuple, extract_pairs(frame, lookback, long=n).select(key).collect())) for n in (10**6, 0))
+    assert by_interval == by_join != []
+    mixed = sorted(map(tuple, extract_pairs(frame, lookback, long=2).select(key).collect()))
+    assert mixed == by_join
+
+
+def test_linear_parser_equals_expression(spark):
+    from tracedex.operators.validate import validate_linear
+
+    pick = random.Random(15)
+    units = log(spark, *[" ".join(pick.choice("ABCD") + str(t) for t in range(pick.randint(1, 25))) for _ in range(40)]).withColumn("unit_id", F.col("trace_id"))
+    for q in (seq("A", "B", "C"), seq("A", "A"), seq("B"), seq("A", "B", "A", "B").all_matches(), seq("C", "D").all_matches()):
+        assert sorted(map(tuple, validate_linear(units, q).collect())) == sorted(map(tuple, validate_regex(units, q).collect())) != []
+
+
+def test_continuations_of_the_extended_pattern(spark):
+    ix = LogIndex(log(spark, "A1 B2 A3 B4 C5", "A1 B2 C3 A4 D5 B6 C7"))
+    exact = {r.activity: r.completions for r in explore.continuation(ix, seq("A", "B"), "exact").collect()}
+    bound = {r.activity: r.completions for r in explore.continuation(ix, seq("A", "B"), "bound").collect()}
+    assert exact == {"C": 3, "A": 2, "D": 1, "B": 2} and all(bound[a] >= n for a, n in exact.items())
+    pick = random.Random(3)
+    traces = [" ".join(pick.choice("ABCDE") + str(t) for t in range(pick.randint(3, 20))) for _ in range(30)]
+    ix = LogIndex(log(spark, *traces))
+    for base in (seq("A"), seq("A", P("B").or_("C")), seq("A", P("D").neg(), "B")):
+        exact = {r.activity: r.completions for r in explore.continuation(ix, base, "exact").collect()}
+        for x in "ABCDE":
+            q = PatternQuery((*base.elems, P(x))).all_matches()
+            assert exact.get(x, 0) == sum(len(list(occurrences(events(t), q))) for t in traces), (base, x)
+        bound = {r.activity: r.completions for r in explore.continuation(ix, base, "bound").collect()}
+        assert all(bound.get(a, 0) >= n for a, n in exact.items())
+    either = explore.statistics(ix, seq("A", P("B").or_("C"))).collect()
+    assert [(r.ordinal, r.a_first, r.a_second) for r in sorted(either)] == [(1, "A", "B"), (1, "A", "C")]
+    checks = {(r.check, r.subject): r.ok for r in explore.diagnose(ix, seq("A", P("B").or_("Z"))).collect()}
+    assert checks["missing_pair", "A -> B|Z"] and not checks["unknown_type", "Z"]
+
+
+def test_streams_reject_what_never_ends(spark):
+    from tracedex.streaming import detect_stream
+
+    frame = log(spark, "A1 B2")
+    with pytest.raises(ValueError):
+        detect_stream(frame, seq("A", P("B").plus()))
+    with pytest.raises(ValueError):
+        detect_stream(frame, seq("A", P("C").neg(), "B"))
+    detect_stream(frame, seq("A", P("C").neg(), "B").max_span(5))

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from tracedex.model import DAY, HOUR, IndexConfig, P, PatternQuery, seq
 from tracedex.operators import baselines, explore, measures, workloads
+from tracedex.operators.pairs import LONG
 from tracedex.plans.detect import detect
 from tracedex.sources import logs
 from tracedex.store import Catalog, IndexStore, LogIndex
@@ -94,17 +95,18 @@ def index_sizes(s: Setting) -> Iterator[Row]:
 def build_order(s: Setting) -> Iterator[Row]:
     """Seconds that each system takes to index one batch, on a uniform and a skewed log."""
     systems = {
-        "pairs": lambda log: LogIndex(log, IndexConfig(lookback_us=3 * DAY)).pairs(),
+        "pairs": lambda log: LogIndex(log, IndexConfig(lookback_us=3 * DAY, long_traces=LONG)).pairs(),
         "signature": lambda log: baselines.SignatureIndex(log).signatures,
         "containment": lambda log: baselines.ContainmentIndex(log).lists,
+        "search documents": baselines.search_documents,
     }
-    for case, log in (("uniform", s.uniform()), ("skewed", logs.pages_log(s.spark, s.sf_dir)), ("short traces", logs.lineitem_log(s.spark, s.sf_dir))):
+    for case, log in (("uniform", s.uniform()), ("skewed", logs.pages_log(s.spark, s.sf_dir)), ("short traces", logs.lineitem_log(s.spark, s.sf_dir)), ("long skewed", logs.documents_log(s.spark, s.sf_dir))):
         for system, seconds in measures.compare_build(log, systems):
             yield "W4", system, case, "seconds", seconds
 
 
 def growing_log(s: Setting) -> Iterator[Row]:
-    """Patterns of five on the log after one, five and ten days; the index against scans of the log."""
+    """Patterns of five on the log after one, five and ten days; the index against scans of the log, in seconds and in rows shuffled."""
     grown = [logs.with_positions(log.select("trace_id", "ts_us", "activity")) for log in workloads.growing(s.uniform())]
     for days, log in zip((1, 5, 10), grown, strict=True):
         store = s.store(f"growing-{days}", IndexConfig())
@@ -114,6 +116,8 @@ def growing_log(s: Setting) -> Iterator[Row]:
         yield from _timed(s, "W5", "index", case, lambda q, x=store: detect(x, q), qs)
         yield from _timed(s, "W5", "row_pattern_scan", case, lambda q, x=log: baselines.row_pattern_scan(x, q), qs)
         yield from _timed(s, "W5", "cep_scan", case, lambda q, x=log: baselines.cep_scan(x, q), qs)
+        for system, df in (("index", detect(store, qs[0])), ("row_pattern_scan", baselines.row_pattern_scan(log, qs[0]))):
+            yield from (("W5", system, case, m, float(v)) for m, v in measures.volume(df).items())
 
 
 def stores_and_modes(s: Setting) -> Iterator[Row]:

@@ -29,6 +29,7 @@ class IndexConfig:
     mode: str = "both"  # pos, ts or both (I14)
     compression: str = "snappy"  # snappy, lz4_raw, zstd or none (I15)
     policy: str = "non_overlap"  # or unused_second (I5)
+    long_traces: int | None = None  # events a type beyond which a trace is paired by intervals; a store looks at its batches where nothing is given
     layout: str = "segmented"  # or pair_key (I18)
     first_buckets: int = 32
     origin_us: int = 0

@@ -9,8 +9,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tracedex.model import PatternQuery
-from tracedex.operators.validate import holds, validate, validate_nfa, validate_regex
+from tracedex.functions import masks
+from tracedex.model import IndexConfig, PatternQuery
+from tracedex.operators.validate import holds, validate, validate_linear, validate_nfa, validate_regex
+from tracedex.plans.detect import fetch
 
 
 def bruteforce(events: list[tuple], q: PatternQuery) -> list[tuple] | None:
@@ -52,6 +54,11 @@ def row_pattern_windows(log: DataFrame, q: PatternQuery) -> DataFrame:
     return first.select("unit_id", *[F.col("c")[i].alias(f"p{i + 1}") for i in range(len(types))])
 
 
+def search_documents(log: DataFrame) -> DataFrame:
+    """B3's index: one document a trace, its events in order."""
+    return log.groupBy("trace_id").agg(F.array_sort(F.collect_list(F.struct("pos", "ts_us", "activity"))).alias("events"))
+
+
 def step_search(log: DataFrame, steps: list[tuple[str, int, int]], maxspan_us: int | None = None, until: str | None = None) -> DataFrame:
     """A state machine a trace that keeps one partial a stage, newer replacing older, so it does not find all matches.
 
@@ -108,6 +115,18 @@ def step_search(log: DataFrame, steps: list[tuple[str, int, int]], maxspan_us: i
     return log.select("trace_id", "pos", "ts_us", "activity").groupBy("trace_id").applyInPandas(one, "trace_id long, occ_no int, first_pos int, last_pos int")
 
 
+def preliminary_config(**options) -> IndexConfig:
+    """The earlier engine's store: a folder a pair, times and positions, no segments."""
+    return IndexConfig(layout="pair_key", mode="both", **options)
+
+
+def preliminary_detect(store, q: PatternQuery) -> DataFrame:
+    """The earlier engine: plain patterns only; traces that have every pair of the pattern, read whole, and the linear parser over them."""
+    if not q.plain or q.constraints or q.window or q.group_text:
+        raise ValueError("the earlier engine knows plain patterns only")
+    return validate_linear(fetch(store, q, "required", "traces"), q)
+
+
 class SignatureIndex:
     """A hashed bitmap of each trace's types and direct follows; a trace stays if its bitmap covers the query's."""
 
@@ -145,10 +164,8 @@ class ContainmentIndex:
     def prune(self, q: PatternQuery) -> DataFrame:
         needs = [e.types for e in q.elems if e.required]
         rows = self.lists.filter(F.col("activity").isin([t for n in needs for t in n]))
-        mask = F.lit(0).cast("long")
-        for i, types in enumerate(needs):
-            mask = mask.bitwiseOR(F.when(F.col("activity").isin(list(types)), F.lit(1 << i)).otherwise(F.lit(0)).cast("long"))
-        return rows.groupBy("trace_id").agg(F.bit_or(mask).alias("m")).filter(F.col("m") == (1 << len(needs)) - 1).select("trace_id")
+        found = rows.groupBy("trace_id").agg(*masks.met([F.col("activity").isin(list(t)) for t in needs]))
+        return found.filter(masks.holds_all(set(range(len(needs))), len(needs))).select("trace_id")
 
     def bitmaps(self) -> DataFrame:
         """Compressed form: a bitmap of trace numbers for each type and bucket of numbers."""

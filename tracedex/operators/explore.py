@@ -2,82 +2,115 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
 from itertools import pairwise
 
 import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tracedex.model import PatternQuery, seq
-from tracedex.plans.detect import attach_groups, detect, matching_traces
+from tracedex.model import Elem, PatternQuery, seq
+from tracedex.operators.validate import validate
+from tracedex.plans.detect import attach_groups, detect, fetch, matching_traces, survivors
+from tracedex.plans.planning import plan_pairs
+
+
+def _pair_table(index, pattern: PatternQuery) -> DataFrame:
+    """ordinal, a_first, a_second: the pairs between neighbouring required elements, one for each choice of alternatives."""
+    rows = [(n, a, b) for n, s in enumerate(plan_pairs(replace(pattern, explain_with=None)).spots, 1) for a, b in sorted(s)]
+    return F.broadcast(index.stats().sparkSession.createDataFrame(rows, "ordinal int, a_first string, a_second string"))  # a size of the query
 
 
 def statistics(index, pattern: PatternQuery) -> DataFrame:
-    """Q2: ordinal, a_first, a_second, completions, sum, mean, min and max duration; a pair that never occurs has a zero row."""
-    spark = index.stats().sparkSession
-    kept = [e.types[0] for e in pattern.elems if e.required]
-    wanted = F.broadcast(spark.createDataFrame([(n, a, b) for n, (a, b) in enumerate(pairwise(kept), 1)], "ordinal int, a_first string, a_second string"))
+    """Q2: ordinal, a_first, a_second, completions, sum, mean, min and max duration; a pair that never occurs has a zero row, and an element with
+    alternatives has a row for each of them."""
+    wanted = _pair_table(index, pattern)
     stats = index.stats().join(wanted.select("a_first", "a_second").distinct(), ["a_first", "a_second"], "left_semi")
     joined = wanted.join(stats, ["a_first", "a_second"], "left")
     return joined.select("ordinal", "a_first", "a_second", F.coalesce("completions", F.lit(0)).cast("long").alias("completions"), F.coalesce("sum_dur", F.lit(0)).cast("long").alias("sum_dur"), F.round(F.col("sum_dur") / F.col("completions"), 3).alias("mean_dur"), "min_dur", "max_dur")
 
 
+def _continued(index, pattern: PatternQuery) -> DataFrame:
+    """activity, duration: one row for each occurrence of the pattern extended by the activity, occurrences of one extended pattern apart from each other.
+
+    A unit is a trace beside one activity that it holds; in it that activity's events stand for the new element, so all new activities are
+    matched in one pass. Activities that the pattern names itself (as many as the query has) are matched one by one."""
+    own, mark = pattern.types(), "\x00next"
+    base = replace(pattern.all_matches(), group_text=None)
+    rows = index.traces().filter(F.col("ts_us").between(*pattern.window)) if pattern.window else index.traces()
+    left = survivors(index, pattern)
+    own_rows = fetch(index, base).select("trace_id", "pos", "ts_us", "activity")
+    others = rows.filter(~F.col("activity").isin(own)).join(left, "trace_id", "left_semi").select("trace_id", "pos", "ts_us", F.col("activity").alias("next"))
+    units = others.select("trace_id", "next").distinct()
+    events = own_rows.join(units, "trace_id").unionByName(others.select("trace_id", "pos", "ts_us", F.lit(mark).alias("activity"), "next"))
+    # units are long: number them by trace and activity, which a hash does without a shuffle; the activity travels with the events
+    events = events.withColumn("unit_id", F.xxhash64("trace_id", "next"))
+    names = events.filter(F.col("activity") == mark).select("unit_id", "next").distinct()
+    extended = replace(base, elems=(*base.elems, Elem((mark,))))
+    found = _ends(validate(events.select("unit_id", "trace_id", "pos", "ts_us", "activity"), extended), extended).join(names, "unit_id").select(F.col("next").alias("activity"), "duration")
+    for activity in own:
+        extended = replace(base, elems=(*base.elems, Elem((activity,))))
+        found = found.unionByName(_ends(detect(index, extended), extended).select(F.lit(activity).alias("activity"), "duration"))
+    return found
+
+
+def _ends(bound: DataFrame, q: PatternQuery) -> DataFrame:
+    """unit_id, occ_no, duration between the last event of what comes before the last element and that element."""
+    last = len(q.elems)
+    return bound.groupBy("unit_id", "occ_no").agg((F.max(F.when(F.col("elem") == last, F.col("ts_us"))) - F.max(F.when(F.col("elem") < last, F.col("ts_us")))).alias("duration"))
+
+
 def continuation(index, pattern: PatternQuery, how: str = "exact", k: int = 3) -> DataFrame:
-    """Q3: activity, completions (of the extended pattern), mean_dur from the pattern's end, best first.
+    """Q3: activity, completions (of the pattern extended by it), mean_dur from the pattern's end, best first.
 
-    exact: detect, then the first event of each type after each occurrence and before the next one's start would be too narrow, so to
-    the end of the trace. bound: the least completions along the chain and of (last, activity), an upper bound from statistics
-    alone. hybrid: exact for the k activities of the highest bound, the bound for others."""
-    last = pattern.elems[pattern.required[-1]].types[0]
+    exact: occurrences of each extended pattern that do not overlap. bound: the least number of completions between any two neighbours, of the last
+    element and the activity too, from statistics alone: occurrences that do not overlap are no more than pairs that do not overlap, so no
+    exact value is above it (as long as the index has no lookback). hybrid: exact for the k activities of the highest bound, the bound for others."""
     if how in ("bound", "hybrid"):
-        chain = [e.types[0] for e in pattern.elems if e.required]
-        stats = index.stats()
-        following = stats.filter(F.col("a_first") == last).select(F.col("a_second").alias("activity"), "completions", F.round(F.col("sum_dur") / F.col("completions"), 3).alias("mean_dur"))
-        if len(chain) > 1:
-            least = statistics(index, pattern).agg(F.min("completions").alias("least"))
+        lasts = list(pattern.elems[pattern.required[-1]].types)
+        following = index.stats().filter(F.col("a_first").isin(lasts)).groupBy(F.col("a_second").alias("activity"))
+        following = following.agg(F.sum("completions").cast("long").alias("completions"), F.round(F.sum("sum_dur") / F.sum("completions"), 3).alias("mean_dur"))
+        if len(pattern.required) > 1:
+            least = statistics(index, pattern).groupBy("ordinal").agg(F.sum("completions").alias("n")).agg(F.min("n").alias("least"))
             following = following.crossJoin(F.broadcast(least)).withColumn("completions", F.least("completions", "least")).drop("least")  # one row
-        following = following.select("activity", F.col("completions").cast("long").alias("completions"), "mean_dur")
         if how == "bound":
             return following.orderBy(F.desc("completions"), "activity")
-        top = following.orderBy(F.desc("completions"), "activity").limit(k).withColumn("exact", F.lit(True))
+        top = following.orderBy(F.desc("completions"), "activity").limit(k)
         exact = continuation(index, pattern, "exact").join(F.broadcast(top.select("activity")), "activity", "left_semi").withColumn("exact", F.lit(True))
         rest = following.join(F.broadcast(top.select("activity")), "activity", "left_anti").withColumn("exact", F.lit(False))
         return exact.unionByName(rest).orderBy(F.desc("completions"), "activity")
-    bound = detect(index, pattern.all_matches())
-    ends = bound.groupBy("unit_id", "occ_no").agg(F.max("pos").alias("end"), F.max("ts_us").alias("end_ts"))
-    later = index.traces().select(F.col("trace_id").alias("unit_id"), "pos", "ts_us", "activity")
-    after = ends.join(later, "unit_id").filter("pos > end").groupBy("unit_id", "occ_no", "activity").agg(F.min("ts_us").alias("at"), F.first("end_ts").alias("end_ts"))
-    ranked = after.groupBy("activity").agg(F.count("*").alias("completions"), F.round(F.avg(F.col("at") - F.col("end_ts")), 3).alias("mean_dur"))
+    ranked = _continued(index, pattern).groupBy("activity").agg(F.count("*").alias("completions"), F.round(F.avg("duration"), 3).alias("mean_dur"))
     return ranked.orderBy(F.desc("completions"), "activity")
 
 
 def diagnose(index, q: PatternQuery, exact: bool = False) -> DataFrame:
-    """Check, subject, ok, detail. Duration checks from indexed pairs only suspect (G7); `exact` measures all event pairs."""
+    """Check, subject, ok, detail. Duration checks from indexed pairs only suspect (G7); `exact` measures all event pairs. An element
+    with alternatives is checked with all of them: a pair is missing if no choice has it, a constraint fails if no choice can meet it."""
     spark = index.stats().sparkSession
     types = spark.createDataFrame([(t,) for t in q.types()], "activity string")
     known = index.dictionary().select("activity").withColumn("has", F.lit(True))
     rows = types.join(known, "activity", "left").select(F.lit("unknown_type").alias("check"), F.col("activity").alias("subject"), F.coalesce("has", F.lit(False)).alias("ok"), F.lit(None).cast("long").alias("detail"))
-    pairs = sorted(set(pairwise(q.elems[n].types[0] for n in q.required)))
-    if pairs:
-        wanted = spark.createDataFrame(pairs, "a_first string, a_second string")
-        found = wanted.join(index.stats(), ["a_first", "a_second"], "left")
-        rows = rows.unionByName(found.select(F.lit("missing_pair").alias("check"), F.concat_ws(" -> ", "a_first", "a_second").alias("subject"), F.col("completions").isNotNull().alias("ok"), F.col("completions").cast("long").alias("detail")))
+    if len(q.required) > 1:
+        spots = [("|".join(dict.fromkeys(q.elems[a].types)) + " -> " + "|".join(dict.fromkeys(q.elems[b].types)), n) for n, (a, b) in enumerate(pairwise(q.required), 1)]
+        named = spark.createDataFrame(spots, "subject string, ordinal int")
+        found = statistics(index, q).groupBy("ordinal").agg(F.sum("completions").alias("completions")).join(named, "ordinal").select("subject", "completions").distinct()
+        rows = rows.unionByName(found.select(F.lit("missing_pair").alias("check"), "subject", (F.col("completions") > 0).alias("ok"), F.when(F.col("completions") > 0, F.col("completions")).cast("long").alias("detail")))
     for c in q.constraints:
-        a, b = q.elems[c.i - 1].types[0], q.elems[c.j - 1].types[0]
-        unit, best = ("dur" if c.kind == "time" else "gap"), ("min" if c.side == "within" else "max")
+        firsts, seconds = list(q.elems[c.i - 1].types), list(q.elems[c.j - 1].types)
+        best = F.min if c.side == "within" else F.max
         if exact:
-            ends = index.traces().filter(F.col("activity").isin(a, b))
-            x, y = ends.filter(F.col("activity") == a).select("trace_id", F.col("pos").alias("p1"), F.col("ts_us").alias("t1")), ends.filter(F.col("activity") == b).select("trace_id", F.col("pos").alias("p2"), F.col("ts_us").alias("t2"))
-            d = F.col("t2") - F.col("t1") if c.kind == "time" else F.col("p2") - F.col("p1")
-            if c.side == "within":  # the closest pair: the latest first event before each second one
-                from tracedex.operators.positions import latest_before
-
-                near = latest_before(index.traces(), a, b) if a != b else index.pairs().filter((F.col("a_first") == a) & (F.col("a_second") == a))
-                value = near.agg(F.min(F.col("ts_b") - F.col("ts_a") if c.kind == "time" else F.col("pos_b") - F.col("pos_a")).alias("v"))
-            else:  # the farthest: first and last event of each trace
-                value = x.groupBy("trace_id").agg(F.min("p1").alias("p1"), F.min("t1").alias("t1")).join(y.groupBy("trace_id").agg(F.max("p2").alias("p2"), F.max("t2").alias("t2")), "trace_id").filter("p2 > p1").agg(F.max(d).alias("v"))
+            d = (F.col("ts_b") - F.col("ts_a")) if c.kind == "time" else (F.col("pos_b") - F.col("pos_a"))
+            ends = index.traces().filter(F.col("activity").isin(firsts + seconds))
+            earlier = W.partitionBy("trace_id").orderBy("pos").rowsBetween(W.unboundedPreceding, -1)
+            # the closest pair: the latest first event before a second one; the farthest: the first one of the trace
+            pick = F.last if c.side == "within" else F.first
+            before = pick(F.when(F.col("activity").isin(firsts), F.struct("pos", "ts_us")), ignorenulls=True).over(earlier)
+            near = ends.withColumn("a", before).filter(F.col("activity").isin(seconds) & F.col("a").isNotNull())
+            value = near.select(F.col("a.pos").alias("pos_a"), F.col("a.ts_us").alias("ts_a"), F.col("pos").alias("pos_b"), F.col("ts_us").alias("ts_b")).agg(best(d).alias("v"))
         else:
-            value = index.stats().filter((F.col("a_first") == a) & (F.col("a_second") == b)).agg(F.first(f"{best}_{unit}").alias("v"))
+            measure = f"{'min' if c.side == 'within' else 'max'}_{'dur' if c.kind == 'time' else 'gap'}"
+            value = index.stats().filter(F.col("a_first").isin(firsts) & F.col("a_second").isin(seconds)).agg(best(measure).alias("v"))
         good = F.col("v") <= c.value if c.side == "within" else F.col("v") >= c.value
         rows = rows.unionByName(value.select(F.lit("unsatisfiable_constraint").alias("check"), F.lit(f"{c.kind} {c.side} ({c.i},{c.j}) {c.value}").alias("subject"), F.coalesce(good, F.lit(False)).alias("ok"), F.col("v").cast("long").alias("detail")))
     return rows

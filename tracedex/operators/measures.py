@@ -120,7 +120,38 @@ def agree(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.exceptAll(b).agg(F.count("*").alias("only_a")).crossJoin(b.exceptAll(a).agg(F.count("*").alias("only_b")))
 
 
+def _nodes(plan):
+    """The executed plan's nodes, through adaptive stages; a stage that is read again counts once."""
+    kind = plan.getClass().getSimpleName()
+    if kind.startswith("Reused"):
+        return
+    yield kind, plan
+    if kind == "AdaptiveSparkPlanExec":
+        inner = [plan.executedPlan()]
+    elif kind.endswith("QueryStageExec"):
+        inner = [plan.plan()]
+    else:
+        children = plan.children()
+        inner = [children.apply(i) for i in range(children.size())]
+    for child in inner:
+        yield from _nodes(child)
+
+
 def shuffles(df: DataFrame) -> dict[str, int]:
-    """How many exchanges, Python nodes and scans the executed plan has."""
+    """How many exchanges, Python nodes and scans the planned query has."""
     text = df._jdf.queryExecution().executedPlan().toString()
     return {"exchanges": text.count("Exchange"), "python": text.count("FlatMapGroupsInPandas") + text.count("MapInArrow"), "scans": text.count("FileScan")}
+
+
+def volume(df: DataFrame) -> dict[str, int]:
+    """Runs a query and gives the rows and bytes that it shuffled, and the files and rows that it read."""
+    run = df._jdf.queryExecution()
+    run.toRdd().count()
+    out = dict.fromkeys(("shuffle_bytes", "shuffle_rows", "files", "rows_read"), 0)
+    wanted = {"ShuffleExchangeExec": {"shuffleBytesWritten": "shuffle_bytes", "shuffleRecordsWritten": "shuffle_rows"}, "FileSourceScanExec": {"numFiles": "files", "numOutputRows": "rows_read"}}
+    for kind, node in _nodes(run.executedPlan()):
+        for metric, name in wanted.get(kind, {}).items():
+            value = node.metrics().get(metric)
+            if value.isDefined():
+                out[name] += value.get().value()
+    return out

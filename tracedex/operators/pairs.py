@@ -10,23 +10,58 @@ from pyspark.sql import functions as F
 PAIR = ["a_first", "a_second", "trace_id", "pos_a", "pos_b", "ts_a", "ts_b"]
 
 
-def extract_pairs(log: DataFrame, lookback_us: int | None = None, policy: str = "non_overlap", new_from: DataFrame | None = None) -> DataFrame:
+#: Where traces are told apart: one with more than so many events for each of its types is paired by intervals, a shorter one by a join inside the trace.
+LONG = 16
+#: A log whose longest trace is shorter has no trace worth telling apart: the join costs no more than the square of this for each trace.
+SHORT = 500
+
+
+def extract_pairs(log: DataFrame, lookback_us: int | None = None, policy: str = "non_overlap", new_from: DataFrame | None = None, long: int | None = None) -> DataFrame:
     """Pairs of a log. `new_from` (trace_id, new_pos): only pairs whose second event is at or after new_pos of its trace.
 
     For an event b with previous event p of its type, the one pair (A, b) that overlaps no other pair of its types starts at the
-    earliest A after p that is young enough; (p, b) itself is the pair of equal types. So each b joins the interval from p on; the
-    intervals of one type tile the trace, which bounds the join by events times types. No loop, no state from batch to batch."""
+    earliest A after p that is young enough; (p, b) itself is the pair of equal types. So each b asks for the first event of every type in the
+    interval from p on. In a short trace all earlier events are compared with b, which costs the square of its length. In a long one each b is
+    laid among the events of each type in turn and takes the first event after where it stands: rows are events times types, dealt by
+    trace and type, so that not even a trace of very many events lies in one task. `long` tells them apart (see `LONG`); without it all are
+    taken for short. The pairs are the same. No loop, no state from batch to batch."""
     if policy == "unused_second":
         return _unused_second(log, lookback_us)
     order = W.partitionBy("trace_id", "activity").orderBy("pos")
-    b = log.select("trace_id", F.col("activity").alias("a_second"), F.col("pos").alias("pos_b"), F.col("ts_us").alias("ts_b"), F.coalesce(F.lag("pos").over(order), F.lit(0)).alias("p"))
-    if new_from is not None:
-        b = b.join(new_from, "trace_id").filter("pos_b >= new_pos").drop("new_pos")
     a = log.select("trace_id", F.col("activity").alias("a_first"), F.col("pos").alias("pos_a"), F.col("ts_us").alias("ts_a"))
     near = "pos_a >= p and pos_a < pos_b" + (f" and ts_b - ts_a <= {int(lookback_us)}" if lookback_us is not None else "")
-    kept = a.join(b, "trace_id").filter(near)
-    first = kept.groupBy("trace_id", "a_first", "a_second", "pos_b", "ts_b").agg(F.min(F.struct("pos_a", "ts_a")).alias("f"))
-    return first.select("a_first", "a_second", "trace_id", F.col("f.pos_a").alias("pos_a"), "pos_b", F.col("f.ts_a").alias("ts_a"), "ts_b")
+
+    def joined(b: DataFrame) -> DataFrame:
+        first = a.join(b, "trace_id").filter(near).groupBy("trace_id", "a_first", "a_second", "pos_b", "ts_b").agg(F.min(F.struct("pos_a", "ts_a")).alias("f"))
+        return first.select("a_first", "a_second", "trace_id", F.col("f.pos_a").alias("pos_a"), "pos_b", F.col("f.ts_a").alias("ts_a"), "ts_b")
+
+    b = log.select("trace_id", F.col("activity").alias("a_second"), F.col("pos").alias("pos_b"), F.col("ts_us").alias("ts_b"), F.coalesce(F.lag("pos").over(order), F.lit(0)).alias("p"), F.lag("ts_us").over(order).alias("ts_p"))
+    if new_from is not None:
+        b = b.join(new_from.select("trace_id", "new_pos"), "trace_id").filter("pos_b >= new_pos").drop("new_pos")
+    if long is None:
+        return joined(b.drop("ts_p"))
+    sizes = log.groupBy("trace_id", "activity").agg(F.count("*").alias("n"))
+    sizes = sizes.groupBy("trace_id").agg((F.sum("n") > F.count("*") * long).alias("is_long"), F.collect_list("activity").alias("types"))
+    b = b.join(sizes, "trace_id")
+    # the trace id as an expression: Spark 4.1 would zip the partitions of two sides that claim the same partitioning, though their numbers may differ at run time
+    far = _by_intervals(a, b.filter("is_long"), sizes, lookback_us).withColumn("trace_id", F.when(F.col("pos_b").isNotNull(), F.col("trace_id")))
+    return joined(b.filter("not is_long").drop("is_long", "types", "ts_p")).unionByName(far)
+
+
+def _by_intervals(a: DataFrame, b: DataFrame, sizes: DataFrame, lookback_us: int | None) -> DataFrame:
+    """Pairs of long traces. Each b stands before the first event that it may take: at its interval's start p or, where the lookback begins later, at
+    that time; positions and times of a trace rise together, so the later of both counts."""
+    events = a.join(sizes.filter("is_long").select("trace_id"), "trace_id", "left_semi")
+    # by time first: an event and a b of equal time are told apart by the position that b must not fall below
+    low_ts = F.coalesce("ts_p", F.lit(-(1 << 62))) if lookback_us is None else F.greatest(F.coalesce("ts_p", F.lit(-(1 << 62))), F.col("ts_b") - int(lookback_us))
+    asks = b.select("trace_id", F.explode("types").alias("a_first"), low_ts.alias("at_ts"), F.col("p").alias("at_pos"), "a_second", "pos_b", "ts_b")
+    nothing = [F.lit(None).cast(t).alias(c) for c, t in (("a_second", "string"), ("pos_b", "int"), ("ts_b", "long"))]
+    both = events.select("trace_id", "a_first", F.col("ts_a").alias("at_ts"), F.col("pos_a").alias("at_pos"), *nothing, F.struct(F.col("pos_a"), F.col("ts_a")).alias("f"))
+    both = both.unionByName(asks.withColumn("f", F.lit(None).cast("struct<pos_a:int,ts_a:bigint>")))
+    # from the last to the first, as a frame that only grows is kept up; of rows at one place the event comes first, so that it is after its ask
+    after = W.partitionBy("trace_id", "a_first").orderBy(F.col("at_ts").desc(), F.col("at_pos").desc(), F.col("f").isNull()).rowsBetween(W.unboundedPreceding, -1)
+    taken = both.withColumn("g", F.last("f", ignorenulls=True).over(after)).filter("f is null and g is not null").filter("g.pos_a < pos_b")
+    return taken.select("a_first", "a_second", "trace_id", F.col("g.pos_a").alias("pos_a"), "pos_b", F.col("g.ts_a").alias("ts_a"), "ts_b")
 
 
 def _unused_second(log: DataFrame, lookback_us: int | None) -> DataFrame:

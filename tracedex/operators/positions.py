@@ -25,7 +25,7 @@ def segment(ts: str, config: IndexConfig) -> Column:
 
 
 def trace_bucket(config: IndexConfig) -> Column:
-    return F.floor(F.col("trace_id") / config.trace_split).cast("int")
+    return F.expr(f"trace_id div {int(config.trace_split)}")
 
 
 def first_bucket(activity: Column | str, config: IndexConfig) -> Column:

@@ -29,14 +29,25 @@ def validate(events: DataFrame, q: PatternQuery, how: str = "auto") -> DataFrame
     """V6: the cheapest way that can answer the query."""
     if how == "auto":
         how = "regex" if regex_fits(q) else "join" if q.plain and q.constraints and not q.all and q.policy == "next_match" and len(q.elems) <= 4 else "nfa"
-    return {"regex": validate_regex, "join": validate_join, "nfa": validate_nfa}[how](events, q)
+    return {"regex": validate_regex, "linear": validate_linear, "join": validate_join, "nfa": validate_nfa}[how](events, q)
 
 
 def validate_linear(events: DataFrame, q: PatternQuery) -> DataFrame:
-    """V1: plain patterns by a linear scan, which is what the expression amounts to without operators."""
-    if not q.plain or q.constraints:
+    """V1: plain patterns by one pass over each unit's events in order: a fold that binds the next element to the first event that fits
+    and begins anew after the last one. JVM code throughout."""
+    if not q.plain or q.constraints or q.policy != "next_match":
         raise ValueError("the linear parser takes plain patterns without constraints")
-    return validate_regex(events, q)
+    n, types = len(q.elems), F.array(*[F.lit(e.types[0]) for e in q.elems])
+    relevant = events.filter(F.col("activity").isin(q.types()))
+    per_unit = relevant.groupBy("unit_id").agg(F.array_sort(F.collect_list(F.struct("pos", "trace_id", "ts_us", "activity"))).alias("ev"))
+    # bound: places of all bound events so far; its size says which element is next
+    step = lambda bound, k: F.when(F.element_at("ev", k)["activity"] == F.element_at(types, F.size(bound) % n + 1), F.concat(bound, F.array(k))).otherwise(bound)
+    bound = F.aggregate(F.sequence(F.lit(1), F.size("ev")), F.array().cast("array<int>"), step)
+    if not q.all:  # the fold of one occurrence stops growing when it is whole
+        bound = F.aggregate(F.sequence(F.lit(1), F.size("ev")), F.array().cast("array<int>"), lambda b, k: F.when(F.size(b) < n, step(b, k)).otherwise(b))
+    found = per_unit.select("unit_id", "ev", bound.alias("b")).withColumn("b", F.slice("b", 1, F.expr(f"cast(size(b) div {n} * {n} as int)")))
+    rows = found.select("unit_id", "ev", F.posexplode("b").alias("k", "at")).withColumn("e", F.element_at("ev", F.col("at")))
+    return rows.select("unit_id", F.expr(f"cast(k div {n} + 1 as int)").alias("occ_no"), (F.col("k") % n + 1).alias("elem"), "e.trace_id", "e.pos", "e.ts_us", "e.activity")
 
 
 def validate_regex(events: DataFrame, q: PatternQuery) -> DataFrame:
@@ -161,21 +172,39 @@ def _first_chain(events, q, required, negated, start) -> list[int] | None:
         return None
     places = {place: k for k, place in enumerate(required)}
     simple = [(c, places[c.i - 1], places[c.j - 1]) for c in q.constraints if c.i - 1 in places and c.j - 1 in places and q.elems[c.i - 1].op == "one"]
+    certain = len(simple) == len(q.constraints) and not negated[-1]  # a full chain is an answer then, so that a dead end stays one
+    ends = [[(c, i) for c, i, j in simple if j == k] for k in range(len(required))]  # what an element must satisfy
+    pending = [[(c, i) for c, i, j in simple if i < k < j or i < k == j] for k in range(len(required) + 1)]  # chosen first events that still matter
+    limits = [[(c, i) for c, i in pending[k] if c.side == "within"] for k in range(len(required) + 1)]
+    dead: set[tuple] = set()  # (elements bound, next event, first events that still matter) without a way on
     stack: list[tuple[list[int], int]] = [([], start)]
+    tried: list[tuple] = []
     while stack:  # depth first over positions in order: the first full chain is the least
         chain, at = stack.pop()
         k = len(chain)
+        if at < 0:  # all ways on from here have failed
+            dead.add(tried.pop())
+            continue
         if k == len(required):
             if not any(e[2] in negated[-1] for e in events[chain[-1] + 1 :]) and _satisfied(events, q, required, chain, start):
                 return chain
             continue
+        wanted, barred = q.elems[required[k]].types, negated[k]
         while at < len(events):
             e = events[at]
-            if e[2] in q.elems[required[k]].types and all(holds(c, events[chain[i]], e) for c, i, j in simple if j == k):
-                stack.append((chain, at + 1) if e[2] not in negated[k] else (chain, len(events)))
-                stack.append(([*chain, at], at + 1))
+            if any(not holds(c, events[chain[i]], e) for c, i in limits[k]):
+                break  # positions and times only grow: nothing later can be near enough
+            if e[2] in wanted and all(holds(c, events[chain[i]], e) for c, i in ends[k]):
+                if e[2] not in barred:
+                    stack.append((chain, at + 1))
+                state = (k + 1, at + 1, tuple(chain[i] if i < k else at for _, i in pending[k + 1]))
+                if state not in dead:
+                    if certain:
+                        tried.append(state)
+                        stack.append((chain, -1))
+                    stack.append(([*chain, at], at + 1))
                 break
-            if e[2] in negated[k]:
+            if e[2] in barred:
                 break
             at += 1
     return None

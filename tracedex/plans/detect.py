@@ -8,60 +8,56 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from tracedex.functions import masks
 from tracedex.model import PatternQuery
 from tracedex.operators.validate import validate
-from tracedex.plans.parser import parse_groups
-from tracedex.plans.planning import PairPlan, plan_pairs
+from tracedex.plans.parser import parse_groups, parse_query
+from tracedex.plans.planning import plan_pairs
 
 
-def _pairs_of(index, plan: PairPlan, q: PatternQuery) -> DataFrame:
-    """Entries of the planned pairs; bucket and segment filters prune files, the window looks at the second event only."""
-    wanted = sorted({p for a in plan.alternatives for p in a})
+def _pairs_of(index, wanted: list[tuple[str, str]], q: PatternQuery) -> DataFrame:
+    """trace_id and n (place among `wanted`) of entries; bucket and segment filters prune files, the window looks at the second event only."""
     rows = index.pair_rows(wanted, q.window)
+    if len(wanted) == 1:
+        return rows.select("trace_id", F.lit(0).alias("n"))
     ordinal = F.create_map(*[F.lit(x) for n, (a, b) in enumerate(wanted) for x in (f"{a}\x00{b}", n)])[F.concat(F.col("a_first"), F.lit("\x00"), F.col("a_second"))]
-    return rows.select("trace_id", "a_first", "a_second", ordinal.alias("n"))
-
-
-def _masks(plan: PairPlan) -> list[int]:
-    wanted = sorted({p for a in plan.alternatives for p in a})
-    return [sum({1 << wanted.index(p) for p in a}) for a in plan.alternatives]
+    return rows.select("trace_id", ordinal.alias("n"))
 
 
 def survivors(index, q: PatternQuery, prune: str = "any_alternative", multiplicity: bool = True) -> DataFrame:
     """trace_id of traces that can hold an occurrence.
 
-    `required`: every pair common to all alternatives is present (P1, P3). `any_alternative`: all pairs of some alternative are (P6).
-    `semijoin`: rarest pair first, each list filtered by the traces left (P8). All are one pass over short lists of ids; the mask
-    aggregate is one shuffle whatever the pattern's length. None loses a matching trace within the index's lookback."""
+    `required`: every pair common to all alternatives is present (P1, P3). `any_alternative`: all pairs of some alternative are (P6); where there
+    are too many alternatives, one pair between any two neighbours is. `semijoin`: rarest pair first, each list filtered by the traces left
+    (P8). All are one pass over short lists of ids; the aggregate of bit words is one shuffle whatever the pattern's length and the number
+    of its pairs. None loses a matching trace within the index's lookback."""
     plan = plan_pairs(q)
-    if not any(plan.alternatives):
+    if not plan.spots:
         types = q.elems[q.required[0]].types
         return index.type_rows(list(types), q.window).select("trace_id").distinct()
-    if prune == "semijoin":
-        need = sorted(plan.required) or sorted(plan.alternatives[0])
-        if not plan.required:
-            return survivors(index, q, "any_alternative", multiplicity)
+    if prune == "semijoin" and plan.required:
+        need = sorted(plan.required)
         size = {(r["a_first"], r["a_second"]): r["completions"] for r in index.stats().filter(F.concat("a_first", F.lit("\x00"), "a_second").isin([f"{a}\x00{b}" for a, b in need])).collect()}  # a row for each pair of the query
         lists = [index.pair_rows([p], q.window).select("trace_id").distinct() for p in sorted(need, key=lambda p: size.get(p, 0))]
         return reduce(lambda a, b: b.join(a, "trace_id", "left_semi"), lists)
-    rows = _pairs_of(index, plan, q)
-    if prune == "required" and plan.required:
-        wanted = sorted({p for a in plan.alternatives for p in a})
-        masks = [sum(1 << wanted.index(p) for p in plan.required)]
-    elif prune == "required":
+    wanted = plan.wanted
+    place, n = {p: k for k, p in enumerate(wanted)}, len(wanted)
+    rows = _pairs_of(index, wanted, q)
+    if prune == "required" and not plan.required:
         return rows.select("trace_id").distinct()
-    else:
-        masks = _masks(plan)
-    counts = plan.multiplicity()
-    repeated = sorted({p for c in counts for p, n in c.items() if n > 1}) if multiplicity and prune != "required" else []
-    wanted = sorted({p for a in plan.alternatives for p in a})
-    seen = rows.groupBy("trace_id").agg(F.bit_or(F.expr("shiftleft(1L, n)")).alias("mask"), *[F.sum((F.col("n") == wanted.index(p)).cast("int")).alias(f"m{wanted.index(p)}") for p in repeated])
+    counts = plan.multiplicity() if multiplicity and prune != "required" else [{} for _ in plan.alternatives]
+    repeated = sorted({p for c in counts for p, k in c.items() if k > 1})
+    seen = rows.groupBy("trace_id").agg(*masks.gathered("n", n), *[F.sum((F.col("n") == place[p]).cast("int")).alias(f"m{place[p]}") for p in repeated])
+    if prune == "required":
+        return seen.filter(masks.holds_all({place[p] for p in plan.required}, n)).select("trace_id")
+    if not plan.alternatives:
+        return seen.filter(reduce(lambda a, b: a & b, [masks.holds_any({place[p] for p in s}, n) for s in plan.spots])).select("trace_id")
     tests = []
-    for mask, count in zip(masks, counts if prune != "required" else [{}], strict=True):
-        t = F.col("mask").bitwiseAND(F.lit(mask)) == mask
+    for pairs, count in zip(plan.alternatives, counts, strict=True):
+        t = masks.holds_all({place[p] for p in pairs}, n)
         for p in repeated:
             if count.get(p, 0) > 1:
-                t = t & (F.col(f"m{wanted.index(p)}") >= count[p])
+                t = t & (F.col(f"m{place[p]}") >= count[p])
         tests.append(t)
     return seen.filter(reduce(lambda a, b: a | b, tests)).select("trace_id")
 
@@ -79,8 +75,8 @@ def groups_with_types(index, q: PatternQuery) -> DataFrame:
     """unit_id of groups whose traces together have all required types."""
     needs = [q.elems[n].types for n in q.required]
     events = attach_groups(index.type_rows(q.types(), q.window), q.group_text)
-    mask = reduce(lambda a, b: a.bitwiseOR(b), [F.when(F.col("activity").isin(list(t)), F.lit(1 << n)).otherwise(F.lit(0)) for n, t in enumerate(needs)])
-    return events.groupBy("unit_id").agg(F.bit_or(mask).alias("m")).filter(F.col("m") == (1 << len(needs)) - 1).select("unit_id")
+    found = events.groupBy("unit_id").agg(*masks.met([F.col("activity").isin(list(t)) for t in needs]))
+    return found.filter(masks.holds_all(set(range(len(needs))), len(needs))).select("unit_id")
 
 
 def fetch(index, q: PatternQuery, prune: str = "any_alternative", source: str = "types") -> DataFrame:
@@ -126,3 +122,10 @@ def count_matches(index, q: PatternQuery, **options) -> DataFrame:
 def collect_occurrences(bound: DataFrame) -> DataFrame:
     """One row an occurrence with its events as a list."""
     return bound.groupBy("unit_id", "occ_no").agg(F.sort_array(F.collect_list(F.struct("pos", "elem", "ts_us", "activity"))).alias("events"))
+
+
+def register_answer(spark, index, text: str, name: str) -> DataFrame:
+    """Q12 for SQL users: the answer of a query in the text dialect as a temporary view."""
+    answer = detect(index, parse_query(text))
+    answer.createOrReplaceTempView(name)
+    return answer

@@ -2,13 +2,19 @@
 
 from __future__ import annotations
 
+import base64
 import json
+import re
 import time
+import uuid
+from concurrent.futures import ThreadPoolExecutor
+from urllib.parse import quote
 
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tracedex.model import EVENT, EVENT_SCHEMA, IndexConfig
+from tracedex.model import EVENT, IndexConfig
 from tracedex.operators import pairs as P
 from tracedex.operators.positions import first_bucket, segment, trace_bucket, with_positions
 
@@ -18,7 +24,7 @@ class LogIndex:
 
     def __init__(self, log: DataFrame, config: IndexConfig = IndexConfig()):
         self.config, self._log = config, log.select(*EVENT)
-        self._pairs = P.extract_pairs(self._log, config.lookback_us, config.policy)
+        self._pairs = P.extract_pairs(self._log, config.lookback_us, config.policy, long=config.long_traces)
 
     def traces(self) -> DataFrame:
         return self._log
@@ -52,57 +58,101 @@ def _any_pair(wanted):
 
 
 TABLES = ("type_index", "trace_store", "pair_index", "pair_frontier", "pair_stats", "trace_bounds")
+#: Tables whose parts lie in segments, so that parts can be rewritten or dropped by segment.
+SEGMENTED = ("type_index", "pair_index")
+SCHEMAS = {
+    "type_index": "trace_id long, pos int, ts_us long, activity string, part string, segment int, activity_bucket int",
+    "trace_store": "trace_id long, pos int, ts_us long, activity string, part string, trace_bucket long",
+    "pair_frontier": "a_first string, a_second string, trace_id long, last_ts long, last_pos int, part string, trace_bucket long",
+    "pair_stats": "a_first string, a_second string, completions long, sum_dur long, min_dur long, max_dur long, min_gap int, max_gap int, part string",
+    "trace_bounds": "trace_id long, n_events long, first_ts long, last_ts long, last_pos int, part string",
+}
+HISTORY = "version long, batch_id string, kind string, min_ts long, max_ts long, n_events long, n_pairs long, seconds double"
+#: Live parts of a table beyond which an appended batch is followed by a compaction.
+MOST_PARTS = 64
 
 
 class IndexStore(LogIndex):
-    """A named log database in a folder. Batches append files; the commit log's newest row names the parts that count,
-    so a reader never sees half a batch, and a batch that is sent again changes nothing."""
+    """A named log database in a folder. Batches append files; a manifest a version, made only if nobody else has made it, names the parts that
+    count, so a reader never sees half a batch and two writers never take one version. Which batches were applied is kept apart from the
+    parts, so a batch that is sent again changes nothing, whatever was compacted, merged, rebuilt or expired since."""
 
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
-        self._seen: tuple = (None, (0, []))  # files of the commit log, and what they say
-        self._bucket_of: dict[str, int] = {}
-        self.config = IndexConfig.from_json("".join(r["value"] for r in spark.read.text(f"{self.path}/config").collect()))
+        self._seen: dict = {"version": -1}
+        self._tables: dict[str, DataFrame] = {}
+        self.config = IndexConfig.from_json(read_text(spark, f"{self.path}/config.json"))
 
     # --- commits
-    def _log_path(self) -> str:
-        return f"{self.path}/batch_log"
+    def _manifest(self, version: int) -> str:
+        return f"{self.path}/manifest/{version:012d}.json"
+
+    def _state(self) -> dict:
+        """The newest manifest: version, batch_id, parts (table -> part -> segments or none), expired (segments before it are gone)."""
+        version = self._seen["version"]
+        if version < 0:
+            names = [int(n[:-5]) for n in children(self.spark, f"{self.path}/manifest") if n.endswith(".json")]
+            version = max(names, default=0)
+        while exists(self.spark, self._manifest(version + 1)):
+            version += 1
+        if version != self._seen["version"]:
+            empty = {"version": 0, "batch_id": None, "parts": {t: {} for t in TABLES}, "expired": None}
+            self._seen, self._tables = (json.loads(read_text(self.spark, self._manifest(version))) if version else empty), {}
+        return self._seen
+
+    def _commit(self, state: dict, kind: str, batch_id: str | None, parts: dict, figures: tuple, expired: int | None) -> None:
+        new = {"version": state["version"] + 1, "batch_id": batch_id, "kind": kind, "parts": parts, "expired": expired}
+        new |= dict(zip(("min_ts", "max_ts", "n_events", "n_pairs", "seconds"), figures, strict=True))
+        create_text(self.spark, self._manifest(new["version"]), json.dumps(new))
+        if batch_id is not None:
+            self._mark(batch_id)
+
+    def _applied(self, batch_id: str) -> str:
+        return f"{self.path}/applied/{quote(batch_id, safe='')}"
+
+    def _mark(self, batch_id: str) -> None:
+        if not exists(self.spark, self._applied(batch_id)):
+            create_text(self.spark, self._applied(batch_id), batch_id)
 
     def history(self) -> DataFrame:
-        """batch_log: version, batch_id, live parts, and what the batch measured."""
-        return self.spark.read.schema("version long, batch_id string, live string, min_ts long, max_ts long, n_events long, n_pairs long, seconds double").parquet(self._log_path())
-
-    def _live(self) -> tuple[int, list[str]]:
-        files = tuple(sorted(children(self.spark, self._log_path())))  # a listing tells whether anything was committed since
-        if files and files != self._seen[0]:
-            row = self.history().orderBy(F.desc("version")).limit(1).collect()
-            self._seen = files, ((row[0]["version"], json.loads(row[0]["live"])) if row else (0, []))
-        return self._seen[1] if files else (0, [])
-
-    def _commit(self, version: int, batch_id: str, live: list[str], figures: tuple) -> None:
-        self.spark.createDataFrame([(version, batch_id, json.dumps(live), *figures)], self.history_schema()).coalesce(1).write.mode("append").parquet(self._log_path())
-
-    @staticmethod
-    def history_schema() -> str:
-        return "version long, batch_id string, live string, min_ts long, max_ts long, n_events long, n_pairs long, seconds double"
-
-    def _read(self, name: str, schema: str | None = None) -> DataFrame:
-        parts = [f"{self.path}/{name}/batch={b}" for b in self._live()[1]]
-        parts = [p for p in parts if exists(self.spark, p)]
-        if not parts:
-            return self.spark.createDataFrame([], schema or EVENT_SCHEMA)
-        return self.spark.read.option("basePath", f"{self.path}/{name}").parquet(*parts)
+        """What every version did and measured."""
+        if not self._state()["version"]:
+            return self.spark.createDataFrame([], HISTORY)
+        return self.spark.read.schema(HISTORY).json(f"{self.path}/manifest")
+
+    def _folders(self, name: str) -> list[str]:
+        """Folders of a table's live parts, by segment where a part has been cut."""
+        out = []
+        for part, segments in self._state()["parts"][name].items():
+            at = f"{self.path}/{name}/part={part}"
+            out += [at] if segments is None else [f"{at}/segment={s}" for s in segments]
+        return out
 
-    def _write(self, df: DataFrame, name: str, batch: str, parts: list[str], sort: list[str]) -> None:
-        out = df.repartition(*parts).sortWithinPartitions(*parts, *sort) if parts else df
-        out.write.mode("overwrite").option("compression", self.config.compression).option("maxRecordsPerFile", 20_000_000).partitionBy(*parts).parquet(f"{self.path}/{name}/batch={batch}")
+    def _schema(self, name: str) -> str:
+        if name != "pair_index":
+            return SCHEMAS[name]
+        stored = {"pos": "pos_a int, pos_b int", "ts": "ts_a long, ts_b long", "both": "pos_a int, pos_b int, ts_a long, ts_b long"}[self.config.mode]
+        return f"a_first string, a_second string, trace_id long, {stored}, part string, " + ("pair string" if self.config.layout == "pair_key" else "segment int, first_bucket int")
+
+    def _read(self, name: str) -> DataFrame:
+        """A table's live rows; listed once a version, with a known schema."""
+        self._state()
+        if name not in self._tables:
+            folders = self._folders(name)
+            reader = self.spark.read.schema(self._schema(name)).option("basePath", f"{self.path}/{name}")
+            self._tables[name] = reader.parquet(*folders) if folders else self.spark.createDataFrame([], self._schema(name))
+        return self._tables[name]
+
+    def _write(self, df: DataFrame, name: str, part: str, by: list[str], sort: list[str]) -> None:
+        out = df.repartition(*by).sortWithinPartitions(*by, *sort) if by else df.coalesce(1) if name == "pair_stats" else df
+        out.write.mode("overwrite").option("compression", self.config.compression).option("maxRecordsPerFile", 20_000_000).partitionBy(*by).parquet(f"{self.path}/{name}/part={part}")
 
     # --- reads
     def traces(self) -> DataFrame:
         return self._read("trace_store").select(*EVENT)
 
     def pairs(self) -> DataFrame:
-        rows = self._read("pair_index", "a_first string, a_second string, trace_id long, pos_a int, pos_b int, ts_a long, ts_b long, segment int, first_bucket int")
+        rows = self._read("pair_index").drop("part")
         if self.config.mode == "ts":  # positions come from the trace store when asked for
             at = self.traces().select("trace_id", "pos", "ts_us", "activity")
             a = at.select("trace_id", F.col("activity").alias("a_first"), F.col("ts_us").alias("ts_a"), F.col("pos").alias("pos_a"))
@@ -111,16 +161,14 @@ class IndexStore(LogIndex):
         return rows
 
     def stats(self) -> DataFrame:
-        rows = self._read("pair_stats", "a_first string, a_second string, completions long, sum_dur long, min_dur long, max_dur long, min_gap int, max_gap int").drop("batch")
+        rows = self._read("pair_stats").drop("part")
         return P.merge_stats(rows.limit(0), rows)
 
     def frontier(self) -> DataFrame:
-        rows = self._read("pair_frontier", "a_first string, a_second string, trace_id long, last_ts long, last_pos int")
-        return rows.groupBy("a_first", "a_second", "trace_id").agg(F.max("last_ts").alias("last_ts"), F.max("last_pos").alias("last_pos"))
+        return self._read("pair_frontier").groupBy("a_first", "a_second", "trace_id").agg(F.max("last_ts").alias("last_ts"), F.max("last_pos").alias("last_pos"))
 
     def bounds(self) -> DataFrame:
-        rows = self._read("trace_bounds", "trace_id long, n_events long, first_ts long, last_ts long, last_pos int")
-        return rows.groupBy("trace_id").agg(F.sum("n_events").alias("n_events"), F.min("first_ts").alias("first_ts"), F.max("last_ts").alias("last_ts"), F.max("last_pos").alias("last_pos"))
+        return self._read("trace_bounds").groupBy("trace_id").agg(F.sum("n_events").alias("n_events"), F.min("first_ts").alias("first_ts"), F.max("last_ts").alias("last_ts"), F.max("last_pos").alias("last_pos"))
 
     def dictionary(self) -> DataFrame:
         return P.dictionary(self.type_rows_all())
@@ -129,125 +177,176 @@ class IndexStore(LogIndex):
         return self._read("type_index").select(*EVENT)
 
     def type_rows(self, types: list[str], window: tuple[int, int] | None = None) -> DataFrame:
-        rows = self._read("type_index")
-        if "activity_bucket" in rows.columns:
-            rows = rows.filter(F.col("activity_bucket").isin(self._buckets(types)))
+        rows = self._read("type_index").filter(F.col("activity_bucket").isin(self._buckets(types)))
         if window:
-            rows = rows.filter(F.col("segment").between(*self._segments(window)) & F.col("ts_us").between(*window)) if "segment" in rows.columns else rows
+            rows = rows.filter(F.col("segment").between(*self._segments(window)) & F.col("ts_us").between(*window))
         return rows.filter(F.col("activity").isin(types)).select(*EVENT)
 
     def pair_rows(self, wanted: list[tuple[str, str]], window: tuple[int, int] | None = None) -> DataFrame:
-        rows = self.pairs()
+        """Entries of some pairs. Without a window neither times nor positions are looked up in other tables (a time index has no positions then)."""
+        rows = self._read("pair_index").drop("part")
         if "first_bucket" in rows.columns:
             rows = rows.filter(F.col("first_bucket").isin(self._buckets([a for a, _ in wanted])))
-        if window and "segment" in rows.columns:
-            rows = rows.filter(F.col("segment").between(*self._segments(window)))
-            if "ts_b" not in rows.columns:  # position mode: the second event's time comes from the type index (P11)
+        else:
+            rows = rows.filter(F.col("pair").isin([pair_key(a, b) for a, b in wanted]))
+        rows = rows.filter(_any_pair(wanted))
+        if window:
+            if "segment" in rows.columns:
+                rows = rows.filter(F.col("segment").between(*self._segments(window)))
+            if "ts_b" in rows.columns:
+                rows = rows.filter(F.col("ts_b").between(*window))
+            else:  # position mode: the second event's time comes from the type index (P11)
                 times = self.type_rows(sorted({b for _, b in wanted}), window).select("trace_id", F.col("pos").alias("pos_b"))
                 rows = rows.join(times, ["trace_id", "pos_b"], "left_semi")
-            else:
-                rows = rows.filter(F.col("ts_b").between(*window))
-        return rows.filter(_any_pair(wanted))
+        return rows
 
     def _buckets(self, names: list[str]) -> list[int]:
-        """Bucket numbers of a query's activities, by the same expression that places rows; a few literals, no scan."""
-        new = sorted(set(names) - set(self._bucket_of))
-        if new:
-            one = self.spark.range(1).select(F.array(*[first_bucket(F.lit(n), self.config) for n in new]).alias("b"))
-            self._bucket_of |= dict(zip(new, one.collect()[0]["b"], strict=True))
-        return sorted({self._bucket_of[n] for n in names})
+        """Bucket numbers of a query's activities: the hash that places rows, computed here, without a job."""
+        return sorted({bucket_of(n, self.config.first_buckets) for n in names})
 
     def _segments(self, window: tuple[int, int]) -> tuple[int, int]:
-        size = self.config.split_every_days * 86_400_000_000
-        return tuple((t - self.config.origin_us) // size for t in window)
+        return tuple(self._segment(t) for t in window)
+
+    def _segment(self, ts_us: int) -> int:
+        return (ts_us - self.config.origin_us) // (self.config.split_every_days * 86_400_000_000)
 
     # --- writes
-    def append_batch(self, events: DataFrame, batch_id: str, strategy: str = "append", late: str = "error") -> dict:
+    def append_batch(self, events: DataFrame, batch_id: str, strategy: str = "append", late: str = "error", most_parts: int = MOST_PARTS) -> dict:
         """I8: indexes new events (trace_id, ts_us, activity). Only touched traces' recent events are read, only pairs that end in a
-        new event are made, so appended batches equal one build. late: error, quarantine or rebuild (M6)."""
-        version, live = self._live()
-        if batch_id in live:
+        new event are made, so appended batches equal one build. strategy: `append` adds a part and compacts when there are over `most_parts`;
+        `merge` is the literal way, which rewrites the segments that the batch touches, and only those. late: error, quarantine or
+        rebuild (M6)."""
+        state = self._state()
+        if state["batch_id"] is not None:
+            self._mark(state["batch_id"])  # a writer may have died between its commit and its mark
+        if exists(self.spark, self._applied(batch_id)):
             return {"skipped": batch_id}
-        began = time.time()
+        began, live = time.time(), bool(state["parts"]["trace_bounds"])
         known = self.bounds() if live else None
         new = events.select("trace_id", "ts_us", "activity").filter("trace_id is not null and ts_us is not null and activity is not null")
         if known is not None:
             behind = new.join(known.select("trace_id", "last_ts"), "trace_id").filter("ts_us <= last_ts").select("trace_id", "ts_us", "activity")
             if late == "quarantine":
-                behind.write.mode("overwrite").parquet(f"{self.path}/late/batch={batch_id}")
+                behind.write.mode("overwrite").parquet(f"{self.path}/late/batch={quote(batch_id, safe='')}")
                 new = new.join(known.select("trace_id", "last_ts"), "trace_id", "left").filter("last_ts is null or ts_us > last_ts").select("trace_id", "ts_us", "activity")
             elif behind.limit(1).count():
                 if late == "error":
                     raise ValueError("the batch has events at or before the end of stored traces")
                 return self._rebuild(new, batch_id)
+        part = self._part(state, batch_id)
         placed = with_positions(new, (), known).select(*EVENT).persist()
         try:
-            figures = self._index(placed, known, batch_id)
+            figures, made_parts = self._index(placed, known, part, state if strategy == "merge" else None)
         finally:
             placed.unpersist()
-        self._commit(version + 1, batch_id, [*live, batch_id], (*figures, time.time() - began))
-        if strategy == "merge":  # the literal way: touched segments are rewritten as a whole
-            self.compact(f"{batch_id}-merged", figures[0])
+        parts = {t: dict(state["parts"][t]) for t in TABLES}
+        for t in SEGMENTED if strategy == "merge" and self.config.layout != "pair_key" else ():  # older parts lose what was rewritten
+            cut = {p: [s for s in segments if s not in made_parts[t]] for p, segments in parts[t].items()}
+            parts[t] = {p: segments for p, segments in cut.items() if segments}
+        for t in TABLES:
+            parts[t][part] = made_parts[t]
+        self._commit(state, strategy, batch_id, parts, (*figures, time.time() - began), state["expired"])
+        if strategy == "append" and len(parts["pair_stats"]) > most_parts:
+            self.compact()
         return {"batch": batch_id, "n_events": figures[2], "n_pairs": figures[3], "seconds": time.time() - began}
 
-    def _index(self, placed: DataFrame, known: DataFrame | None, batch: str) -> tuple:
+    @staticmethod
+    def _part(state: dict, name: str) -> str:
+        return f"{state['version'] + 1:08d}-{re.sub(r'[^A-Za-z0-9.-]', '-', name)[:80]}-{uuid.uuid4().hex[:8]}"
+
+    def _index(self, placed: DataFrame, known: DataFrame | None, part: str, merge_into: dict | None = None) -> tuple:
         c = self.config
         if known is not None:
             first = placed.groupBy("trace_id").agg(F.min("pos").alias("new_pos"), F.min("ts_us").alias("new_ts"))
-            stored = self.traces().join(first, "trace_id")
+            touched = first.withColumn("trace_bucket", trace_bucket(c))
+            stored = self._read("trace_store").select(*EVENT, "trace_bucket").join(touched, ["trace_bucket", "trace_id"])  # the bucket prunes folders
             if c.lookback_us is not None:
                 stored = stored.filter(F.col("ts_us") >= F.col("new_ts") - c.lookback_us)
-            whole = stored.select(*EVENT).unionByName(placed)
-            made = P.extract_pairs(whole, c.lookback_us, c.policy, first.select("trace_id", "new_pos"))
+            whole = stored.select(*EVENT).unionByName(placed).repartition("trace_id")
+            made = P.extract_pairs(whole, c.lookback_us, c.policy, first.select("trace_id", "new_pos"), self._long(whole))
         else:
-            made = P.extract_pairs(placed, c.lookback_us, c.policy)
+            made = P.extract_pairs(placed, c.lookback_us, c.policy, long=self._long(placed))
         made = made.persist()
         try:
-            self._write_tables(placed, made, batch)
-            f = placed.agg(F.min("ts_us").alias("a"), F.max("ts_us").alias("b"), F.count("*").alias("n")).collect()[0]
-            return f["a"], f["b"], f["n"], made.count()
+            f = made.agg(F.count("*").alias("n")).crossJoin(placed.agg(F.min("ts_us").alias("a"), F.max("ts_us").alias("b"), F.count("*").alias("events"))).collect()[0]  # one row each
+            parts = self._write_tables(placed, made, part, merge_into)
+            return (f["a"], f["b"], f["events"], f["n"]), parts
         finally:
             made.unpersist()
 
-    def _write_tables(self, placed: DataFrame, made: DataFrame, batch: str) -> None:
+    def _long(self, log: DataFrame) -> int | None:
+        """Whether the batch has traces that are worth telling apart; one number reaches the driver, and pairs are the same either way."""
+        if self.config.long_traces is not None:
+            return self.config.long_traces
+        longest = log.groupBy("trace_id").count().agg(F.max("count").alias("n")).collect()[0]["n"]
+        return P.LONG if (longest or 0) > P.SHORT else None
+
+    def _write_tables(self, placed: DataFrame, made: DataFrame, part: str, merge_into: dict | None = None) -> dict[str, list[int] | None]:
+        """Writes a part of every table and returns its segments; `merge_into`: the state whose rows of touched segments are written anew beside them."""
         c = self.config
-        self._write(placed.withColumn("segment", segment("ts_us", c)).withColumn("activity_bucket", first_bucket("activity", c)), "type_index", batch, ["segment", "activity_bucket"], ["activity", "trace_id", "pos"])
-        self._write(placed.withColumn("trace_bucket", trace_bucket(c)), "trace_store", batch, ["trace_bucket"], ["trace_id", "pos"])
+        types = placed.withColumn("segment", segment("ts_us", c)).withColumn("activity_bucket", first_bucket("activity", c))
         stored = {"pos": ["pos_a", "pos_b"], "ts": ["ts_a", "ts_b"], "both": ["pos_a", "pos_b", "ts_a", "ts_b"]}[c.mode]
         rows = made.withColumn("segment", segment("ts_b", c)).withColumn("first_bucket", first_bucket("a_first", c))
+        gone = self._state()["expired"]
+        if gone is not None:
+            types, rows = types.filter(F.col("segment") >= gone), rows.filter(F.col("segment") >= gone)
+        rows = rows.select("a_first", "a_second", "trace_id", *stored, "segment", "first_bucket")
         if c.layout == "pair_key":
-            keyed = rows.select("a_first", "a_second", "trace_id", *stored, F.concat_ws("|", F.base64(F.encode("a_first", "utf-8")), F.base64(F.encode("a_second", "utf-8"))).alias("pair"))
-            self._write(keyed, "pair_index", batch, ["pair"], ["trace_id"])
-        else:
-            self._write(rows.select("a_first", "a_second", "trace_id", *stored, "segment", "first_bucket"), "pair_index", batch, ["segment", "first_bucket"], ["a_first", "a_second", "trace_id"])
-        self._write(P.frontier(made).withColumn("trace_bucket", trace_bucket(c)), "pair_frontier", batch, ["trace_bucket"], ["a_first", "a_second"])
-        self._write(P.pair_stats(made), "pair_stats", batch, [], [])
-        self._write(P.bounds(placed), "trace_bounds", batch, [], [])
+            rows = rows.drop("segment", "first_bucket").withColumn("pair", F.concat_ws("|", F.base64(F.encode("a_first", "utf-8")), F.base64(F.encode("a_second", "utf-8"))))
+        if merge_into is not None:
+            touched = {t: [r["segment"] for r in df.select("segment").distinct().collect()] for t, df in (("type_index", types), ("pair_index", rows)) if "segment" in df.columns}  # as many as the batch has segments
+            types = types.unionByName(self._read("type_index").drop("part").filter(F.col("segment").isin(touched["type_index"])))
+            if "pair_index" in touched:
+                rows = rows.unionByName(self._read("pair_index").drop("part").filter(F.col("segment").isin(touched["pair_index"])))
+        jobs = [
+            (types, "type_index", ["segment", "activity_bucket"], ["activity", "trace_id", "pos"]),
+            (placed.withColumn("trace_bucket", trace_bucket(c)), "trace_store", ["trace_bucket"], ["trace_id", "pos"]),
+            (rows, "pair_index", ["pair"] if c.layout == "pair_key" else ["segment", "first_bucket"], ["trace_id"] if c.layout == "pair_key" else ["a_first", "a_second", "trace_id"]),
+            (P.frontier(made).withColumn("trace_bucket", trace_bucket(c)), "pair_frontier", ["trace_bucket"], ["a_first", "a_second"]),
+            (P.pair_stats(made), "pair_stats", [], []),
+            (P.bounds(placed), "trace_bounds", [], []),
+        ]
+        return self._write_all(jobs, part)
+
+    def _write_all(self, jobs: list[tuple], part: str) -> dict[str, list[int] | None]:
+        """Tables do not depend on each other: their jobs run side by side."""
+        with ThreadPoolExecutor(len(jobs)) as pool:
+            for done in [pool.submit(self._write, df, name, part, by, sort) for df, name, by, sort in jobs]:
+                done.result()
+        return {name: sorted(int(f[8:]) for f in children(self.spark, f"{self.path}/{name}/part={part}") if f.startswith("segment=")) if "segment" in by else None for _, name, by, _ in jobs}
 
     def _rebuild(self, new: DataFrame, batch_id: str) -> dict:
-        began = time.time()
-        version, _ = self._live()
+        """Everything anew from the stored traces and the batch; what has expired stays gone."""
+        state, began = self._state(), time.time()
+        part = self._part(state, batch_id)
         placed = with_positions(self.traces().select("trace_id", "ts_us", "activity").unionByName(new)).select(*EVENT).persist()
         try:
-            figures = self._index(placed, None, batch_id)
+            figures, parts = self._index(placed, None, part)
         finally:
             placed.unpersist()
-        self._commit(version + 1, batch_id, [batch_id], (*figures, time.time() - began))
+        self._commit(state, "rebuild", batch_id, {t: {part: parts[t]} for t in TABLES}, (*figures, time.time() - began), state["expired"])
         return {"batch": batch_id, "rebuilt": True, "n_events": figures[2], "n_pairs": figures[3], "seconds": time.time() - began}
 
-    def compact(self, name: str, from_ts: int | None = None) -> None:
-        """M2: rewrites the live parts as one, sorted; readers change over with the commit."""
-        version, _ = self._live()
-        placed, began = self.traces().persist(), time.time()
-        figures = placed.agg(F.min("ts_us").alias("a"), F.max("ts_us").alias("b"), F.count("*").alias("n")).collect()[0]
-        made = self._pairs_with_times().persist()
-        self._write_tables(placed, made, name)
-        n = made.count()
-        made.unpersist(), placed.unpersist()
-        self._commit(version + 1, name, [name], (figures["a"], figures["b"], figures["n"], n, time.time() - began))
+    def compact(self, name: str = "compact") -> None:
+        """M2: rewrites every table's live rows as one sorted part; readers change over with the commit. Nothing that has expired comes back, as
+        each table is made from itself."""
+        state, began = self._state(), time.time()
+        part, keyed = self._part(state, name), self.config.layout == "pair_key"
+        jobs = [
+            (self._read("type_index").drop("part"), "type_index", ["segment", "activity_bucket"], ["activity", "trace_id", "pos"]),
+            (self._read("trace_store").drop("part"), "trace_store", ["trace_bucket"], ["trace_id", "pos"]),
+            (self._read("pair_index").drop("part"), "pair_index", ["pair"] if keyed else ["segment", "first_bucket"], ["trace_id"] if keyed else ["a_first", "a_second", "trace_id"]),
+            (self.frontier().withColumn("trace_bucket", trace_bucket(self.config)), "pair_frontier", ["trace_bucket"], ["a_first", "a_second"]),
+            (self.stats(), "pair_stats", [], []),
+            (self.bounds(), "trace_bounds", [], []),
+        ]
+        parts = self._write_all(jobs, part)
+        f = self.bounds().agg(F.min("first_ts").alias("a"), F.max("last_ts").alias("b"), F.sum("n_events").alias("n")).collect()[0]
+        n = self.stats().agg(F.sum("completions").alias("n")).collect()[0]["n"]
+        self._commit(state, "compact", None, {t: {part: parts[t]} for t in TABLES}, (f["a"], f["b"], f["n"], n, time.time() - began), state["expired"])
 
     def _pairs_with_times(self) -> DataFrame:
-        rows = self.pairs().drop("segment", "first_bucket", "batch", "pair")
+        rows = self.pairs().drop("segment", "first_bucket", "pair")
         if "ts_a" in rows.columns and "pos_a" in rows.columns:
             return rows.select(*P.PAIR)
         at = self.traces()
@@ -255,13 +354,43 @@ class IndexStore(LogIndex):
         return rows.join(a, ["trace_id", "pos_a"]).join(b, ["trace_id", "pos_b"]).select(*P.PAIR)
 
     def expire(self, before_us: int) -> int:
-        """M3: drops pair and type segments that end before a time. Metadata only; returns the folders dropped."""
-        last, n = (before_us - self.config.origin_us) // (self.config.split_every_days * 86_400_000_000), 0
-        for name in ("pair_index", "type_index"):
-            for b in self._live()[1]:
-                for folder in children(self.spark, f"{self.path}/{name}/batch={b}"):
-                    if folder.startswith("segment=") and int(folder[8:]) < last:
-                        delete(self.spark, f"{self.path}/{name}/batch={b}/{folder}")
+        """M3: pair and type segments that end before a time count no longer, for good; statistics and frontier are made anew from what is left. Files
+        stay until `vacuum`, so running readers end in peace. Returns how many segments of parts went."""
+        state, began = self._state(), time.time()
+        if self.config.layout == "pair_key":
+            raise ValueError("a folder a pair has no segments that could expire")
+        last = max(self._segment(before_us), state["expired"] if state["expired"] is not None else -(1 << 62))
+        parts = {t: dict(state["parts"][t]) for t in TABLES}
+        n = 0
+        for t in SEGMENTED:
+            kept = {p: [s for s in segments if s >= last] for p, segments in parts[t].items()}
+            n += sum(len(parts[t][p]) - len(k) for p, k in kept.items())
+            parts[t] = {p: k for p, k in kept.items() if k}
+        if not n:
+            return 0
+        part = self._part(state, "expire")
+        left = self._pairs_with_times().filter(F.floor((F.col("ts_b") - self.config.origin_us) / (self.config.split_every_days * 86_400_000_000)) >= last).persist()
+        try:
+            self._write_all([(P.frontier(left).withColumn("trace_bucket", trace_bucket(self.config)), "pair_frontier", ["trace_bucket"], ["a_first", "a_second"]), (P.pair_stats(left), "pair_stats", [], [])], part)
+        finally:
+            left.unpersist()
+        parts |= {"pair_frontier": {part: None}, "pair_stats": {part: None}}
+        self._commit(state, "expire", None, parts, (None, None, None, None, time.time() - began), last)
+        return n
+
+    def vacuum(self) -> int:
+        """Deletes the folders that the newest manifest does not name; for a time when no older reader runs. Returns how many went."""
+        state, n = self._state(), 0
+        for t in TABLES:
+            for folder in children(self.spark, f"{self.path}/{t}"):
+                part = folder.removeprefix("part=")
+                if part not in state["parts"][t]:
+                    delete(self.spark, f"{self.path}/{t}/{folder}")
+                    n += 1
+                    continue
+                for inner in children(self.spark, f"{self.path}/{t}/{folder}") if state["parts"][t][part] is not None else ():
+                    if inner.startswith("segment=") and int(inner[8:]) not in state["parts"][t][part]:
+                        delete(self.spark, f"{self.path}/{t}/{folder}/{inner}")
                         n += 1
         return n
 
@@ -269,7 +398,7 @@ class IndexStore(LogIndex):
         """M4: files and bytes of each table's live parts."""
         rows = []
         for name in TABLES:
-            sizes = [s for b in self._live()[1] for s in file_sizes(self.spark, f"{self.path}/{name}/batch={b}")]
+            sizes = [s for f in self._folders(name) for s in file_sizes(self.spark, f)]
             rows.append((name, len(sizes), sum(sizes)))
         return self.spark.createDataFrame(rows, "table string, files long, bytes long")
 
@@ -278,7 +407,14 @@ class IndexStore(LogIndex):
         made = self._pairs_with_times()
         again = P.pair_stats(made)
         seconds = made.groupBy("a_first", "a_second", "trace_id", "pos_b").count().filter("count > 1")
-        parts = [("stats", again.exceptAll(self.stats().select(*again.columns))), ("frontier", P.frontier(made).select("a_first", "a_second", "trace_id", "last_ts").exceptAll(self.frontier().select("a_first", "a_second", "trace_id", "last_ts"))), ("second_events", seconds), ("order", made.filter("pos_a >= pos_b or ts_a > ts_b"))]
+        gone = self._state()["expired"]
+        events = self.traces().filter(segment("ts_us", self.config) >= gone) if gone is not None else self.traces()
+        parts = [
+            ("stats", again.exceptAll(self.stats().select(*again.columns))), ("stats_more", self.stats().select(*again.columns).exceptAll(again)),
+            ("frontier", P.frontier(made).select("a_first", "a_second", "trace_id", "last_ts").exceptAll(self.frontier().select("a_first", "a_second", "trace_id", "last_ts"))),
+            ("second_events", seconds), ("order", made.filter("pos_a >= pos_b or ts_a > ts_b")),
+            ("types", events.exceptAll(self.type_rows_all())), ("types_more", self.type_rows_all().exceptAll(events)),
+        ]
         out = None
         for name, df in parts:
             one = df.agg(F.count("*").alias("bad")).select(F.lit(name).alias("check"), "bad")
@@ -294,9 +430,9 @@ class Catalog:
 
     def create(self, name: str, config: IndexConfig = IndexConfig()) -> IndexStore:
         at = f"{self.root}/{name}"
-        if exists(self.spark, f"{at}/config"):
+        if exists(self.spark, f"{at}/config.json"):
             raise ValueError(f"{name} exists")
-        self.spark.createDataFrame([(config.to_json(),)], "value string").coalesce(1).write.text(f"{at}/config")
+        create_text(self.spark, f"{at}/config.json", config.to_json())
         return IndexStore(self.spark, at)
 
     def log(self, name: str) -> IndexStore:
@@ -319,6 +455,47 @@ def exists(spark: SparkSession, path: str) -> bool:
     return fs.exists(at)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """A new folder below the cluster's shared checkpoint folder; only a local session may be without one."""
+    at = spark.conf.get("spark.checkpoint.dir", None)
+    if not at:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        at = "file:///tmp/tracedex-checkpoints"
+    return f"{at.rstrip('/')}/logs-{uuid.uuid4().hex}"
+
+
+def read_text(spark: SparkSession, path: str) -> str:
+    """A small file, by Hadoop's file systems, so that any store works."""
+    fs, at = _fs(spark, path)
+    stream = fs.open(at)
+    try:
+        return bytes(spark._jvm.org.apache.commons.io.IOUtils.toByteArray(stream)).decode()
+    finally:
+        stream.close()
+
+
+def create_text(spark: SparkSession, path: str, text: str) -> None:
+    """Makes a small file that must not exist yet; of two writers one fails."""
+    fs, at = _fs(spark, path)
+    stream = fs.create(at, False)
+    try:
+        stream.write(bytearray(text.encode()))
+    finally:
+        stream.close()
+
+
+def pair_key(first: str, second: str) -> str:
+    """The folder of a pair where each pair has its own; names are encoded, as they may hold any sign."""
+    return "|".join(base64.b64encode(x.encode()).decode() for x in (first, second))
+
+
+def bucket_of(activity: str, buckets: int) -> int:
+    """What `first_bucket` gives for a name: the same 64-bit hash, with Spark's seed."""
+    h = xxhash.xxh64_intdigest(activity.encode(), seed=42)
+    return (h - (1 << 64) if h >= 1 << 63 else h) % buckets
+
+
 def children(spark: SparkSession, path: str) -> list[str]:
     fs, at = _fs(spark, path)
     return [s.getPath().getName() for s in fs.listStatus(at)] if fs.exists(at) else []

@@ -26,9 +26,33 @@ def index_stream(events: DataFrame, store: IndexStore, checkpoint: str, late: st
 
 
 def detect_stream(events: DataFrame, q: PatternQuery, keep_us: int | None = None) -> DataFrame:
-    """V5: occurrences as they complete: trace_id, occ_no, first_ts, last_ts. State is a trace's relevant events since its last
-    occurrence, at most `keep_us` long where given. Events of a trace must arrive in the order of time."""
-    types = set(q.types())
+    """V5: occurrences as they complete: trace_id, occ_no, first_ts, last_ts. Events of a trace must arrive in the order of time.
+
+    A pattern without operators and constraints binds each element to the first event that fits, so its state is the events bound so far. Any other
+    pattern holds a trace's relevant events since its last occurrence, at most `keep_us` long; a limit between the first and the last
+    element gives that length by itself, and without one `keep_us` must be given. A repetition at the end never ends in a stream."""
+    if q.elems[-1].op in ("plus", "star"):
+        raise ValueError("a repetition at the end takes the rest of a trace, which a stream does not have")
+    direct = all(e.op == "one" for e in q.elems) and not q.constraints and q.policy == "next_match"
+    if not direct and keep_us is None:
+        spans = [c.value for c in q.constraints if (c.kind, c.side, c.i, c.j) == ("time", "within", 1, len(q.elems))]
+        if not spans:
+            raise ValueError("give keep_us, the time that a trace's events are held, or limit the pattern's span")
+        keep_us = min(spans)
+    types, wanted = set(q.types()), [set(e.types) for e in q.elems]
+
+    def bound_directly(held: list, event: list) -> tuple[list, list | None]:
+        if event[2] not in wanted[len(held)]:
+            return held, None
+        held = [*held, event]
+        return ([], held) if len(held) == len(wanted) else (held, None)
+
+    def bound_by_search(held: list, event: list) -> tuple[list, list | None]:
+        held = [e for e in [*held, event] if event[1] - e[1] <= keep_us]
+        found = next(occurrences([tuple(e) for e in held], q.all_matches(False)), None) if event[2] in wanted[-1] else None
+        return ([], [e for _, e in found]) if found else (held, None)
+
+    advance = bound_directly if direct else bound_by_search
 
     def step(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         held, n, seen = json.loads(state.get[0]) if state.exists else [[], 0, 0]
@@ -38,14 +62,11 @@ def detect_stream(events: DataFrame, q: PatternQuery, keep_us: int | None = None
             seen += 1
             if a not in types:
                 continue
-            held.append([seen, int(ts), a, int(key[0])])
-            if keep_us is not None:
-                held = [e for e in held if ts - e[1] <= keep_us]
-            for bound in occurrences([tuple(e) for e in held], q.all_matches(False)):
+            held, found = advance(held, [seen, int(ts), a, int(key[0])])
+            if found:
                 n += 1
-                times = [e[1] for _, e in bound]
+                times = [e[1] for e in found]
                 out.append((int(key[0]), n, min(times), max(times)))
-                held = []
         state.update((json.dumps([held, n, seen]),))
         yield pd.DataFrame(out, columns=["trace_id", "occ_no", "first_ts", "last_ts"])
 
