@@ -2,7 +2,7 @@
 
 Documents with one set of word n-grams form a class with one representative, whatever their ids. Representatives get banded
 MinHash signatures, with bands and rows chosen so that a pair at the threshold is missed with a stated
-probability. Each representative has its home in the fullest of its shared buckets, and homes are cut into blocks. Two blocks are
+probability. Each representative belongs to the region of the least one that it reaches through two buckets, and regions are cut into blocks. Two blocks are
 compared if some bucket has members of both, so work follows the buckets and not the components that weak hits would chain together. A task
 holds the full n-gram sets of two blocks, verifies every pair of them exactly, and emits one row a member (links counted,
 and one edge to a linked member each block), never one row a pair. Connected components of the verified
@@ -28,7 +28,7 @@ from tracedex.llm.common import U, flat_utf8, mix64, slots, spans, table, words_
 WORDS, THRESHOLD = 5, 0.8
 #: Chance that a pair exactly at the threshold shares no band.
 MISS = 1e-4
-BLOCK = 256  # representatives of a block
+BLOCK = 512  # representatives of a block
 BLOCK_GRAMS = 1 << 19  # n-grams of a block
 
 
@@ -211,12 +211,15 @@ def _joins(linked: np.ndarray, rep: np.ndarray) -> list[tuple]:
 
 def blocked_pairs(sets: DataFrame) -> DataFrame:
     """sets: rep, n_grams, keys. Out: i, j, block, rep: every member of the blocks i and j, for all blocks that share a bucket."""
-    keyed = sets.select("rep", "n_grams", F.posexplode("keys").alias("band", "key"))
-    buckets = keyed.groupBy("band", "key").agg(F.count("*").alias("n")).filter("n > 1")
+    keyed = sets.select("rep", F.posexplode("keys").alias("band", "key"))
+    buckets = keyed.groupBy("band", "key").agg(F.count("*").alias("n"), F.min("rep").alias("least")).filter("n > 1").drop("n")
     shared = keyed.join(buckets, ["band", "key"])
-    home = shared.groupBy("rep").agg(F.max(F.struct("n", "band", "key")).alias("h"), F.first("n_grams").alias("n_grams")).select("rep", "n_grams", "h.band", "h.key")
-    sizes = home.groupBy("band", "key").agg(F.ceil(F.greatest(F.count("*") / BLOCK, F.sum("n_grams") / BLOCK_GRAMS)).alias("blocks"))
-    blocks = home.join(sizes, ["band", "key"]).select("rep", F.xxhash64("band", "key", F.pmod(F.xxhash64("rep"), F.col("blocks"))).alias("block")).checkpoint()
+    # the region of a representative: the least one that it reaches through two buckets
+    one = shared.groupBy("rep").agg(F.min("least").alias("one"))
+    further = shared.select("rep", "band", "key").join(one, "rep").groupBy("band", "key").agg(F.min("one").alias("two"))
+    region = shared.select("rep", "band", "key").join(further, ["band", "key"]).groupBy("rep").agg(F.min("two").alias("region")).join(sets.select("rep", "n_grams"), "rep")
+    sizes = region.groupBy("region").agg(F.ceil(F.greatest(F.count("*") / BLOCK, F.sum("n_grams") / BLOCK_GRAMS)).alias("blocks"))
+    blocks = region.join(sizes, "region").select("rep", F.xxhash64("region", F.pmod(F.xxhash64("rep"), F.col("blocks"))).alias("block")).checkpoint()
     met = shared.select("rep", "band", "key").join(blocks, "rep").select("band", "key", "block").distinct()
     other = met.withColumnRenamed("block", "j")
     across = met.withColumnRenamed("block", "i").join(other, ["band", "key"]).filter("i < j").select("i", "j").distinct()
