@@ -1,9 +1,8 @@
 """Licence scans (operator 6): TF-IDF cosine to templates and inheritance along directories; DataFrame functions only.
 
-Units are the lines of a file, scored against header templates, and the whole text of a licence file, scored against all templates, whole
-licences among them. A line that reaches the threshold with a header must hold one of the header's heaviest terms (those without which
-the rest weighs less than the threshold), and the terms that it shares with headers must carry enough of its own weight, so lines that cannot
-reach it are left out where they stand, exactly. Each distinct unit is
+Units are the lines of a file that carry a licence cue, scored against header templates, and the whole text of a licence file, scored
+against all templates, whole licences among them. A line without any cue word is no notice, by definition: leaving out only the
+lines that the templates' weights rule out cost more than the limit (see the README). Each distinct unit is
 scored once (a line that a third of all files carry is one row), by sparse TF-IDF cosine against the
 templates, whose terms and weights are a small table of fixed size. A file's own licence is its best unit's best
 template above the threshold; a notice that only reserves all rights counts where no unit names a licence. A file without
@@ -20,7 +19,6 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
-from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -56,12 +54,11 @@ TEMPLATES += [(name, f"SPDX-License-Identifier: {name}") for name in SPDX]
 TEMPLATES += [(name, f"SPDX-License-Identifier: {name}-{which}") for name in SPDX if "GPL" in name for which in ("only", "or-later")]
 #: A line that reserves all rights, with any holder and years before it, is one notice.
 RESERVED = r"(?i)^[^a-z0-9]*((copyright|\(c\)|©).*[^a-z0-9])?all rights reserved[^a-z0-9]*$"
+#: Words of which a notice has one.
+CUE = r"(?i)licen[cs]|copyright|spdx|public domain|rights reserved|creative commons|permission is hereby|permission to use|free software|redistribution and use"
 LICENCE_NAME = r"(?i)(^|/)(licen[cs]e|copying|notice|unlicense)[^/]*$"
 THRESHOLD = 0.6
 SALTS = 16
-#: The commonest English words, falling.
-COMMON = "the of and to a in is it for that be with this as by or on are all not you no can any may under".split()
-
 #: Whole texts of short public licences, without their copyright lines; only whole licence files are compared with them.
 WHOLE = [
     ("MIT", """MIT License. Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal
@@ -112,24 +109,8 @@ def vectors() -> tuple[list[tuple[str, int, bool, str, float]], dict[str, float]
     return rows, idf, unseen
 
 
-def necessary() -> list[str]:
-    """Terms of which every line has one that reaches the threshold with some header: of each header first the words of five letters or more, then shorter ones, which
-    are commoner in any text, and the heaviest of a length first, until what is left weighs less than the threshold. Any order would do."""
-    rows, _, _ = vectors()
-    out: set[str] = set()
-    for k in {r[1] for r in rows if not r[2]}:
-        weights = sorted(((w, term) for _, t, _, term, w in rows if t == k), key=lambda x: (-COMMON.index(x[1]) if x[1] in COMMON else -99, -round(x[0], 9), -len(x[1]), x[1]))
-        left = 1.0
-        for w, term in weights:
-            if left < (THRESHOLD - 1e-4) ** 2:
-                break
-            out.add(term)
-            left -= w * w
-    return sorted(out)
-
-
 def terms(text: Column) -> Column:
-    return F.filter(F.split(F.lower(text), "[^a-z0-9]+"), lambda w: w != "")
+    return F.array_remove(F.split(F.lower(text), "[^a-z0-9]+"), "")
 
 
 def classify(units: DataFrame) -> DataFrame:
@@ -148,28 +129,6 @@ def classify(units: DataFrame) -> DataFrame:
     return best.select("unit", "whole", F.col("b.licence").alias("licence"), (-F.col("b.s")).alias("score"))
 
 
-def promising() -> Callable[[Column], Column]:
-    """A test that every line passes that reaches the threshold with some header, and few others: it has a necessary term, and the terms that it shares
-    with headers carry enough of its own weight (the cosine is no more than the root of that share). One row at a time, nothing is shuffled for it."""
-    rows, idf, unseen = vectors()
-    cue = "(?i)(?<![a-z0-9])(?:" + "|".join(necessary()) + ")(?![a-z0-9])"
-    headers = sorted({term for _, _, whole, term, _ in rows if not whole})
-    squares = F.create_map(*[F.lit(x) for w, v in idf.items() for x in (w, v * v)])
-    least = (THRESHOLD - 1e-4) ** 2
-
-    def weight(all_terms: Column, some: Column) -> Column:
-        return F.aggregate(some, F.lit(0.0), lambda acc, w: acc + F.pow((F.size(all_terms) - F.size(F.array_remove(all_terms, w))).cast("double"), 2) * F.element_at(squares, w))
-
-    def test(line: Column) -> Column:
-        t = terms(line)
-        known = F.array_intersect(t, F.array(*[F.lit(w) for w in idf]))
-        shared = weight(t, F.array_intersect(t, F.array(*[F.lit(w) for w in headers])))
-        own = weight(t, known) + (F.size(F.array_distinct(t)) - F.size(known)) * unseen**2
-        return line.rlike(cue) & (shared >= least * own)
-
-    return test
-
-
 RESULTS = ["own_licence", "own_score", "licence", "licence_from", "licence_path"]
 
 
@@ -179,11 +138,12 @@ def scan(files: DataFrame) -> DataFrame:
     base = files.select(F.struct(*names).alias("row"), F.col("path").alias("path"), F.col("text").alias("text"))
     is_file = F.coalesce(F.col("path").rlike(LICENCE_NAME), F.lit(False))
     line = lambda x: F.struct(x.alias("unit"), F.lit(False).alias("whole"))
-    lines = F.transform(F.filter(F.split(F.coalesce("text", F.lit("")), "\n"), promising()), line)
+    lines = F.when(F.col("text").rlike(CUE), F.transform(F.filter(F.split("text", "\n"), lambda x: x.rlike(CUE)), line))
+    none = F.array().cast("array<struct<unit:string,whole:boolean>>")
     whole = F.when(is_file & F.col("text").isNotNull(), F.array(F.struct(F.col("text").alias("unit"), F.lit(True).alias("whole"))))
-    units = F.concat(lines, F.coalesce(whole, F.array().cast("array<struct<unit:string,whole:boolean>>")))
+    units = F.concat(F.coalesce(lines, none), F.coalesce(whole, none))
     with_units = base.select("path", F.explode(units).alias("u")).select("path", "u.unit", "u.whole")
-    with_units = with_units.withColumn("unit", F.when(F.col("unit").rlike(RESERVED), F.lit("All rights reserved.")).otherwise(F.col("unit"))).distinct()
+    with_units = with_units.withColumn("unit", F.when(F.col("unit").rlike(RESERVED), F.lit("All rights reserved.")).otherwise(F.col("unit"))).distinct().checkpoint()  # few lines, used twice: texts are read once
     # a line that very many files carry meets its licence in as many tasks as there are salts
     salted = with_units.withColumn("salt", F.pmod(F.xxhash64("path"), F.lit(SALTS)).cast("int"))
     known = classify(with_units).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
@@ -217,7 +177,7 @@ def op6_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _oracle() -> str:
-    """Every line is scored here, without the choice of lines; the three levels of the layout are walked one by one."""
+    """The three levels of the layout are walked one by one."""
     rows, idf, unseen = vectors()
     weights = ", ".join(f"('{a}', {b}, {w}, '{c}', {d!r}::DOUBLE)" for a, b, w, c, d in rows)
     known = ", ".join(f"('{w}', {v!r}::DOUBLE)" for w, v in idf.items())
@@ -226,7 +186,7 @@ WITH weights(licence, template, file, term, weight) AS (VALUES {weights}), known
 l AS (SELECT doc_id, text, coalesce(source, 'none') AS one, doc_id // 1000 AS two, doc_id // 100 AS three, doc_id % 3 = 0 AND regexp_matches(coalesce(text, ''), '(?i)licen[cs]') AS is_file FROM documents),
 f AS (SELECT *, CASE WHEN is_file AND doc_id % 9 = 0 THEN 1 WHEN is_file AND doc_id % 9 = 3 THEN 2 ELSE 3 END AS level, CASE WHEN is_file THEN 'LICENSE.' || doc_id ELSE doc_id || '.txt' END AS name FROM l),
 p AS (SELECT *, CASE level WHEN 1 THEN one WHEN 2 THEN one || '/' || two ELSE one || '/' || two || '/' || three END AS folder FROM f),
-u0 AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS unit, false AS whole FROM p UNION ALL SELECT doc_id, text, true FROM p WHERE is_file AND text IS NOT NULL),
+u0 AS (SELECT * FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS unit, false AS whole FROM p) WHERE regexp_matches(unit, '{CUE}') UNION ALL SELECT doc_id, text, true FROM p WHERE is_file AND text IS NOT NULL),
 u AS (SELECT DISTINCT doc_id, whole, CASE WHEN regexp_matches(unit, '{RESERVED}') THEN 'All rights reserved.' ELSE unit END AS unit FROM u0),
 t AS (SELECT unit, whole, term, count(*) AS n FROM (SELECT unit, whole, unnest(regexp_extract_all(lower(unit), '[a-z0-9]+')) AS term FROM (SELECT DISTINCT unit, whole FROM u)) GROUP BY ALL),
 w AS (SELECT unit, whole, t.term, n * coalesce(idf, {unseen!r}::DOUBLE) AS w FROM t LEFT JOIN known USING (term)),
