@@ -583,7 +583,7 @@ def test_pipeline_against_brute_force(spark, tmp_path):
         hit = {p for s in range(len(words) - 12) for w in range(8) if words[s : s + 13] == item.split()[w : w + 13] for p in range(s, s + 13)}
         if not hit or 20 * len(hit) < len(words):
             left.append((d, private.replace(t)[0] if t else t))
-    assert len(left) == 9 and any("c.example.com" not in (t or "") for _, t in left)
+    assert len(left) == 10 and any("c.example.com" not in (t or "") for _, t in left)
     tok, want = tokens.chunk_ids(tokens.word_tokenizer()), Counter()
     for d, t in left:
         ids = tok.ids(t) + b"\1\0\0\0"
