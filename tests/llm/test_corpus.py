@@ -606,3 +606,15 @@ def test_pipeline_stages(spark, docs, items, none, tmp_path):
     left = {r.doc_id for r in frame.collect()}
     assert sizes[0] == len(rows()) and {10, 11, 12, 13} <= left and not {0, 1, 2, 90, 14} & left
     assert {r.doc_id for r in cp.STAGES[-1][1](spark, frame, str(tmp_path)).collect()} == left
+
+
+def test_rounds_of_a_small_collection_open_no_files(monkeypatch):
+    """Every round once opened, cut and filled its files again, which waited for the disk (op3_repeated_strings ran out of time)."""
+    import os
+
+    texts, opened = [bytes([97 + i % 3]) * 139 for i in range(50)], []
+    monkeypatch.setattr(substrings, "open", lambda *a, **k: opened.append(a) or open(*a, **k), raising=False)
+    before = len(os.listdir("/proc/self/fd"))
+    marks = substrings.mark(texts, np.zeros(50, np.int64), np.full(50, 40), np.full(50, 40))
+    assert len(opened) == 2 and len(os.listdir("/proc/self/fd")) == before
+    assert sorted({(int(i), int(a), int(b)) for i, a, b in marks if i > 2}) == [(i, 0, 40) for i in range(3, 50)]

@@ -6,9 +6,9 @@ whose anchor occurs again can hold repeats; the others never leave their documen
 and laid under one another with anchors in one column. Within a task the documents of that collection are
 then sorted column by column from the right: each round inserts one symbol of every document in front of the
 suffixes sorted so far, which keeps their order (the collection's Burrows-Wheeler order) and the common prefixes of
-neighbours up to date with sequential passes. Every column of symbols is a file of its own, written and read from front to end, and so are
-order and prefixes between two rounds; a round holds one column, not the collection. The files are scratch of one task that nobody else reads; a
-task that is run again makes them anew. Suffixes that share `width` symbols are one window; all but its first occurrence are marked. An
+neighbours up to date with sequential passes. The columns of symbols lie one behind another in a scratch file, each read from front to end in its
+round; order and prefixes go through a second one between two rounds. A round holds one column, not the collection. The files belong to one task, nobody
+else reads them; a task that is run again makes them anew. Suffixes that share `width` symbols are one window; all but its first occurrence are marked. An
 anchor with more contexts than a collection takes is sorted in turns: each turn sorts the next contexts together with those earlier ones that
 brought a new window, so copies, however many, are never held.
 
@@ -63,41 +63,59 @@ def runs(data: np.ndarray, offsets: np.ndarray, width: int = WIDTH, gram: int =
 
 
 class Columns:
-    """The symbols of a collection by column, and its order and common prefixes, in sequential files."""
+    """The symbols of a collection by column, and its order and common prefixes, in two scratch files that are opened once."""
 
     def __init__(self, contexts: list[bytes], begin: np.ndarray, columns: int):
-        self.folder = tempfile.TemporaryDirectory()
-        sizes = np.fromiter(map(len, contexts), np.int64, len(contexts))
+        self.n, sizes = len(contexts), np.fromiter(map(len, contexts), np.int64, len(contexts))
         step = max(1, (1 << 22) // columns)
+        self.folder = tempfile.TemporaryDirectory()
         with ExitStack() as stack:
-            files = [stack.enter_context(open(self._at(f"column-{j}"), "wb")) for j in range(columns)]
-            for a in range(0, len(contexts), step):  # blocks of documents, appended to every column
-                b = min(len(contexts), a + step)
+            self.of_symbols, self.of_order = (stack.enter_context(open(os.path.join(self.folder.name, name), "w+b", buffering=0)) for name in ("symbols", "order"))
+            for a in range(0, self.n, step):  # blocks of documents, each behind the last one in every column
+                b = min(self.n, a + step)
                 flat = np.frombuffer(b"".join(contexts[a:b]), np.uint8)
                 row = np.repeat(np.arange(b - a), sizes[a:b])
                 column = np.arange(len(flat)) - np.repeat(np.cumsum(sizes[a:b]) - sizes[a:b], sizes[a:b]) + np.repeat(begin[a:b], sizes[a:b])
                 part = np.zeros((columns, b - a), np.uint8)
                 part[column, row] = flat
-                for f, symbols in zip(files, part, strict=True):
-                    f.write(symbols)
-
-    def _at(self, name: str) -> str:
-        return os.path.join(self.folder.name, name)
+                for j, at, symbols in [(0, 0, part)] if b - a == self.n else [(j, a, symbols) for j, symbols in enumerate(part)]:
+                    _put(self.of_symbols, j * self.n + at, symbols)
+            stack.pop_all()
 
     def symbols(self, j: int) -> np.ndarray:
-        return np.fromfile(self._at(f"column-{j}"), np.uint8)
+        return np.frombuffer(_get(self.of_symbols, j * self.n, self.n), np.uint8)
 
     def put(self, order: np.ndarray, prefix: np.ndarray) -> None:
-        order.astype(np.int32).tofile(self._at("order"))
-        prefix.astype(np.int32).tofile(self._at("prefix"))
+        """In the place of the last round's: a file that is cut to nothing and filled again waits for the disk every time."""
+        _put(self.of_order, 0, np.concatenate([order, prefix]).astype(np.int32))
 
     def get(self) -> tuple[np.ndarray, np.ndarray]:
-        return np.fromfile(self._at("order"), np.int32).astype(np.int64), np.fromfile(self._at("prefix"), np.int32)
+        both = np.frombuffer(_get(self.of_order, 0, 4 * (2 * self.n + 1)), np.int32)
+        return both[: self.n].astype(np.int64), both[self.n :]
 
     def close(self) -> None:
+        self.of_symbols.close()
+        self.of_order.close()
         self.folder.cleanup()
 
 
+def _put(file, at: int, values: np.ndarray) -> None:
+    rest = memoryview(values).cast("B")
+    while len(rest):
+        done = os.pwrite(file.fileno(), rest, at)
+        rest, at = rest[done:], at + done
+
+
+def _get(file, at: int, size: int) -> bytes:
+    out = os.pread(file.fileno(), size, at)
+    while len(out) < size:
+        more = os.pread(file.fileno(), size - len(out), at + len(out))
+        if not more:
+            raise OSError("a scratch file ends too soon")
+        out += more
+    return out
+
+
 def sort_columns(columns: Columns, present_from: np.ndarray, present_to: np.ndarray, group: np.ndarray, n_columns: int):
     """Yields (column, order, common prefixes) from the last column to the first. Documents of different groups never share a prefix."""
     n = len(group)
