@@ -618,3 +618,14 @@ def test_rounds_of_a_small_collection_open_no_files(monkeypatch):
     marks = substrings.mark(texts, np.zeros(50, np.int64), np.full(50, 40), np.full(50, 40))
     assert len(opened) == 2 and len(os.listdir("/proc/self/fd")) == before
     assert sorted({(int(i), int(a), int(b)) for i, a, b in marks if i > 2}) == [(i, 0, 40) for i in range(3, 50)]
+
+
+def test_licence_terms_do_not_carry_their_text(spark):
+    """A whole file's text once stood beside each of its terms, so one task spilled hundreds of MB (op6_licence_scan)."""
+    text = " ".join(f"word{k}" for k in range(2000)) + " " + dict(licences.WHOLE)["MIT"]
+    units = spark.createDataFrame([(text, True), (dict(licences.WHOLE)["MIT"], True)], "unit string, whole boolean")
+    got = licences.classify(units)
+    assert [(r.licence, r.unit) for r in got.collect()] == [("MIT", dict(licences.WHOLE)["MIT"])]
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert not any("Generate explode" in x and "unit" in x.split("explode", 1)[1].split("],")[-1] for x in plan.splitlines())
+    assert all("unit#" not in x for x in plan.splitlines() if "Aggregate" in x and "term#" in x)

@@ -120,13 +120,14 @@ def classify(units: DataFrame) -> DataFrame:
     weights = spark.createDataFrame(rows, "licence string, template int, file boolean, term string, weight double")
     known = spark.createDataFrame(list(idf.items()), "term string, idf double")
     each = units.select("unit", F.col("whole") if "whole" in units.columns else F.lit(False).alias("whole")).filter("unit is not null").distinct()
-    counted = each.select("unit", "whole", F.explode(terms(F.col("unit"))).alias("term")).groupBy("unit", "whole", "term").agg(F.count("*").alias("n"))
-    counted = counted.join(F.broadcast(known), "term", "left").select("unit", "whole", "term", (F.col("n") * F.coalesce("idf", F.lit(unseen))).alias("w"))
-    norms = counted.groupBy("unit", "whole").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
-    dots = counted.join(F.broadcast(weights), "term").filter("whole or not file").groupBy("unit", "whole", "licence", "template").agg(F.sum(F.col("w") * F.col("weight")).alias("dot"))
-    scored = dots.join(norms, ["unit", "whole"]).select("unit", "whole", "licence", F.round(F.col("dot") / F.col("norm"), 6).alias("score")).filter(F.col("score") >= THRESHOLD)
-    best = scored.groupBy("unit", "whole").agg(F.min(F.struct((-F.col("score")).alias("s"), "licence")).alias("b"))
-    return best.select("unit", "whole", F.col("b.licence").alias("licence"), (-F.col("b.s")).alias("score"))
+    each = each.withColumn("key", F.sha2("unit", 256))  # a long text stands in one row, not beside every term of it
+    counted = each.select("key", "whole", F.explode(terms(F.col("unit"))).alias("term")).groupBy("key", "whole", "term").agg(F.count("*").alias("n"))
+    counted = counted.join(F.broadcast(known), "term", "left").select("key", "whole", "term", (F.col("n") * F.coalesce("idf", F.lit(unseen))).alias("w"))
+    norms = counted.groupBy("key", "whole").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
+    dots = counted.join(F.broadcast(weights), "term").filter("whole or not file").groupBy("key", "whole", "licence", "template").agg(F.sum(F.col("w") * F.col("weight")).alias("dot"))
+    scored = dots.join(norms, ["key", "whole"]).select("key", "whole", "licence", F.round(F.col("dot") / F.col("norm"), 6).alias("score")).filter(F.col("score") >= THRESHOLD)
+    best = scored.groupBy("key", "whole").agg(F.min(F.struct((-F.col("score")).alias("s"), "licence")).alias("b"))
+    return each.join(best, ["key", "whole"]).select("unit", "whole", F.col("b.licence").alias("licence"), (-F.col("b.s")).alias("score"))
 
 
 RESULTS = ["own_licence", "own_score", "licence", "licence_from", "licence_path"]
