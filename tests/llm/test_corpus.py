@@ -629,3 +629,28 @@ def test_licence_terms_do_not_carry_their_text(spark):
     plan = got._jdf.queryExecution().optimizedPlan().toString()
     assert not any("Generate explode" in x and "unit" in x.split("explode", 1)[1].split("],")[-1] for x in plan.splitlines())
     assert all("unit#" not in x for x in plan.splitlines() if "Aggregate" in x and "term#" in x)
+
+
+def test_workers_hold_slices_of_a_batch():
+    """What Python makes of a batch's texts does not grow with the batch, and the rows are those of the whole batch."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    words = [f"w{i}" for i in range(2000)]
+    texts = [" ".join(random.Random(i).choices(words, k=600)) for i in range(2000)]
+    batch = pa.RecordBatch.from_arrays([pa.array([False] * 2000), pa.array(range(2000), pa.int64()), pa.array(["m"] * 2000), pa.array(texts)], ["bare", "id", "mark", "text"])
+    every = {r["id"]: r for b in near.signed_batches(iter([batch]), 2, 4, 5) for r in b.to_pylist()}
+    assert list(every) == list(range(2000))
+    assert [every[i] for i in (0, 999, 1999)] == [r for i in (0, 999, 1999) for b in near.signed_batches(iter([batch.slice(i, 1)]), 2, 4, 5) for r in b.to_pylist()]
+    tracemalloc.start()
+    for _ in near.signed_batches(iter([batch]), 2, 4, 5):
+        pass
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 30e6, peak
+
+
+def test_packing_places_need_no_python_workers(spark):
+    plan = packing.pack(spark.createDataFrame([(1, "a b c"), (2, "d")], "doc_id long, text string"))._jdf.queryExecution().executedPlan().toString()
+    assert "low#" in plan and not re.search(r"ExistingRDD\[.*low#", plan)

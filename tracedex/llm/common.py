@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -46,6 +48,22 @@ def spans(offsets: np.ndarray, limit: int = 1 << 20):
         i = min(j, n)
 
 
+#: Bytes of text of which Python holds objects or scratch arrays at once.
+SLICE = 1 << 18
+
+
+def slices(batches, text: str | int):
+    """Arrow batches in slices of whole rows of about `SLICE` bytes of text, so that what Python makes of their texts does not grow with the session's
+    batches. After the last one the worker, which Spark keeps for later tasks, gives its free memory back."""
+    for b in batches:
+        for i, j in spans(flat_utf8(b.column(text))[1], SLICE):
+            yield b.slice(i, j - i)
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # GNU's C library only
+    if trim:
+        trim(0)
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective finaliser on 64-bit words."""
     x = x.astype(U, copy=True)

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tracedex.llm.common import U, flat_utf8, mix64, slots, spans, table, words_of
+from tracedex.llm.common import U, flat_utf8, mix64, slices, slots, table, words_of
 
 WORDS, THRESHOLD = 5, 0.8
 #: Chance that a pair exactly at the threshold shares no band.
@@ -118,23 +118,25 @@ def _marked(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").isNull().alias("bare"), F.coalesce(F.col("doc_id").cast("long"), F.lit(0)).alias("id"), F.sha2(text, 256).alias("mark"), text.alias("text")).filter("text != ''")
 
 
+def signed_batches(batches, bands: int, rows: int, words: int):
+    """What `signed_docs` makes of Arrow batches of marked rows."""
+    for b in slices(batches, "text"):
+        own, value = shingles(*flat_utf8(pa.array([t.lower() for t in b.column("text").to_pylist()], pa.large_string())), words)
+        at, whole, keys = signatures(own, value, bands, rows)
+        n = np.bincount(own, minlength=len(b))[at] if len(at) else at
+        flat, take = pa.array(_signed(keys.reshape(-1))), pa.array(at)
+        yield pa.RecordBatch.from_arrays([
+            *(b.column(c).take(take) for c in ("bare", "id", "mark")), *(pa.array(_signed(np.ascontiguousarray(whole[:, k]))) for k in (0, 1)), pa.array(n.astype(np.int64)),
+            pa.ListArray.from_arrays(pa.array(np.arange(len(at) + 1, dtype=np.int32) * bands), flat),
+        ], ["bare", "id", "mark", "set_a", "set_b", "n_grams", "keys"])
+
+
 def signed_docs(docs: DataFrame, threshold: float, words: int) -> DataFrame:
     """bare, id, mark, set_a and set_b (hash of the n-gram set), n_grams, keys (band hashes) of the rows with a text."""
     bands, rows = bands_for(threshold)
 
     def run(batches):
-        for b in batches:
-            texts = pa.array([t.lower() for t in b.column("text").to_pylist()], pa.large_string())
-            data, offsets = flat_utf8(texts)
-            for i, j in spans(offsets):
-                own, value = shingles(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], words)
-                at, whole, keys = signatures(own, value, bands, rows)
-                n = np.bincount(own, minlength=j - i)[at] if len(at) else at
-                flat, take = pa.array(_signed(keys.reshape(-1))), pa.array(at + i)
-                yield pa.RecordBatch.from_arrays([
-                    *(b.column(c).take(take) for c in ("bare", "id", "mark")), *(pa.array(_signed(np.ascontiguousarray(whole[:, k]))) for k in (0, 1)), pa.array(n.astype(np.int64)),
-                    pa.ListArray.from_arrays(pa.array(np.arange(len(at) + 1, dtype=np.int32) * bands), flat),
-                ], ["bare", "id", "mark", "set_a", "set_b", "n_grams", "keys"])
+        return signed_batches(batches, bands, rows, words)
 
     return _marked(docs).mapInArrow(run, "bare boolean, id long, mark string, set_a long, set_b long, n_grams long, keys array<long>")
 
@@ -149,7 +151,7 @@ def verify_pairs(members: DataFrame, threshold: float, words: int, parts: int) -
 
     def run(batches):
         held, at, out = [], None, []
-        for b in batches:
+        for b in slices(batches, "text"):
             for i, j, block, rep, weight, text in zip(*(b.column(c).to_pylist() for c in ("i", "j", "block", "rep", "weight", "text")), strict=True):
                 if at != (i, j):
                     if held:

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tracedex.llm.common import table
+from tracedex.llm.common import slices, table
 from tracedex.llm.tokens import chunk_ids, word_tokenizer
 
 Bin = tuple[int, ...]  # lengths, falling
@@ -283,7 +283,7 @@ def cut(docs: DataFrame, size: int = 4096, path: str | None = None, end_id: int
     def run(batches):
         chunks = chunk_ids(path)
         end = np.array([end_id], "<u4").tobytes()
-        for batch in batches:
+        for batch in slices(batches, 1):
             rows = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 ids = chunks.ids(text.as_py()) + end
@@ -302,7 +302,8 @@ def pack(docs: DataFrame, size: int = 4096, path: str | None = None, salts: int
     counts = {r["length"]: r["n"] for r in groups.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most `size` rows
     spots = places(plan(counts, size))
     spark = docs.sparkSession
-    spots = spark.createDataFrame(spots or [], "length long, low long, high long, bin long, each long, at long")
+    # as an Arrow table: from a list of rows each executor would start Python workers of another kind
+    spots = spark.createDataFrame(pa.table({c: pa.array([s[i] for s in spots], pa.int64()) for i, c in enumerate(("length", "low", "high", "bin", "each", "at"))}))
     before = F.coalesce(F.sum("n").over(W.partitionBy("length").orderBy("salt").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
     groups = groups.select("length", "salt", before.alias("before"))
     rank = F.row_number().over(W.partitionBy("length", "salt").orderBy("doc_id", "piece", "ids_crc32")) - 1

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tracedex.llm.common import table
+from tracedex.llm.common import slices, table
 
 KEY = b"tracedex surrogate key"  # a parameter; keep a real one secret
 
@@ -287,7 +287,7 @@ def pseudonymise(docs: DataFrame, key: bytes = KEY, text: str = "text", entities
     kind = pa.list_(pa.struct([("kind", pa.string()), ("original", pa.string()), ("surrogate", pa.string())]))
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches, text):
             rows = [(None, []) if t is None else replace(t, key) for t in b.column(text).to_pylist()]
             columns = [pa.array([r[0] for r in rows], pa.string()) if c == text else b.column(c) for c in names]
             if entities:

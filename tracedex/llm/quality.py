@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from tracedex.llm.common import flat_utf8, mix64, spans, table, words_of
+from tracedex.llm.common import flat_utf8, mix64, slices, spans, table, words_of
 
 #: Byte classes by which texts are counted.
 KINDS = ["lower", "upper", "digit", "space", "line", "stop", "bang", "sign", "bar", "quote", "wide", "other"]
@@ -86,7 +86,7 @@ def with_statistics(docs: DataFrame, text: str = "text", keep: list[str] | None
     schema = T.StructType([docs.schema[c] for c in keep] + [T.StructField(c, T.DoubleType()) for c in names])
 
     def run(batches):
-        for b in batches:
+        for b in slices(batches, at):
             stats = statistics(*flat_utf8(b.column(at)))
             yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(keep))), *(pa.array(stats[:, i]) for i in range(len(names)))], [*keep, *names])
 
